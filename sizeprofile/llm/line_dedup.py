@@ -36,7 +36,7 @@ def dedup_lines(docs: DataFrame, threshold: int = 10, min_chars: int = 1, id_col
     lines = rows_of(docs, id=id_col, lines=split).select("id", F.posexplode("lines").alias("pos", "line"))
     keyed = lines.select("id", "pos", line_key(F.col("line")).alias("key")).where(F.length("key") >= min_chars)
     keyed = keyed.select("id", "pos", F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(1), "key").alias("h2"))
-    common = keyed.groupBy("h1", "h2", "id").agg().groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= threshold).select("h1", "h2")
+    common = keyed.select("h1", "h2", "id").distinct().groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= threshold).select("h1", "h2")
     dropped = keyed.join(common, ["h1", "h2"]).groupBy("id").agg(F.collect_set("pos").alias("at"))
     found = dropped.select(F.col("id").alias(free_name(names, "dropped_id")), F.col("at").alias(drop_col))
     held = docs.withColumn(lines_col, split).drop(text_col)
