@@ -123,3 +123,38 @@ def mixed64(x: np.ndarray) -> np.ndarray:
     x = x ^ (x >> np.uint64(27))
     x = x * np.uint64(0x81DADEF4BC2DD44D)
     return x ^ (x >> np.uint64(33))
+
+
+def texts_of(batch: pa.RecordBatch, col: str) -> list[bytes]:
+    """The texts of a column as UTF-8 bytes; null is empty."""
+    return [x or b"" for x in batch.column(batch.schema.get_field_index(col)).cast(pa.binary()).to_pylist()]
+
+
+def mapped(df: DataFrame, added: dict[str, str], kernel, drop: tuple[str, ...] = ()) -> DataFrame:
+    """Add columns (name: Spark type) that `kernel()` makes; it returns a function from a batch to their arrays.
+
+    Input columns of the same names (in any case) are replaced. All other columns pass through untouched.
+    """
+    gone = {n.lower() for n in (*added, *drop)}
+    keep = [c for c in df.columns if c.lower() not in gone]
+    made = df.select(*[F.col(f"`{c}`") for c in keep], *[F.lit(None).cast(t).alias(n) for n, t in added.items()])
+    names = [*keep, *added]
+
+    def run(batches):
+        one = kernel()
+        for batch in batches:
+            if batch.num_rows:
+                yield pa.RecordBatch.from_arrays([*[batch.column(batch.schema.get_field_index(c)) for c in keep], *one(batch)], names=names)
+
+    return df.mapInArrow(run, made.schema)
+
+
+def kept_in_process(key, make):
+    """An object that a reused Python worker keeps from task to task (kernels themselves are unpickled for each task)."""
+    import sys
+
+    held = sys.__dict__.setdefault("_sizeprofile_held", {})
+    if key not in held:
+        held.clear()  # one at a time: memory stays bounded
+        held[key] = make()
+    return held[key]

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from . import bpe, line_dedup
+from . import bpe, line_dedup, quality_rules, token_files
 
 
 def queries() -> dict:
     return {
         "op2_line_dedup": line_dedup.op2_line_dedup,
+        "op3_token_files": token_files.op3_token_files,
+        "op5_quality_rules": quality_rules.op5_quality_rules,
         "op8_bpe": bpe.op8_bpe,
     }
 
