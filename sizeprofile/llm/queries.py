@@ -2,17 +2,18 @@
 
 from __future__ import annotations
 
-from . import bpe, line_dedup, quality_rules, token_files
+from . import bpe, line_dedup, quality_rules, token_files, warc
 
 
 def queries() -> dict:
     return {
         "op2_line_dedup": line_dedup.op2_line_dedup,
         "op3_token_files": token_files.op3_token_files,
+        "op4_warc": warc.op4_warc,
         "op5_quality_rules": quality_rules.op5_quality_rules,
         "op8_bpe": bpe.op8_bpe,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_line_dedup": line_dedup.OP2_SQL}
+    return {"op2_line_dedup": line_dedup.OP2_SQL, "op4_warc": warc.OP4_SQL}
