@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, line_dedup, quality_rules, token_files, warc
+from . import bpe, line_dedup, quality_rules, token_files, topk, warc
 
 
 def queries() -> dict:
@@ -11,9 +11,10 @@ def queries() -> dict:
         "op3_token_files": token_files.op3_token_files,
         "op4_warc": warc.op4_warc,
         "op5_quality_rules": quality_rules.op5_quality_rules,
+        "op7_top_k": topk.op7_top_k,
         "op8_bpe": bpe.op8_bpe,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_line_dedup": line_dedup.OP2_SQL, "op4_warc": warc.OP4_SQL}
+    return {"op2_line_dedup": line_dedup.OP2_SQL, "op4_warc": warc.OP4_SQL, "op7_top_k": topk.OP7_SQL}
