@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, line_dedup, quality_rules, token_files, topk, warc
+from . import bpe, line_dedup, mixing, quality_gam, quality_rules, token_files, topk, warc
 
 
 def queries() -> dict:
@@ -11,8 +11,10 @@ def queries() -> dict:
         "op3_token_files": token_files.op3_token_files,
         "op4_warc": warc.op4_warc,
         "op5_quality_rules": quality_rules.op5_quality_rules,
+        "op6_mixing": mixing.op6_mixing,
         "op7_top_k": topk.op7_top_k,
         "op8_bpe": bpe.op8_bpe,
+        "op10_quality_gam": quality_gam.op10_quality_gam,
     }
 
 
