@@ -3,19 +3,21 @@
 from __future__ import annotations
 
 import base64
+import hashlib
 import heapq
+from itertools import filterfalse
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import file_store, free_name
+from .common import file_store, free_name, kept_in_process
 
-#: Distinct words whose ids a task keeps from block to block; others are encoded anew in each block.
+#: Distinct words whose ids a worker process keeps from block to block; others are encoded anew in each block.
 REMEMBERED_WORDS = 200_000
 #: Bytes of text in one replay block; a longer document makes a block of its own.
-BLOCK_BYTES = 8 << 20
+BLOCK_BYTES = 2 << 20
 
 
 def load_ranks(path: str) -> list[bytes]:
@@ -42,123 +44,156 @@ class MergeReplay:
     """
 
     def __init__(self, tokens: list[bytes]):
-        self.tokens = tokens
         self.rank = {t: i for i, t in enumerate(tokens) if t}
-        self.single = [self.rank.get(bytes([b]), -1) for b in range(256)]
-        if min(self.single) < 0:
+        single = [self.rank.get(bytes([b]), -1) for b in range(256)]
+        if min(single) < 0:
             raise ValueError("a byte-level vocabulary must hold all 256 single bytes")
-        self.formed: dict[tuple[int, int], int] = {}
-
-    def _form(self, a: int, b: int) -> int:
-        """Rank of the token that the pair forms, or -1."""
-        got = self.formed.get((a, b))
-        if got is None:
-            if len(self.formed) > 1_000_000:
-                self.formed.clear()
-            got = self.formed[a, b] = self.rank.get(self.tokens[a] + self.tokens[b], -1)
-        return got
+        self.single = np.array(single, dtype=np.int64)
+        #: Token formed by a pair, for every way to cut a token in two tokens; the key holds both ids.
+        self.formed: dict[int, int] = {}
+        for t, i in self.rank.items():
+            for cut in range(1, len(t)):
+                if (a := self.rank.get(t[:cut])) is not None and (b := self.rank.get(t[cut:])) is not None:
+                    self.formed[a << 32 | b] = i
+
+    def _first_pairs(self, ids: np.ndarray, right: np.ndarray) -> dict[int, list[int]]:
+        """The inverted index of all neighbouring single bytes, by sorting instead of one by one."""
+        at = np.flatnonzero(right >= 0)
+        keys = ids[at] << 32 | ids[right[at]]
+        order = np.argsort(keys, kind="stable")
+        keys, at = keys[order], at[order]
+        begins = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]]) if len(keys) else np.zeros(0, dtype=np.int64)
+        ends = [*begins[1:].tolist(), len(keys)]
+        formed = self.formed
+        return {k: at[b:e].tolist() for k, b, e in zip(keys[begins].tolist(), begins.tolist(), ends) if k in formed}
 
     def encode(self, words: list[bytes]) -> list[bytes]:
         """For each word its ids as little-endian unsigned 32-bit integers."""
-        rank, single, form = self.rank, self.single, self._form
-        out: list[bytes | None] = [None] * len(words)
-        ids: list[int] = []
-        word: list[int] = []
-        left: list[int] = []
-        right: list[int] = []
-        for k, w in enumerate(words):
-            if (whole := rank.get(w)) is not None:  # a word that is a token stands for itself
-                out[k] = whole.to_bytes(4, "little")
-                continue
-            at, n = len(ids), len(w)
-            ids += [single[b] for b in w]
-            word += [k] * n
-            left += [-1, *range(at, at + n - 1)] if n else []
-            right += [*range(at + 1, at + n), -1] if n else []
-        index: dict[tuple[int, int], list[int]] = {}
-        heap: list[tuple[int, int, int]] = []
-
-        def file(pair: tuple[int, int], at: int) -> int:
-            token = form(*pair)
-            if token >= 0:
-                if (places := index.get(pair)) is None:
-                    index[pair] = [at]
-                    heapq.heappush(heap, (token, *pair))
-                else:
-                    places.append(at)
-            return token
-
-        for at, after in enumerate(right):
-            if after >= 0:
-                file((ids[at], ids[after]), at)
+        out: list[bytes | None] = [None if (w := self.rank.get(x)) is None else w.to_bytes(4, "little") for x in words]
+        rest = [k for k, x in enumerate(out) if x is None]  # a word that is a token stands for itself
+        parts = [words[k] for k in rest]
+        sizes = np.array([len(w) for w in parts], dtype=np.int64)
+        start = self.single[np.frombuffer(b"".join(parts), dtype=np.uint8)]
+        owner = np.repeat(np.arange(len(parts)), sizes)
+        n = len(start)
+        ends = np.cumsum(sizes)
+        right = np.arange(1, n + 1)
+        left = np.arange(-1, n - 1)
+        filled = sizes > 0
+        right[ends[filled] - 1] = -1
+        left[(ends - sizes)[filled]] = -1
+        index = self._first_pairs(start, right)
+        formed = self.formed
+        heap = [(formed[k], k) for k in index]
+        heapq.heapify(heap)
+        ids, left, right, word = start.tolist(), left.tolist(), right.tolist(), owner.tolist()
+        push, pop, form, places_of = heapq.heappush, heapq.heappop, formed.get, index.get
         while heap:
-            token, a, b = heapq.heappop(heap)
-            places = index.pop((a, b), None)
-            if places is None:
-                continue
-            places.sort()
-            waits = -1
+            token, key = pop(heap)
+            places = index.pop(key)
+            a, b = key >> 32, key & 0xFFFFFFFF
+            if len(places) > 1:
+                places.sort()
+            waits, again = -1, []
             for at in places:
-                after = right[at]
-                if ids[at] != a or after < 0 or ids[after] != b:
+                if ids[at] != a or (after := right[at]) < 0 or ids[after] != b:
                     continue
                 if word[at] == waits:  # a lower rank came up in this word: it goes first
-                    file((a, b), at)
+                    again.append(at)
                     continue
                 ids[at], ids[after] = token, -1
                 right[at] = nxt = right[after]
                 right[after] = -1
-                lower = False
                 if nxt >= 0:
                     left[nxt] = at
-                    lower = 0 <= file((token, ids[nxt]), at) < token
+                    made = form(k := token << 32 | ids[nxt])
+                    if made is not None:
+                        if (held := places_of(k)) is None:
+                            index[k] = [at]
+                            push(heap, (made, k))
+                        else:
+                            held.append(at)
+                        if made < token:
+                            waits = word[at]
                 if (prev := left[at]) >= 0:
-                    lower |= 0 <= file((ids[prev], token), prev) < token
-                if lower:
-                    waits = word[at]
+                    made = form(k := ids[prev] << 32 | token)
+                    if made is not None:
+                        if (held := places_of(k)) is None:
+                            index[k] = [prev]
+                            push(heap, (made, k))
+                        else:
+                            held.append(prev)
+                        if made < token:
+                            waits = word[at]
+            if again:
+                if (held := places_of(key)) is None:
+                    index[key] = again
+                    push(heap, (token, key))
+                else:
+                    held += again
         final = np.array(ids, dtype=np.int64)
-        owner = np.array(word, dtype=np.int64)
         live = final >= 0
-        final, owner = final[live].astype("<u4"), owner[live]
-        ends = np.searchsorted(owner, np.arange(len(words)), side="right").tolist()
-        raw, begin = final.tobytes(), 0
-        for k, end in enumerate(ends):
-            if out[k] is None:
-                out[k] = raw[4 * begin : 4 * end]
+        raw = final[live].astype("<u4").tobytes()
+        begin = 0
+        for k, end in zip(rest, np.searchsorted(owner[live], np.arange(len(parts)), side="right").tolist()):
+            out[k] = raw[4 * begin : 4 * end]
             begin = end
         return out  # type: ignore[return-value]
 
 
-class TextEncoder:
-    """Texts to ids: splits by the pattern, encodes the distinct words of a block together, joins the words' ids."""
+#: The split that both vocabularies here use (fixed value).
+BYTE_LEVEL_SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+
+
+class Splitter:
+    """Splits a text by a pattern. For the byte-level split there is an equal, faster expression for texts that hold
+    only ASCII, Latin letters and common punctuation; all other texts take the general one."""
+
+    def __init__(self, pattern: str):
+        import re
 
-    def __init__(self, pattern: str, encode_words, remembered: int = REMEMBERED_WORDS):
         import regex
 
-        self.find = regex.compile(pattern).findall
+        self.general = regex.compile(pattern).findall
+        letters = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u02af"
+        self.latin = re.compile(rf" ?[{letters}]+|'(?:[stmd]|re|ve|ll)| ?[0-9]+| ?[^\s{letters}0-9]+|\s+(?!\S)|\s+").findall
+        self.other = re.compile(rf"[^\t-\r -~{letters}\u2010-\u2027\u2030-\u205e]").search if pattern == BYTE_LEVEL_SPLIT else lambda text: True
+
+    def __call__(self, text: str) -> list[str]:
+        return self.general(text) if self.other(text) else self.latin(text)
+
+
+class TextEncoder:
+    """Texts to ids: splits by the pattern, encodes the distinct unknown words of a block together, joins the words' ids."""
+
+    def __init__(self, pattern: str, encode_words, remembered: int = REMEMBERED_WORDS):
+        self.split = Splitter(pattern)
         self.encode_words = encode_words
         self.remembered = remembered
         self.known: dict[str, bytes] = {}
 
     def block(self, texts: list[str]) -> list[bytes]:
-        known, pieces = self.known, [self.find(t) for t in texts]
-        fresh = set().union(*pieces).difference(known) if pieces else set()
-        new = sorted(fresh)
+        known, pieces, fresh = self.known, [self.split(t) for t in texts], set()
+        for p in pieces:
+            fresh.update(filterfalse(known.__contains__, p))
+        new = list(fresh)
         table = dict(zip(new, self.encode_words(new)))
         if len(known) + len(table) <= self.remembered:
             known.update(table)
-            get = known.__getitem__
-        else:
-            room = self.remembered - len(known)
-            look = known.get
+            return [b"".join(map(known.__getitem__, p)) for p in pieces]
+        both = ChainedLookup(known)
+        both.update(table)
+        return [b"".join(map(both.__getitem__, p)) for p in pieces]
+
+
+class ChainedLookup(dict):
+    """A table with another one behind it."""
 
-            def get(p):
-                got = look(p)
-                return table[p] if got is None else got
+    def __init__(self, behind: dict):
+        self.behind = behind
 
-            for p in new[:: max(1, len(new) // room)][:room] if room > 0 else ():
-                known[p] = table[p]
-        return [b"".join(map(get, p)) for p in pieces]
+    def __missing__(self, key):
+        return self.behind[key]
 
 
 def text_blocks(batches, column: str, most: int = BLOCK_BYTES):
@@ -186,6 +221,7 @@ def bpe_encode(docs: DataFrame, vocab_path: str, pattern: str, text_col: str = "
     corpus would have to be shuffled and joined back to every word occurrence, several times the size of the input.
     """
     tokens = load_ranks(vocab_path)
+    digest = hashlib.sha256(b"\n".join(tokens)).hexdigest()
     docs = docs.drop(ids_col)
     raw = free_name(docs.columns, "text_bytes")
     fed = docs.withColumn(raw, F.coalesce(F.col(f"`{text_col}`"), F.lit("")))
@@ -193,8 +229,7 @@ def bpe_encode(docs: DataFrame, vocab_path: str, pattern: str, text_col: str = "
     keep = docs.columns
 
     def run(batches):
-        replay = MergeReplay(tokens)
-        encoder = TextEncoder(pattern, lambda words: replay.encode([w.encode() for w in words]))
+        encoder = kept_in_process(("bpe", pattern, digest), lambda: TextEncoder(pattern, (lambda replay: lambda words: replay.encode([w.encode() for w in words]))(MergeReplay(tokens))))
         for batch, texts in text_blocks(batches, raw):
             ids = encoder.block(texts.to_pylist())
             arrays = [batch.column(batch.schema.get_field_index(c)) for c in keep]
@@ -212,7 +247,7 @@ def bpe_decode(encoded: DataFrame, vocab_path: str, ids_col: str = "ids", out_co
 
     def run(batches):
         get = tokens.__getitem__
-        for batch in batches:
+        for batch in (b.slice(i, 500) for b in batches for i in range(0, b.num_rows, 500)):
             col = batch.column(batch.schema.get_field_index(ids_col))
             texts = [b"".join(map(get, np.frombuffer(x or b"", dtype="<u4").tolist())) for x in col.to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, type=pa.binary())], names=[*keep, out_col])
