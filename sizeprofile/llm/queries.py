@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, line_dedup, mixing, quality_gam, quality_rules, token_files, topk, warc
+from . import bpe, line_dedup, mixing, quality_gam, quality_rules, substring_dedup, token_files, topk, warc
 
 
 def queries() -> dict:
@@ -14,6 +14,7 @@ def queries() -> dict:
         "op6_mixing": mixing.op6_mixing,
         "op7_top_k": topk.op7_top_k,
         "op8_bpe": bpe.op8_bpe,
+        "op9_substring_dedup": substring_dedup.op9_substring_dedup,
         "op10_quality_gam": quality_gam.op10_quality_gam,
     }
 
