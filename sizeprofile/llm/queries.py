@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import bpe, line_dedup, mixing, quality_gam, quality_rules, substring_dedup, token_files, topk, warc
+from . import bpe, jaccard_join, line_dedup, mixing, quality_gam, quality_rules, substring_dedup, token_files, topk, warc
 
 
 def queries() -> dict:
     return {
+        "op1_jaccard_join": jaccard_join.op1_jaccard_join,
         "op2_line_dedup": line_dedup.op2_line_dedup,
         "op3_token_files": token_files.op3_token_files,
         "op4_warc": warc.op4_warc,
