@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .bpe import TextEncoder, text_blocks
+from .bpe import BYTE_LEVEL_SPLIT, REMEMBERED_WORDS, Splitter, text_blocks
 from .common import batches_of, file_store, kept_in_process, put_file, rows_of, work_path, written
 
 MAGIC = b"SPTOKEN1"
@@ -39,12 +39,37 @@ DICT_BYTES, SAMPLE_DOCS, SAMPLE_BYTES = 64 << 10, 1_000, 64 << 10
 _RECENT = re.compile("[՘֋֌࢏౜೜₏₝-₟꟎-꟱꭬꭭\U00010000-\U0010ffff]")
 
 
+def _byte_letters() -> dict[int, str]:
+    """The letter by which a byte-level vocabulary writes each byte: itself if printable, else the next one from 256 on."""
+    printable = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    out, free = {}, 256
+    for b in range(256):
+        out[b] = chr(b) if b in printable else chr(free)
+        free += b not in printable
+    return out
+
+
+class _Words(dict):
+    """Word to serialised ids; the library's model encodes a word when it is first met, and `most` words are kept."""
+
+    def __init__(self, model, most: int):
+        self.tokenize, self.most, self.letters = model.tokenize, most, _byte_letters()
+
+    def __missing__(self, word: str) -> bytes:
+        ids = b"".join([t.id.to_bytes(4, "little") for t in self.tokenize(word.encode().decode("latin-1").translate(self.letters))])
+        if len(self) < self.most:
+            self[word] = ids
+        return ids
+
+
 class LibraryEncoder:
-    """Texts to ids by the tokenizers library. Words met before are not encoded again; the split is the library's byte-level one."""
+    """Texts to ids by the tokenizers library.
 
-    SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+    The text is split as the library's byte-level step would, and its model encodes each distinct word once. Texts with
+    a special token, or with code points that not all Unicode versions class alike, go through the whole library.
+    """
 
-    def __init__(self, definition: str):
+    def __init__(self, definition: str, remembered: int = REMEMBERED_WORDS):
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -52,20 +77,17 @@ class LibraryEncoder:
 
         self.library = Tokenizer.from_str(definition)
         self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.by_words = TextEncoder(self.SPLIT, self._words)
+        self.split = Splitter(BYTE_LEVEL_SPLIT)
+        self.words = _Words(self.library.model, remembered)
 
-    def _words(self, words: list[str]) -> list[bytes]:
-        got = self.library.encode_batch_fast(words, add_special_tokens=False)
-        return [np.array(e.ids, dtype="<u4").tobytes() for e in got]
+    def encode(self, text: str) -> bytes:
+        odd = self.split.other(text)
+        if (odd and _RECENT.search(text)) or any(s in text for s in self.special):
+            return np.array(self.library.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        return b"".join(map(self.words.__getitem__, self.split.general(text) if odd else self.split.latin(text)))
 
     def block(self, texts: list[str]) -> list[bytes]:
-        whole = [i for i, t in enumerate(texts) if _RECENT.search(t) or any(s in t for s in self.special)]
-        if not whole:
-            return self.by_words.block(texts)
-        out = self.by_words.block(["" if i in set(whole) else t for i, t in enumerate(texts)]) if len(whole) < len(texts) else [b""] * len(texts)
-        for i, ids in zip(whole, self._words([texts[i] for i in whole])):
-            out[i] = ids
-        return out
+        return [self.encode(t) for t in texts]
 
 
 def _definition(tokenizer_path: str) -> str:
@@ -199,7 +221,10 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id:
     def encode(batches):
         own = kept_in_process(("library", definition), lambda: LibraryEncoder(definition))
         bounds = np.array(cuts, dtype=np.int64)
-        pack = zstandard.ZstdCompressor(level=3, dict_data=_zdict(dictionary)).compress
+        shared = _zdict(dictionary)
+        if shared:
+            shared.precompute_compress(level=3)
+        pack = zstandard.ZstdCompressor(level=3, dict_data=shared).compress
         for batch, texts in text_blocks(batches, "text"):
             raw = [packed(x) for x in own.block(texts.to_pylist())]
             ids = batch.column(0)
