@@ -37,9 +37,8 @@ def grouping_sets_histogram(leaf_hist: DataFrame, tree: RegionTree) -> DataFrame
     view = "sp_wide_hist"
     wide.createOrReplaceTempView(view)
     sets = ", ".join(f"({', '.join([*names[: k + 1], 'size'])})" for k in range(tree.levels))
-    deepest = f"grouping_id({', '.join([*names, 'size'])})"
-    case = " ".join(f"when {sum(1 << (tree.levels - j) for j in range(k + 1, tree.levels))} then {k}" for k in range(tree.levels))
-    out = leaf_hist.sparkSession.sql(f"select {', '.join(names)}, size, sum(cnt) as cnt, case {deepest} {case} end as level from {view} group by grouping sets ({sets})")
+    level = " ".join(f"when grouping(level_{k}) = 0 then {k}" for k in range(tree.levels - 1, -1, -1))
+    out = leaf_hist.sparkSession.sql(f"select {', '.join(names)}, size, sum(cnt) as cnt, case {level} end as level from {view} group by grouping sets ({sets})")
     return out.select("level", F.coalesce(*names[::-1]).alias("node_id"), "size", "cnt")
 
 
