@@ -529,7 +529,7 @@ def _(spark, d):
 for _name in experiments.EXPERIMENTS:
     @query(f"exp_{_name}")
     def _(spark, d, name=_name):
-        return experiments.EXPERIMENTS[name](spark, d)
+        return experiments.EXPERIMENTS[name](spark, d, seeds=3)
 
 
 def flagship(spark, sf_dir: str) -> DataFrame:
