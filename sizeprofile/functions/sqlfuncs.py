@@ -16,12 +16,12 @@ _FUNCTIONS = (
 
 @udtf(returnType="node_id string, idx bigint, fit double")
 class IsotonicFit:
-    """sp_isotonic(TABLE(t) PARTITION BY node_id ORDER BY idx, p): the fit of column `value` in each partition."""
+    """sp_isotonic(p, TABLE(t) PARTITION BY node_id ORDER BY idx): the fit of column `value` in each partition."""
 
     def __init__(self):
         self.rows, self.p = [], 2
 
-    def eval(self, row, p: int):
+    def eval(self, p: int, row):
         self.rows.append((row["node_id"], row["idx"], row["value"]))
         self.p = p
 
