@@ -79,35 +79,38 @@ def sorted_cells(hist: DataFrame, runs: DataFrame) -> DataFrame:
     return _noisy(rows, "hg", "size", "j").select(*KEYS, "size", "j", (F.col("size") + F.col("noise")).cast("long").alias("noisy"))
 
 
-def estimate_sorted(hist: DataFrame, runs: DataFrame, p: int = 2, chunks: int = 0) -> DataFrame:
+def estimate_sorted(hist: DataFrame, runs: DataFrame, p: int = 2, chunks: int = 0, by_fit: bool = False) -> DataFrame:
     """Isotonic fit of the noisy sorted sizes, floored at 0, rounded, counted.
 
-    With `chunks` (L2 only) rows are dealt by ranges and only pooled blocks meet in one task: for nodes of any size.
+    `by_fit` counts groups by their fitted value before rounding (one row a block of equal fits). With `chunks` (L2 only) rows are dealt by ranges and only pooled blocks meet in one task: for nodes of any size.
     """
     cells = sorted_cells(hist, runs)
     if chunks and p == 2:
         blocks = fit_chunked(cells, [*KEYS], ["size", "j"], "noisy", chunks).select(*KEYS, "cnt", "fit")
     else:
         blocks = fit_by_node(cells, [*KEYS], ["size", "j"], "noisy", p).select(*KEYS, F.lit(1).cast("long").alias("cnt"), "fit")
-    return blocks.groupBy(*KEYS, F.floor(F.greatest(F.col("fit"), F.lit(0.0)) + 0.5).cast("long").alias("size")).agg(F.sum("cnt").alias("cnt"))
+    size = F.floor(F.greatest(F.col("fit"), F.lit(0.0)) + 0.5).cast("long").alias("size")
+    if by_fit:
+        return blocks.groupBy(*KEYS, "fit").agg(F.sum("cnt").alias("cnt")).select(*KEYS, size, "cnt")
+    return blocks.groupBy(*KEYS, size).agg(F.sum("cnt").alias("cnt"))
 
 
-def estimate(method: str, hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int, p_c: int = 1, p_g: int = 2) -> DataFrame:
+def estimate(method: str, hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int, p_c: int = 1, p_g: int = 2, by_fit: bool = False) -> DataFrame:
     if method == "hc":
         return estimate_cumulative(hist, counts, runs, ceiling, p_c)
     if method == "hg":
-        return estimate_sorted(hist, runs, p_g)
+        return estimate_sorted(hist, runs, p_g, by_fit=by_fit)
     if method == "naive":
         return estimate_naive(hist, counts, runs, ceiling)
     raise ValueError(f"unknown method {method}")
 
 
-def estimate_tree(hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int, methods: list[str], p_c: int = 1, p_g: int = 2) -> DataFrame:
+def estimate_tree(hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int, methods: list[str], p_c: int = 1, p_g: int = 2, by_fit: bool = False) -> DataFrame:
     """One method a level; levels that share a method are fitted in one job. Adds the column `method`."""
     out = None
     for m in dict.fromkeys(methods):
         at = [k for k, x in enumerate(methods) if x == m]
-        part = estimate(m, hist.where(F.col("level").isin(at)), counts.where(F.col("level").isin(at)), runs, ceiling, p_c, p_g).withColumn("method", F.lit(m))
+        part = estimate(m, hist.where(F.col("level").isin(at)), counts.where(F.col("level").isin(at)), runs, ceiling, p_c, p_g, by_fit).withColumn("method", F.lit(m))
         out = part if out is None else out.unionByName(part)
     return out
 

@@ -68,12 +68,15 @@ def sum_up(leaf_hist: DataFrame, tree: RegionTree) -> DataFrame:
     return profile.rollup_histogram(leaf_hist, tree, ("run_id",)).select(*KEYS, "size", "cnt")
 
 
-def release_topdown(hist: DataFrame, counts: DataFrame, tree: RegionTree, runs: DataFrame, methods: str | list[str] = "hc", ceiling: int = 100_000, how: str = "weighted", p_c: int = 1, p_g: int = 2, match_on: str = "initial", share: str = "hamilton", exact_variance: bool = False) -> DataFrame:
-    """The whole method. `runs` carries the budget of one level; the total is levels times that."""
+def release_topdown(hist: DataFrame, counts: DataFrame, tree: RegionTree, runs: DataFrame, methods: str | list[str] = "hc", ceiling: int = 100_000, how: str = "weighted", p_c: int = 1, p_g: int = 2, match_on: str = "initial", share: str = "hamilton", exact_variance: bool = False, block_source: str = "rounded") -> DataFrame:
+    """The whole method. `runs` carries the budget of one level; the total is levels times that.
+
+    Variances of sorted sizes come from runs of equal rounded sizes, or (`block_source="fit"`) of equal fits.
+    """
     methods = [methods] * tree.levels if isinstance(methods, str) else list(methods)
     if len(methods) != tree.levels:
         raise ValueError("one method a level")
-    est = frozen(estimators.estimate_tree(hist, counts, runs, ceiling, methods, p_c, p_g))
+    est = frozen(estimators.estimate_tree(hist, counts, runs, ceiling, methods, p_c, p_g, block_source == "fit"))
     return top_down(estimators.variance(est, runs, exact_variance), tree, how, share, match_on)
 
 
@@ -134,3 +137,15 @@ def private_group_counts(counts: DataFrame, tree: RegionTree, seed: str, eps: fl
         now = frozen(exact.select(F.col("size").alias("node_id"), F.col("cnt").alias("g")))
         out = out.unionByName(now.select(F.lit(level).alias("level"), "node_id", "g"))
     return out
+
+
+def best_methods(hist: DataFrame, counts: DataFrame, tree: RegionTree, runs: DataFrame, ceiling: int) -> list[str]:
+    """The method with the smaller error at each level, chosen by the truth. Not private: an ablation yardstick only."""
+    from ..operators import metrics
+
+    truth, best = metrics.for_runs(hist, runs), {}
+    for m in ("hc", "hg"):
+        report = metrics.run_report(metrics.level_report(metrics.emd(truth, estimators.estimate(m, hist, counts, runs, ceiling)), counts))
+        for r in report.collect():  # one row a level
+            best[r.level] = min(best.get(r.level, (float("inf"), "")), (r.emd, m))
+    return [best[k][1] for k in range(tree.levels)]

@@ -362,6 +362,20 @@ def _(spark, d):
     return metrics.audit(rel, counts, tree.nodes())
 
 
+@query("audit_topdown_fit_blocks", _OK)
+def _(spark, d):
+    hist, counts, tree = _w1(spark, d)
+    rel = release.frozen(release.release_topdown(hist, counts, tree, _runs(spark, 0.3), "hg", 24, block_source="fit"))
+    return metrics.audit(rel, counts, tree.nodes())
+
+
+@query("topdown_best_methods")
+def _(spark, d):
+    hist, counts, tree = _w1(spark, d)
+    runs = _runs(spark, float(_EPS))
+    return release.release_topdown(hist, counts, tree, runs, release.best_methods(hist, counts, tree, runs, 24), 24)
+
+
 @query("bottom_up", q.stmt(q.base("w1", 24), q.runs("1.0"), q.hc_release(24), body=" union all ".join(f"select run_id, {j} as level, l{j} as node_id, size, sum(cnt)::bigint as cnt from est join (select distinct l0, l1, l2 from g) t on level = 2 and node_id = l2 group by all" for j in range(3))))
 def _(spark, d):
     hist, counts, tree = _w1(spark, d)
@@ -454,6 +468,13 @@ def _(spark, d):
     return metrics.error_profile(*_released(spark, d)[:2])
 
 
+@query("noise_density", f"select round(avg((noise <> 0)::int), 6) as nonzero, round(avg((noise > 0)::int), 6) as positive from (select {q.geometric('2.0', chr(39) + 'seed' + chr(39) + ', o_orderkey')} as noise from orders) t")
+def _(spark, d):
+    """Share of empty cells that noise makes non-zero, and positive; the law gives 2a / (1 + a) and half of it."""
+    cells = spark.read.parquet(f"{d}/orders.parquet").select(geometric_noise(2.0, "seed", F.col("o_orderkey")).alias("noise"))
+    return cells.agg(F.round(F.avg((F.col("noise") != 0).cast("int")), 6).alias("nonzero"), F.round(F.avg((F.col("noise") > 0).cast("int")), 6).alias("positive"))
+
+
 # questions to a release
 
 @query("release_quantiles", q.stmt(*_REL, body="select run_id, level, node_id, min(case when upto >= 0.5 * g then size end) as q50, min(case when upto >= 0.9 * g then size end) as q90 from (select *, sum(cnt) over (partition by run_id, level, node_id order by size rows unbounded preceding) as upto, sum(cnt) over (partition by run_id, level, node_id) as g from rel) t group by all"))

@@ -282,3 +282,11 @@ def test_plans(spark):
     assert "partial_count" in physical
     noisy = spark.range(10).select(geometric_noise(1.0, "k", F.col("id")))._jdf.queryExecution().toString()
     assert "Python" not in noisy and "Arrow" not in noisy
+
+
+def test_stage_meter(spark):
+    from sizeprofile.plans.meter import StageMeter
+
+    with StageMeter(spark, "count") as m:
+        spark.range(100).repartition(3).count()
+    assert m.seconds > 0 and m.jobs >= 1 and m.tasks >= 1 and m.to_df().count() == 1
