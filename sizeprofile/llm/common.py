@@ -141,6 +141,7 @@ def mapped(df: DataFrame, added: dict[str, str], kernel, drop: tuple[str, ...] =
     names = [*keep, *added]
 
     def run(batches):
+        release_held()
         one = kernel()
         for batch in batches:
             if batch.num_rows:
@@ -158,3 +159,10 @@ def kept_in_process(key, make):
         held.clear()  # one at a time: memory stays bounded
         held[key] = make()
     return held[key]
+
+
+def release_held() -> None:
+    """Kernels that keep nothing call this first, so that a reused worker gives back what an earlier stage kept."""
+    import sys
+
+    sys.__dict__.get("_sizeprofile_held", {}).clear()

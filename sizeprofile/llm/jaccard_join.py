@@ -19,15 +19,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batches_of, mixed64, rows_of, texts_of, written
+from .common import batches_of, mixed64, release_held, rows_of, texts_of, written
 from .components import connected_components
 from .substring_dedup import _LETTERS
 
 #: Shingles of at least 2**HOT_LEVEL counted copies are ordered by their count; at most HOT_SHINGLES of them.
 HOT_LEVEL, HOT_SHINGLES = 5, 200_000
-#: Numbers of required matches that a document may pick, and rounds of hub links at most.
-MATCHES, HUB_ROUNDS = (1, 2, 3, 4, 6, 8), 4
+#: Required matches that a document may pick, as multiples of the least; cost of a candidate against that of an entry in a list; rounds of hub links at most.
+MATCHES, CANDIDATE_COST, HUB_ROUNDS = (1.0, 1.25, 1.5, 2.0), 64.0, 4
 _CHUNK = 1 << 20
+_LAST = 2**63 - 1
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _ROLES = mixed64(np.arange(301, 306, dtype=np.uint64)) | np.uint64(1)
 
@@ -105,17 +106,36 @@ class Order:
         return out
 
     def prefix(self, s: np.ndarray, percent: int) -> tuple[int, np.ndarray]:
-        """(required matches, prefix) of a set; candidates of m matches number at most the lists' total length / m."""
+        """(required matches, prefix) of a set. The lists' estimated total length, over m, bounds the candidates of m matches."""
         n = len(s)
-        level = self.levels(s)
-        order = np.lexsort((s, level))
-        base = n + (-percent * n // 100)  # n - ceil(t n)
-        cost = np.cumsum(np.exp2(level[order][: base + MATCHES[-1]].astype(float)))
-        options = [m for m in MATCHES if base + m <= n and (m == 1 or percent * n >= 100 * m)]
-        m = min(options, key=lambda m: (cost[base + m - 1] / m + 0.05 * cost[base + m - 1], m))
+        order = np.lexsort((s, level := self.levels(s)))
+        base, least = n + (-percent * n // 100), least_matches(n, percent)
+        lists = np.cumsum(np.exp2(level[order].astype(float)))
+        options = {max(1, int(f * least)) for f in MATCHES}
+        m = min((m for m in options if base + m <= n), key=lambda m: (lists[base + m - 1] * (1 + CANDIDATE_COST / m), m))
         return m, s[order[: base + m]]
 
 
+def least_matches(n: int, percent: int) -> int:
+    """Matches that a set of n shingles asks for at least: a tenth of it, or as many as it may miss.
+
+    So a prefix is at most twice the shortest one, and who shares only a passage with others (its share of a prefix in
+    hash order is about its share of the text) falls short of the matches in most cases. Never falls as n grows.
+    """
+    return max(1, min(n + (-percent * n // 100), n // 10))
+
+
+#: Bits of a set's parity sketch, as 64-bit columns.
+SKETCH = ("p0", "p1", "p2", "p3")
+
+
+def parities(s: np.ndarray) -> np.ndarray:
+    """Whether the number of shingles in each of 256 hash classes is odd. A class in which two sets differ holds a
+    shingle that only one of them has, so differing bits never outnumber the sets' symmetric difference."""
+    odd = np.bincount(((s >> np.uint64(20)) & np.uint64(255)).astype(np.int64), minlength=256) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view("<i8")
+
+
 def node_of(s: np.ndarray) -> int:
     """64-bit identity of a set."""
     return int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True)
@@ -124,13 +144,13 @@ def node_of(s: np.ndarray) -> int:
 _SETS = pa.schema([("node", pa.int64()), ("own", pa.int64()), ("shingles", pa.binary())])
 
 
-def _known_filter(wanted: DataFrame) -> np.ndarray:
-    """A bitmap of the column `own`, of at most 8 MB at any size of the data; false hits only cost work."""
+def _bitmap(wanted: DataFrame, column: str) -> np.ndarray:
+    """A bitmap of a column of hashes, of at most 8 MB at any size of the data; false hits only cost work."""
     n = wanted.count()
     bits = 20
     while bits < 26 and (1 << bits) < 16 * n:
         bits += 1
-    slots = wanted.select(F.pmod("own", F.lit(1 << bits)).alias("slot"))
+    slots = wanted.select(F.pmod(column, F.lit(1 << bits)).alias("slot"))
     words = slots.groupBy(F.expr("slot div 64").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(slot % 64 as int))")).alias("bits")).toArrow()
     out = np.zeros(1 << (bits - 6), dtype=np.int64)
     out[words.column("word").to_numpy()] = words.column("bits").to_numpy()
@@ -141,6 +161,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose sets reach the similarity."""
 
     def check(batches):
+        release_held()
         for b in batches:
             sides = [[np.frombuffer(x, dtype="<u8") for x in b.column(k).to_pylist()] for k in (2, 3)]
             keep = []
@@ -170,6 +191,7 @@ def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_co
     rows = rows_of(docs, doc_id=F.col(f"`{id_col}`").cast("long"), text=F.coalesce(F.col(f"`{text_col}`"), F.lit("")))
 
     def count(batches):
+        release_held()
         shingler = Shingler(width)
         held: list[np.ndarray] = []
 
@@ -199,35 +221,57 @@ def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_co
     hot_keys, hot_levels = hot.column("shingle").to_numpy().view(np.uint64), hot.column("level").to_numpy().astype(np.int64)
 
     def scan(batches):
+        release_held()
         shingler, order = Shingler(width), Order(hot_keys, hot_levels)
         for b in batches:
-            node, n, matches, prefix = [], [], [], []
+            node, n, matches, prefix, sketch = [], [], [], [], []
             for s in shingler.sets(texts_of(b, "text")):
                 m, p = order.prefix(s, percent) if len(s) else (0, s)
+                sketch.append(parities(s))
                 node.append(node_of(s))
                 n.append(len(s))
                 matches.append(m)
                 prefix.append(p.tobytes())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(node, type=pa.int64()), pa.array(n, type=pa.int64()), pa.array(matches, type=pa.int32()), pa.array(prefix, type=pa.binary())], names=["doc_id", "node", "n", "m", "prefix"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(node, type=pa.int64()), pa.array(n, type=pa.int64()), pa.array(matches, type=pa.int32()), pa.array(prefix, type=pa.binary()), *map(pa.array, np.ascontiguousarray(np.array(sketch, dtype=np.int64).reshape(-1, len(SKETCH)).T))], names=["doc_id", "node", "n", "m", "prefix", *SKETCH])
 
-    judged = written(rows.mapInArrow(scan, "doc_id long, node long, n long, m int, prefix binary"), "prefixes")
-    nodes = judged.where("n > 0").groupBy("node", "n", "m").agg(F.min("doc_id").alias("doc_id"), F.first("prefix").alias("prefix"))  # equal nodes have equal prefixes
+    judged = written(rows.mapInArrow(scan, f"doc_id long, node long, n long, m int, prefix binary, {', '.join(f'{p} long' for p in SKETCH)}"), "prefixes")
+    nodes = written(judged.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id")), "nodes")
+    first = _bitmap(nodes.select(_own(F.col("doc_id")).alias("own")), "own")  # leaves out most copies of a set before their prefixes are listed
 
-    def lists(batches):
-        for b in batches:
-            raw = [np.frombuffer(x, dtype="<i8") for x in b.column(4).to_pylist()]
-            many = np.array([len(x) for x in raw], dtype=np.int64)
-            pick = pa.array(np.repeat(np.arange(b.num_rows), many))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(raw)), *(b.column(k).take(pick) for k in (0, 1, 2, 3))], names=["shingle", "node", "n", "m", "own"])
-
-    listed = nodes.select("node", "n", "m", _own(F.col("doc_id")).alias("own"), "prefix").mapInArrow(lists, "shingle long, node long, n long, m int, own long")
-    shared = listed.groupBy("shingle").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("shingle")
-    listed = written(listed.join(shared, "shingle"), "shared-prefixes")
-    wanted = listed.select("node", "own").distinct()
-    known = _known_filter(wanted)
-    mask = len(known) * 64 - 1
+    def lists(known: np.ndarray | None):
+        """Entries of the nodes' prefixes; with a bitmap of shared shingles, of those nodes only that share enough for any partner."""
+
+        def run(batches):
+            release_held()
+            for b in batches:
+                node, n = (b.column(k).to_numpy(zero_copy_only=False) for k in (1, 2))
+                own = node ^ np.array([-1 if x is None else x for x in b.column(0).to_pylist()], dtype=np.int64)
+                raw = [np.frombuffer(x, dtype="<i8") if f else np.zeros(0, dtype=np.int64) for x, f in zip(b.column(4).to_pylist(), _known(first, own))]
+                if known is not None:
+                    for k, x in enumerate(raw):
+                        hit = _known(known, x)
+                        raw[k] = x[hit] if hit.sum() >= least_matches(-(-percent * int(n[k]) // 100), percent) else x[:0]
+                pick = np.repeat(np.arange(b.num_rows), np.array([len(x) for x in raw], dtype=np.int64))
+                if len(pick):
+                    where = pa.array(pick)
+                    kept = (1, 2, 3, 5, 6, 7, 8) if known is not None else ()
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(raw)), *(b.column(k).take(where) for k in kept)], names=["shingle", *(b.schema.names[k] for k in kept)])
+
+        return run
+
+    entry = f"shingle long, node long, n long, m int, {', '.join(f'{p} long' for p in SKETCH)}"
+    columns = judged.where("n > 0").select("doc_id", "node", "n", "m", "prefix", *SKETCH)
+    shared = columns.mapInArrow(lists(None), "shingle long").groupBy("shingle").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("shingle")
+    for _ in range(2):  # nodes that drop out take lists along
+        shared = written(shared, "shared-shingles")
+        listed = columns.mapInArrow(lists(_bitmap(shared, "shingle")), entry)
+        shared = listed.groupBy("shingle").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("shingle")
+    listed = written(listed.join(shared, "shingle").dropDuplicates(["shingle", "node"]), "lists")
+    wanted = written(nodes.select("node", _own(F.col("doc_id")).alias("own")).join(listed.select("node").distinct(), "node", "left_semi"), "wanted")
+    known = _bitmap(wanted, "own")
 
     def fetch(batches):
+        release_held()
         shingler = Shingler(width)
 
         def one():
@@ -235,33 +279,40 @@ def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_co
                 for doc_id, s in zip(b.column(0).to_pylist(), shingler.sets(texts_of(b, "text"))):
                     node = node_of(s)
                     own = node ^ (-1 if doc_id is None else doc_id)
-                    if known[(own & mask) >> 6] >> (own & 63) & 1:
+                    if _known(known, np.array([own], dtype=np.int64))[0]:
                         yield node, own, s.tobytes()
 
         yield from batches_of(_SETS, one(), weigh=lambda r: len(r[2]))
 
     fetched = rows.select("doc_id", "text").mapInArrow(fetch, "node long, own long, shingles binary")
     sets = written(fetched.join(wanted, ["node", "own"], "left_semi").dropDuplicates(["node"]).select("node", "shingles"), "sets")
-    roots = _linked(listed.drop("own"), sets, percent)
-    ids = nodes.select("node", "doc_id")
+    roots = _linked(listed, sets, percent)
+    ids = nodes
     smallest = roots.join(ids, "node").groupBy("root").agg(F.min("doc_id").alias("component_id"))
     by_node = ids.join(roots, "node", "left").join(smallest, "root", "left").select("node", F.coalesce("component_id", "doc_id").alias("component_id"))
     out = judged.select("doc_id", "node", "n").join(written(by_node, "node-components"), "node", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
+def _known(bitmap: np.ndarray, x: np.ndarray) -> np.ndarray:
+    slot = x.view(np.uint64) & np.uint64(len(bitmap) * 64 - 1)
+    return (bitmap[(slot >> np.uint64(6)).astype(np.int64)].view(np.uint64) >> (slot & np.uint64(63))) & np.uint64(1) == 1
+
+
 def _own(doc_id: F.Column) -> F.Column:
     """Tells the one row that stands for a node from its copies."""
     return F.col("node").bitwiseXOR(F.coalesce(doc_id, F.lit(-1).cast("long")))
 
 
-def _near(a: str, b: str, percent: int) -> F.Column:
-    """Set sizes that the similarity allows."""
-    return 100 * F.least(a, b) >= percent * F.greatest(a, b)
+def _near(tail: str, percent: int) -> F.Column:
+    """Set sizes and sketches that the similarity allows, for an entry and another whose columns end with `tail`."""
+    a, b = F.col("n"), F.col(f"n{tail}")
+    apart = sum((F.bit_count(F.col(p).bitwiseXOR(F.col(f"{p}{tail}"))) for p in SKETCH[1:]), F.bit_count(F.col(SKETCH[0]).bitwiseXOR(F.col(f"{SKETCH[0]}{tail}"))))
+    return (100 * F.least(a, b) >= percent * F.greatest(a, b)) & (apart * (100 + percent) <= (100 - percent) * (a + b))
 
 
 def _linked(listed: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """node and root of all nodes with a link, from the lists (shingle, node, n, m)."""
+    """node and root of all nodes with a link, from the lists (shingle, node, n, m, sketch)."""
     links: DataFrame | None = None
     tried: DataFrame | None = None
     roots: DataFrame | None = None
@@ -274,9 +325,10 @@ def _linked(listed: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
         nonlocal links, tried, roots
         pairs = written(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
         good = written(_verified(pairs, sets, percent), "verified")
-        links = good if links is None else links.unionByName(good)
         tried = pairs if tried is None else tried.unionByName(pairs)
-        roots = written(connected_components(links), "roots")
+        if roots is None or not good.isEmpty():
+            links = good if links is None else links.unionByName(good)
+            roots = written(connected_components(links), "roots")
 
     for k in range(HUB_ROUNDS):
         here = written(placed(), "placed")
@@ -287,16 +339,16 @@ def _linked(listed: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
             return roots if roots is not None else connected_components(listed.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0))
         if across <= n_listed and k:
             break
-        hubs = here.groupBy("shingle").agg(F.min(F.struct(F.xxhash64(F.lit(k), "node").alias("h"), F.col("node").alias("hub"), F.col("n").alias("hub_n"), F.col("comp").alias("hub_comp"))).alias("x"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("shingle", "x.hub", "x.hub_n", "x.hub_comp")
-        met = here.join(hubs, "shingle").where((F.col("comp") != F.col("hub_comp")) & _near("n", "hub_n", percent))
-        add(met.select(F.least("node", "hub").alias("a"), F.greatest("node", "hub").alias("b")).distinct())
+        hubs = here.groupBy("shingle").agg(F.min(F.struct(F.xxhash64(F.lit(k), "node").alias("h"), *[F.col(c).alias(f"{c}_") for c in ("node", "n", "comp", *SKETCH)])).alias("x"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("shingle", *[f"x.{c}_" for c in ("node", "n", "comp", *SKETCH)])
+        met = here.join(hubs, "shingle").where((F.col("comp") != F.col("comp_")) & _near("_", percent))
+        add(met.select(F.least("node", "node_").alias("a"), F.greatest("node", "node_").alias("b")).distinct())
 
     here = written(placed(), "placed")
     counts = here.groupBy("shingle", "comp").agg(F.count(F.lit(1)).alias("q"))
     largest = counts.groupBy("shingle").agg(F.max(F.struct("q", "comp")).alias("x"), F.count(F.lit(1)).alias("comps")).where("comps > 1").select("shingle", F.col("x.comp").alias("largest"))
     rest = here.join(largest, "shingle")
-    few = rest.where("comp <> largest").select("shingle", *[F.col(c).alias(f"{c}_") for c in ("node", "n", "m", "comp")])
-    met = few.join(rest, "shingle").where((F.col("comp") != F.col("comp_")) & ((F.col("comp") == F.col("largest")) | (F.col("node") < F.col("node_"))) & _near("n", "n_", percent))
+    few = rest.where("comp <> largest").select("shingle", *[F.col(c).alias(f"{c}_") for c in ("node", "n", "m", "comp", *SKETCH)])
+    met = few.join(rest, "shingle").where((F.col("comp") != F.col("comp_")) & ((F.col("comp") == F.col("largest")) | (F.col("node") < F.col("node_"))) & _near("_", percent))
     pairs = met.groupBy(F.least("node", "node_").alias("a"), F.greatest("node", "node_").alias("b")).agg(F.count(F.lit(1)).alias("k"), F.max(F.least("m", "m_")).alias("need"))
     add(pairs.where("k >= need").select("a", "b"))
     return roots
@@ -304,3 +356,19 @@ def _linked(listed: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def op1_jaccard_join(spark, sf_dir: str) -> DataFrame:
     return jaccard_components(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+
+
+OP1_SQL = r"""
+with recursive w as (
+  select doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[ \t\n\x0b\f\r]+'), lambda x: x <> '') as w from documents
+), sets as (
+  select doc_id, case when len(w) = 0 then [] when len(w) < 3 then [array_to_string(w, ' ')] else list_distinct(list_transform(range(1, len(w) - 1), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2])) end as s from w
+), sized as (select doc_id, len(s)::bigint as n from sets),
+items as (select doc_id, unnest(s) as t from sets),
+frequency as (select t, count(*) as k from items group by t having count(*) > 1),
+shared as (select a.doc_id as a, b.doc_id as b, count(*) as k from items a join frequency using (t) join items b on a.t = b.t and a.doc_id < b.doc_id group by a.doc_id, b.doc_id),
+links as (select a, b from shared join sized x on x.doc_id = a join sized y on y.doc_id = b where 100 * k >= 90 * (x.n + y.n - k)),
+edges as (select a, b from links union all select b, a from links),
+reach(a, b) as (select doc_id, doc_id from documents union select r.a, e.b from reach r join edges e on e.a = r.b)
+select doc_id, n as n_shingles, least_id as component_id from sized join (select a, min(b) as least_id from reach group by a) r on r.a = doc_id
+"""
