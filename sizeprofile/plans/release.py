@@ -9,22 +9,7 @@ from ..functions.noise import laplace_noise
 from ..operators import estimators, matching, profile
 from ..operators.estimators import KEYS
 from ..operators.tree import RegionTree
-
-
-def frozen(df: DataFrame) -> DataFrame:
-    """Draw noise once: the frame is written to the checkpoint folder before anything is derived from it.
-
-    A second evaluation of keyed noise gives the same draws, but a release must not depend on that. Needs
-    spark.checkpoint.dir; in local mode a temporary folder is set if there is none.
-    """
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        if df.sparkSession.conf.get("spark.checkpoint.dir", None) is None and not sc.master.startswith("local"):
-            raise ValueError("spark.checkpoint.dir is unset: on a cluster it must name a folder that all executors share")
-        import tempfile
-
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="sizeprofile-"))
-    return df.checkpoint()
+from ..sources.storage import frozen
 
 
 def merge(match: DataFrame, how: str = "weighted") -> DataFrame:
