@@ -20,11 +20,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batches_of, mapped, mixed64, texts_of, written
+from .common import batches_of, mapped, mixed64, release_held, texts_of, written
 
-LENGTH, GRAM = 200, 32
+LENGTH, GRAM = 200, 64
 #: Bytes of text handled at once when anchors are picked, and bytes of contexts in one transform.
-CHUNK_BYTES, BLOCK_BYTES = 1 << 20, 1 << 20
+CHUNK_BYTES, BLOCK_BYTES = 1 << 20, 256 << 10
 #: Grams more frequent than HOT_COUNT (or one in HOT_KEYS of all) are picked last; at most HOT_KEYS of them are known.
 HOT_COUNT, HOT_KEYS = 500, 100_000
 _ODD = [int(x) | 1 for x in mixed64(np.arange(11, 19, dtype=np.uint64))]
@@ -109,15 +109,23 @@ def repeated_starts(text: bytes, valid: np.ndarray, length: int) -> np.ndarray:
     key = np.zeros(n, dtype=np.uint64)
     for k in range(8):  # rotations are sorted: no end mark is needed, and no valid window runs past the end
         key = key << np.uint64(8) | np.roll(codes, -k)
+    order = np.argsort(key, kind="stable")
+    ranked = key[order]
+    begins = np.r_[True, ranked[1:] != ranked[:-1]]  # first row of each group of rotations not yet told apart
+    rank = np.empty(n, dtype=np.int64)
+    rank[order] = np.maximum.accumulate(np.where(begins, np.arange(n), 0))
     size = 8
-    while True:
-        order = np.argsort(key, kind="stable")
-        ranked = key[order]
-        rank = np.empty(n, dtype=np.int64)
-        rank[order] = np.cumsum(np.r_[0, (ranked[1:] != ranked[:-1]).astype(np.int64)])
-        if size >= 256 or rank[order[-1]] == n - 1:
+    while size < 256:  # prefix doubling, on groups of two and more only
+        rows = np.flatnonzero(~(begins & np.r_[begins[1:], True]))
+        if not len(rows):
             break
-        key = rank * n + np.roll(rank, -size)
+        places = order[rows]
+        key = rank[places] * n + rank[(places + size) % n]
+        by_key = np.argsort(key, kind="stable")
+        places, key = places[by_key], key[by_key]
+        order[rows] = places
+        begins[rows] = np.r_[True, key[1:] != key[:-1]]
+        rank[places] = rows[np.maximum.accumulate(np.where(begins[rows], np.arange(len(rows)), 0))]
         size *= 2
     # the transform, and where each row's letter stands when it comes first
     letter = codes[order - 1].astype(np.int64)
@@ -198,7 +206,7 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
     Texts are shuffled once by hash; both joins use that exchange.
     """
     if not GRAM < length <= 256:
-        raise ValueError("length must be in 33..256")
+        raise ValueError(f"length must be in {GRAM + 1}..256")
     raw = F.coalesce(F.col(f"`{text_col}`"), F.lit(""))
     gone = {"n_bytes", "n_removed", "n_spans", "kept", text_col.lower()}
     others = [c for c in docs.columns if c.lower() not in gone]
@@ -206,6 +214,7 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
     scanned = inner.select("tid", "size", "text").where(F.col("size") >= length)
 
     def count_grams(batches):
+        release_held()
         for b in batches:
             for _, key, _, _ in contexts(texts_of(b, "text"), length, HotGrams(np.zeros(0, dtype=np.uint64))):
                 values, counts = np.unique(key, return_counts=True)
@@ -219,6 +228,7 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
     frequent = np.array([r.key for r in counts.where(F.col("key").isNotNull() & (F.col("n") >= least)).select("key").collect()], dtype=np.int64).view(np.uint64)
 
     def scan(batches):
+        release_held()
         hot = HotGrams(frequent)
         for b in batches:
             texts = texts_of(b, "text")
@@ -251,6 +261,7 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
     dealt = cut.dropDuplicates(["key", "tid", "size", "span"]).repartition("key").sortWithinPartitions("key")
 
     def transform(batches):
+        release_held()
         def blocks():
             held, size, last = [], 0, None
             for b in batches:
@@ -298,3 +309,20 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
 def op9_substring_dedup(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     return remove_repeated(docs).select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+
+
+OP9_SQL = r"""
+with h as (select doc_id, hex(encode(coalesce(text, ''))) as x from documents),
+n as (select doc_id, x, (length(x) // 2)::bigint as n_bytes from h),
+w as (select doc_id, s, md5(substr(x, 2 * s + 1, 400)) as k from (select doc_id, x, unnest(range(0, greatest(n_bytes - 199, 0))) as s from n) t),
+hit as (select doc_id, s from w where k in (select k from w group by k having count(*) > 1)),
+run as (select doc_id, s, sum(new) over (partition by doc_id order by s rows unbounded preceding) as r
+  from (select doc_id, s, case when s - lag(s) over (partition by doc_id order by s) <= 200 then 0 else 1 end as new from hit) t),
+span as (select doc_id, r, min(s) as a, max(s) + 200 as b from run group by doc_id, r),
+left_over as (
+  select n.doc_id, s.r as r, substr(n.x, 2 * coalesce(lag(s.b) over (partition by n.doc_id order by s.a), 0) + 1, 2 * (s.a - coalesce(lag(s.b) over (partition by n.doc_id order by s.a), 0))) as part from n join span s on s.doc_id = n.doc_id
+  union all select n.doc_id, 1000000000, substr(n.x, 2 * coalesce(max(s.b), 0) + 1) from n left join span s on s.doc_id = n.doc_id group by n.doc_id, n.x),
+kept as (select doc_id, sha256(unhex(string_agg(part, '' order by r))) as kept_sha256 from left_over group by doc_id)
+select n.doc_id, n.n_bytes, coalesce(sum(s.b - s.a), 0)::bigint as n_removed, count(s.r) as n_spans, k.kept_sha256
+from n left join span s on s.doc_id = n.doc_id join kept k on k.doc_id = n.doc_id group by n.doc_id, n.n_bytes, k.kept_sha256
+"""
