@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import CONTINUATION, SPACE, batches_of, mapped, rows_of, texts_of, written
+from .common import CONTINUATION, SPACE, batches_of, mapped, release_held, rows_of, texts_of, written
 
 #: A word is a bin of its language's reference if it makes up this share of the language's words or more: 1/share bins at most.
 COMMON_SHARE = 0.002
@@ -106,6 +106,7 @@ _HELD_WORDS = 200_000
 
 def _partial_counts(batches):
     """Partial counts of a task's rows: by language, of each character class, of all words and of each word."""
+    release_held()
     words: dict[str | None, Counter] = {}
     sums: dict[str | None, np.ndarray] = {}
 
@@ -191,4 +192,31 @@ def quality_rules(docs: DataFrame, references: dict[str, Reference] | None = Non
 
 def op5_quality_rules(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "lang", "text")
-    return quality_rules(docs).drop("lang", "text")
+    return quality_rules(docs).drop("lang", "text", "class_distance", "word_distance")
+
+
+OP5_SQL = r"""
+with d as (select doc_id, lang, coalesce(text, '') as t, list_filter(string_split_regex(coalesce(text, ''), '[ \t\n\x0b\f\r]+'), lambda x: x <> '') as w from documents),
+lines as (select doc_id, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^ \t\n\x0b\f\r]')) as l from d),
+win as (select doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] as g from (select doc_id, w, unnest(range(1, greatest(len(w) - 1, 1))) as i from d) x where w[i + 2] is not null),
+dup as (select doc_id, i from win where (doc_id, g) in (select (doc_id, g) from win group by doc_id, g having count(*) > 1)),
+rep as (select doc_id, count(distinct i + k) as n from dup, range(3) r(k) group by doc_id),
+base as (select d.doc_id, lang, t, w, len(w)::bigint as n_words, length(regexp_replace(t, '[ \t\n\x0b\f\r]', '', 'g'))::bigint as word_chars,
+  (length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')))::bigint as n_symbols, (len(l) - len(list_distinct(l)))::bigint as n_dup_lines, coalesce(rep.n, 0)::bigint as n_repeat_words
+  from d join lines using (doc_id) left join rep using (doc_id)),
+cls as (select doc_id, lang, k, (length(t) - length(regexp_replace(t, p, '', 'g')))::double as n from d,
+  (values (0, '[a-z]'), (1, '[A-Z]'), (2, '[0-9]'), (3, '[ \t\n\x0b\f\r]'), (4, '[.,;:!?''"()\-]'), (5, '[\x00-\x08\x0e-\x1f#$%&*+/<=>@\[\\\]^_`{|}~\x7f]'), (6, '[^\x00-\x7f]')) c(k, p)),
+cref as (select lang, k, sum(n) as n from cls group by all),
+words as (select doc_id, lang, unnest(w) as w from d),
+lw as (select lang, w, count(*) as n from words group by all),
+common as (select lang, w, n from (select *, sum(n) over (partition by lang) as total from lw) x where n >= 0.002 * total),
+wd as (select doc_id, lang, coalesce(c.w, '') as b, count(*)::double as n from words left join common c using (lang, w) group by all),
+wref as (select lang, coalesce(c.w, '') as b, sum(lw.n)::double as n from lw left join common c using (lang, w) group by all),
+cp as (select c.doc_id, c.n / sum(c.n) over (partition by c.doc_id) as p, r.n / sum(r.n) over (partition by c.doc_id) as q from cls c join cref r using (lang, k)),
+cdist as (select doc_id, sqrt(greatest(sum(DIVERGENCE), 0) / 2) as x from cp group by doc_id),
+wp as (select x.doc_id, coalesce(wd.n, 0) / sum(wd.n) over (partition by x.doc_id) as p, r.n / sum(r.n) over (partition by x.doc_id) as q from d x join wref r using (lang) left join wd on wd.doc_id = x.doc_id and wd.b = r.b),
+wdist as (select doc_id, sqrt(greatest(sum(DIVERGENCE), 0) / 2) as x from wp group by doc_id)
+select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (n_words < 50 or 100 * n_repeat_words > 50 * n_words) as base_failed,
+  not (n_words < 50 or 100 * n_repeat_words > 50 * n_words) and cdist.x <= 0.3 and wdist.x <= 0.5 as kept
+from base left join cdist using (doc_id) left join wdist using (doc_id)
+""".replace("DIVERGENCE", "(case when p > 0 then p * log2(p / ((p + q) / 2)) else 0 end + case when q > 0 then q * log2(q / ((p + q) / 2)) else 0 end)")

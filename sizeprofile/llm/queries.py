@@ -21,4 +21,11 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_line_dedup": line_dedup.OP2_SQL, "op4_warc": warc.OP4_SQL, "op7_top_k": topk.OP7_SQL}
+    return {
+        "op1_jaccard_join": jaccard_join.OP1_SQL,
+        "op2_line_dedup": line_dedup.OP2_SQL,
+        "op4_warc": warc.OP4_SQL,
+        "op5_quality_rules": quality_rules.OP5_SQL,
+        "op7_top_k": topk.OP7_SQL,
+        "op9_substring_dedup": substring_dedup.OP9_SQL,
+    }

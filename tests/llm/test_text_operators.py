@@ -91,7 +91,7 @@ def test_jaccard_join_on_chains_and_frequent_shingles(spark):
 
 
 def test_substring_dedup_against_brute_force(spark):
-    for length in (40, 200):
+    for length in (70, 200):
         got = substring_dedup.remove_repeated(documents(spark), length)
         raw = [(i, (t or "").encode()) for i, t, *_ in rows()]
         seen = Counter(b[k : k + length] for _, b in raw for k in range(len(b) - length + 1))
