@@ -15,9 +15,9 @@ from pyspark.sql import functions as F
 from .common import file_store, free_name, kept_in_process
 
 #: Distinct words whose ids a worker process keeps from block to block; others are encoded anew in each block.
-REMEMBERED_WORDS = 200_000
+REMEMBERED_WORDS = 300_000
 #: Bytes of text in one replay block; a longer document makes a block of its own.
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 3 << 20
 
 
 def load_ranks(path: str) -> list[bytes]:
