@@ -22,25 +22,28 @@ def dedup_lines(docs: DataFrame, threshold: int = 10, min_chars: int = 1, id_col
 
     Returns the columns of `docs` with the text replaced, plus n_lines (before) and n_dropped; input columns of these
     two names are replaced. A null or empty text is one empty line. Keys shorter than `min_chars` code points are
-    never dropped. Rows that repeat an id (or a null id) count as one document for the threshold and each row is
-    returned. All lines dropped: the text is empty.
+    never dropped. Rows that repeat an id (or a null id) count as one document for the threshold, but each row is
+    returned and loses only its own frequent lines: rows are told apart by id and a hash of the text. All lines
+    dropped: the text is empty.
 
-    Plan: 24-byte (key hash, id, position) rows are all that is exploded and shuffled. Keys are counted over distinct
+    Plan: (key hashes, id, text hash, position) rows are all that is exploded and shuffled. Keys are counted over distinct
     (key, id) pairs, first by both columns, so that one very common line is spread over all tasks, then by key with
     partial sums. The join of lines with the frequent keys is a plain equi-join whose hot partitions AQE splits; it
-    turns into a broadcast only if the measured side is below Spark's threshold. Texts are shuffled once, by id.
+    turns into a broadcast only if the measured side is below Spark's threshold. Texts are shuffled once, by id and text
+    hash, so that rows with a null id are spread, too.
     """
     names = docs.columns
-    lines_col, drop_col, keep_col = (free_name(names, n) for n in ("lines", "dropped_at", "kept_at"))
+    lines_col, drop_col, keep_col, hash_col = (free_name(names, n) for n in ("lines", "dropped_at", "kept_at", "text_hash"))
     split = F.split(F.coalesce(F.col(f"`{text_col}`"), F.lit("")), "\n", -1)
-    lines = rows_of(docs, id=id_col, lines=split).select("id", F.posexplode("lines").alias("pos", "line"))
-    keyed = lines.select("id", "pos", line_key(F.col("line")).alias("key")).where(F.length("key") >= min_chars)
-    keyed = keyed.select("id", "pos", F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(1), "key").alias("h2"))
+    hashed = F.xxhash64(F.coalesce(F.col(f"`{text_col}`"), F.lit("")))
+    lines = rows_of(docs, id=id_col, text_hash=hashed, lines=split).select("id", "text_hash", F.posexplode("lines").alias("pos", "line"))
+    keyed = lines.select("id", "text_hash", "pos", line_key(F.col("line")).alias("key")).where(F.length("key") >= min_chars)
+    keyed = keyed.select("id", "text_hash", "pos", F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(1), "key").alias("h2"))
     common = keyed.select("h1", "h2", "id").distinct().groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= threshold).select("h1", "h2")
-    dropped = keyed.join(common, ["h1", "h2"]).groupBy("id").agg(F.collect_set("pos").alias("at"))
-    found = dropped.select(F.col("id").alias(free_name(names, "dropped_id")), F.col("at").alias(drop_col))
-    held = docs.withColumn(lines_col, split).drop(text_col)
-    joined = held.join(found, F.col(f"`{id_col}`").eqNullSafe(F.col(found.columns[0])), "left")
+    dropped = keyed.join(common, ["h1", "h2"]).groupBy("id", "text_hash").agg(F.collect_set("pos").alias("at"))
+    found = dropped.select(F.col("id").alias(free_name(names, "dropped_id")), F.col("text_hash").alias(free_name([*names, hash_col], "dropped_hash")), F.col("at").alias(drop_col))
+    held = docs.withColumn(lines_col, split).withColumn(hash_col, hashed).drop(text_col)
+    joined = held.join(found, F.col(f"`{id_col}`").eqNullSafe(F.col(found.columns[0])) & (F.col(hash_col) == F.col(found.columns[1])), "left")
     n = F.size(lines_col)
     at = F.coalesce(F.col(drop_col), F.array().cast("array<int>"))
     out = joined.withColumn(keep_col, F.array_except(F.sequence(F.lit(0), n - 1), at))

@@ -35,6 +35,14 @@ def test_line_dedup_against_brute_force(spark):
     assert dict(out.dtypes)["n_dropped"] == "bigint"
 
 
+def test_line_dedup_of_rows_that_share_an_id(spark):
+    frequent = [(k, f"often\nown {k}") for k in range(10)]
+    shared = [(None, "often\nfirst"), (None, "second\noften"), (None, "third\nfourth"), (None, None), (3, "clean\noften\nOFTEN "), (3, "also\nclean")]
+    out = line_dedup.dedup_lines(spark.createDataFrame(frequent + shared, "doc_id long, text string"))
+    want = [(k, f"own {k}", 2, 1) for k in range(10)] + [(None, "first", 2, 1), (None, "second", 2, 1), (None, "third\nfourth", 2, 0), (None, "", 1, 0), (3, "clean", 3, 2), (3, "also\nclean", 2, 0)]
+    assert Counter(map(tuple, out.select("doc_id", "text", "n_lines", "n_dropped").collect())) == Counter(want)
+
+
 def test_line_dedup_plan_is_native(spark):
     plan = line_dedup.dedup_lines(documents(spark))._jdf.queryExecution().toString()
     assert not re.search("Python|Arrow|Pandas|Cartesian|NestedLoop", plan)
