@@ -19,6 +19,8 @@ from .common import mapped, rows_of, texts_of, written
 MAX_LABELLED_ROWS, MAX_LABELLED_BYTES = 2_000, 64 << 10
 BUCKETS, STEPS, RATE, DECAY = 2048, 200, 2.0, 1e-3
 ROUNDS = 60
+#: Weight of the ridge on rate - 1, as a share of the tokens a domain: it only decides between rates that fit equally well.
+RIDGE = 1e-4
 
 
 def bag(raw: bytes, known: dict[bytes, int]) -> tuple[int, np.ndarray]:
@@ -102,40 +104,49 @@ def fit_rates(table: DataFrame, targets: dict[str, float], total: float | None =
     projected gradient steps with lazy projection: the gradient with respect to a row's rate is a linear function of
     its membership, so the sum of all steps so far is one number a domain, and the rate is 1 plus that function,
     clipped to [least, most]. A round is one aggregation that sends those few sums to the driver; no row state is kept.
-    Steps are scaled by the second moments of the memberships of the rows inside their bounds and halved when they don't lower the gap. Targets are
-    normalised to sum to `total` (default: the tokens there are). Rows without tokens get a rate but add nothing.
+    Steps are scaled by the second moments of the memberships of the rows within their bounds; a row on a bound counts,
+    as it may move inwards. A step is halved until it raises the dual of the problem with a small ridge on rate - 1:
+    unlike the gap, the dual has a slope also where rows sit on a bound, so some step length is always accepted. Targets
+    are normalised to sum to `total` (default: the tokens there are). Rows without tokens get a rate but add nothing.
     """
     d, p, t = len(targets), F.col("membership"), F.col("n_tokens")
     wanted = np.array(list(targets.values()), dtype=float)
     wanted = wanted / wanted.sum() if wanted.sum() else np.full(d, 1 / d)
     cells = [(i, j) for i in range(d) for j in range(i, d)]
 
+    def move(shift: np.ndarray) -> Column:
+        return sum((F.lit(float(v)) * p[k] for k, v in enumerate(shift)), F.lit(1.0))
+
     def rate(shift: np.ndarray) -> Column:
-        move = sum((F.lit(float(v)) * p[k] for k, v in enumerate(shift)), F.lit(1.0))
-        return F.least(F.lit(float(most)), F.greatest(F.lit(float(least)), move))
-
-    def look(shift: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Expected totals, and second moments of the memberships of the rows that are free to move."""
-        r = rate(shift)
-        free = F.when((r > least) & (r < most), t).otherwise(0)
-        got = table.agg(*[F.coalesce(F.sum(r * t * p[k]), F.lit(0.0)) for k in range(d)], *[F.coalesce(F.sum(free * p[i] * p[j]), F.lit(0.0)) for i, j in cells]).first()
+        return F.least(F.lit(float(most)), F.greatest(F.lit(float(least)), move(shift)))
+
+    def look(shift: np.ndarray) -> tuple[np.ndarray, float, np.ndarray]:
+        """Expected totals, the rows' part of the dual, and second moments of the memberships of the rows within their bounds."""
+        rows = table.select(t, p, move(shift).alias("m"), rate(shift).alias("r"))
+        m, r = F.col("m"), F.col("r")
+        free = F.when((m >= least) & (m <= most), t).otherwise(0)
+        sums = [*[r * t * p[k] for k in range(d)], t * r * (m - r / 2), *[free * p[i] * p[j] for i, j in cells]]
+        got = rows.agg(*[F.coalesce(F.sum(x), F.lit(0.0)) for x in sums]).first()
         moments = np.zeros((d, d))
-        for (i, j), v in zip(cells, got[d:]):
+        for (i, j), v in zip(cells, got[d + 1 :]):
             moments[i, j] = moments[j, i] = v
-        return np.array(got[:d], dtype=float), moments
+        return np.array(got[:d], dtype=float), got[d], moments
 
     tokens = table.agg(F.coalesce(F.sum(t), F.lit(0))).first()[0]
     wanted = wanted * float(tokens * (1 if total is None else total))
+    ridge = max(1e-9, RIDGE * tokens / d)
     shift, scale = np.zeros(d), 1.0
-    reached, moments = look(shift)
+    reached, part, moments = look(shift)
     for _ in range(rounds):
-        gap = wanted - reached
-        if np.abs(gap).max() <= 1e-4 * wanted.sum() or scale < 1e-3:
+        slope = wanted - reached - ridge * shift
+        if min(np.abs(wanted - reached).max(), 10 * np.abs(slope).max()) <= 1e-4 * wanted.sum():
             break
-        trial = shift + scale * np.linalg.solve(moments + np.eye(d) * max(1e-9, 1e-4 * tokens / d), gap)
-        got, free = look(trial)
-        if np.linalg.norm(wanted - got) < np.linalg.norm(gap):
-            shift, reached, moments, scale = trial, got, free, min(1.0, 2 * scale)
+        step = scale * np.linalg.solve(moments + np.eye(d) * ridge, slope)
+        trial = shift + step
+        got, rows, free = look(trial)
+        gain = wanted @ step - (rows - part) - ridge / 2 * (trial @ trial - shift @ shift)
+        if gain >= 1e-4 * (slope @ step):
+            shift, reached, part, moments, scale = trial, got, rows, free, min(1.0, 2 * scale)
         else:
             scale /= 2
     return table.withColumn("rate", rate(shift)), wanted, reached

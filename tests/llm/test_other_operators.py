@@ -150,6 +150,21 @@ def test_mixing_meets_targets(spark):
     assert np.linalg.norm(want - reached) <= 1.05 * np.linalg.norm(want - a @ rate) + 1e-3 * want.sum()
 
 
+def test_mixing_when_all_rates_start_on_a_bound(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    labels = mixing.label_domains(spark.read.parquet("/root/testdata/sf0.01/labels.parquet"))
+    table = mixing.memberships(docs, labels, list(corpus_pipeline.MIX)).cache()
+    most = corpus_pipeline.MIX_MOST
+    rated, want, reached = mixing.fit_rates(table, corpus_pipeline.MIX, corpus_pipeline.MIX_TOTAL, least=1.0, most=most)
+    p = rated.select("n_tokens", "membership", "rate").toPandas()
+    a = np.stack([p.n_tokens * p.membership.map(lambda m: m[k]) for k in range(4)])
+    rate, step = np.ones(len(p)), 1 / np.linalg.norm(a, 2) ** 2
+    for _ in range(20_000):
+        rate = np.clip(rate + step * (a.T @ (want - a @ rate)), 1.0, most)
+    assert np.linalg.norm(want - reached) <= 1.01 * np.linalg.norm(want - a @ rate) + 1e-3 * want.sum()
+    assert p.rate.between(1.0, most).all() and p.rate.max() >= 2  # rows of rate 2 have two copies or more
+
+
 def test_mixing_edge_cases(spark):
     labels = spark.createDataFrame([(k, "a" if k % 2 else "b") for k in range(60)] + [(None, "a"), (1, None), (2, "c")], "doc_id long, domain string")
     out = mixing.mix_to_targets(documents(spark), labels, {"a": 1.0, "b": 1.0}).collect()
