@@ -9,17 +9,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import CONTINUATION, SPACE, batches_of, mapped, release_held, rows_of, texts_of, written
+from .common import CONTINUATION, SPACE, batches_of, free_name, mapped, release_held, rows_of, texts_of, written
 
 #: A word is a bin of its language's reference if it makes up this share of the language's words or more: 1/share bins at most.
 COMMON_SHARE = 0.002
-#: Languages with a smaller share of the corpus are pooled into one reference: 1/share + 1 references at most.
-LANGUAGE_SHARE = 0.001
+#: References sent along to all tasks: those of the languages with most words. Others are joined by language.
+SENT_LANGUAGES = 1_000
 #: Minimum-length guards: shorter documents get no verdict from the divergence, thinner references give none.
 MIN_WORDS, MIN_REFERENCE_WORDS = 50, 2_000
 #: Jensen-Shannon distances (square root of the base-2 divergence) above which a document is rejected.
 MAX_CLASS_DISTANCE, MAX_WORD_DISTANCE = 0.3, 0.5
-POOLED = "*"
 
 _SYMBOLS = b"#*$%&|<>"
 
@@ -127,57 +126,76 @@ def _partial_counts(batches):
     yield from batches_of(_COUNTS, flush(), 50_000)
 
 
-def language_references(docs: DataFrame, lang_col: str = "lang", text_col: str = "text") -> dict[str, Reference]:
-    """References of all languages, from all texts of the table.
+def language_references(docs: DataFrame, lang_col: str = "lang", text_col: str = "text") -> tuple[dict[str, Reference], DataFrame | None]:
+    """References of all languages of MIN_REFERENCE_WORDS words or more, from all texts of the table; null has none.
 
-    Languages under LANGUAGE_SHARE of all words, and null, share the reference POOLED. What comes to the driver is
-    bounded by the two share parameters, not by the data: at most 1/LANGUAGE_SHARE + 1 languages with 1/COMMON_SHARE
-    words each. References of under MIN_REFERENCE_WORDS words are left out.
+    Those of the SENT_LANGUAGES languages with most words come to the driver, with 1/COMMON_SHARE words each at most;
+    so that is bounded by the two parameters, not by the data. Further ones are a table (lang, classes, words, n_words), or None.
     """
-    counts = rows_of(docs, lang=lang_col, text=text_col).mapInArrow(_partial_counts, "lang string, bin int, word binary, n long")
+    counts = rows_of(docs, lang=lang_col, text=text_col).where(F.col("lang").isNotNull()).mapInArrow(_partial_counts, "lang string, bin int, word binary, n long")
     counts = written(counts.groupBy("lang", "bin", "word").agg(F.sum("n").alias("n")), "word-counts")
-    totals = counts.where(F.col("bin") == _TOTAL_BIN).groupBy("lang").agg(F.sum("n").alias("n"))
-    all_words = totals.agg(F.sum("n")).first()[0] or 0
-    large = {r.lang for r in totals.where(F.col("lang").isNotNull() & (F.col("n") >= LANGUAGE_SHARE * all_words) & (F.col("n") > 0)).collect()}
-    label = F.when(F.col("lang").isin(*large), F.col("lang")).otherwise(POOLED) if large else F.lit(POOLED)
-    sized = counts.withColumn("label", label)
-    hist: dict[str, list[int]] = {}
-    for r in sized.where(F.col("bin") < _WORD_BIN).groupBy("label", "bin").agg(F.sum("n").alias("n")).collect():
-        hist.setdefault(r.label, [0] * (CLASSES.shape[1] + 1))[-1 if r.bin == _TOTAL_BIN else r.bin] = r.n
-    hist = {k: v for k, v in hist.items() if v[-1] >= MIN_REFERENCE_WORDS}
-    words: dict[str, dict[bytes, int]] = {k: {} for k in hist}
-    if hist:
-        least = F.lit(None).cast("double")
-        for k, v in hist.items():
-            least = F.when(F.col("label") == k, F.lit(COMMON_SHARE * v[-1])).otherwise(least)
-        counted = sized.where(F.col("bin") == _WORD_BIN).groupBy("label", "word").agg(F.sum("n").alias("n"))
-        for r in counted.where(F.col("n") >= least).collect():
-            words[r.label][bytes(r.word)] = r.n
-    return {k: Reference(v[:-1], words[k], v[-1]) for k, v in hist.items()}
+    totals = counts.where((F.col("bin") == _TOTAL_BIN) & (F.col("n") >= MIN_REFERENCE_WORDS)).select("lang", F.col("n").alias("n_words"), (F.col("n") * COMMON_SHARE).alias("least"))
+    top = totals.orderBy(F.desc("n_words"), "lang").limit(SENT_LANGUAGES + 1).collect()
+    if not top:
+        return {}, None
+    sent, more = top[:SENT_LANGUAGES], len(top) > SENT_LANGUAGES
+
+    def used(of: DataFrame) -> DataFrame:
+        """Character classes and common words of some languages."""
+        return counts.join(of, "lang").where((F.col("bin") < _TOTAL_BIN) | ((F.col("bin") == _WORD_BIN) & (F.col("n") >= F.col("least"))))
+
+    n_words = {r.lang: r.n_words for r in sent}
+    classes: dict[str, list[int]] = {k: [0] * CLASSES.shape[1] for k in n_words}
+    words: dict[str, dict[bytes, int]] = {k: {} for k in n_words}
+    for r in used(F.broadcast(docs.sparkSession.createDataFrame([(r.lang, r.least) for r in sent], "lang string, least double"))).collect():
+        if r.bin == _WORD_BIN:
+            words[r.lang][bytes(r.word)] = r.n
+        else:
+            classes[r.lang][r.bin] = r.n
+    references = {k: Reference(classes[k], words[k], n) for k, n in n_words.items()}
+    if not more:
+        return references, None
+    cells = used(totals.where(~F.col("lang").isin(*n_words))).groupBy("lang").agg(F.first("n_words").alias("n_words"), F.collect_list(F.struct("bin", "word", "n")).alias("cells"))
+    class_cells = F.transform(F.array_sort(F.filter("cells", lambda x: x["bin"] < _TOTAL_BIN)), lambda x: x["n"])
+    word_cells = F.transform(F.filter("cells", lambda x: x["bin"] == _WORD_BIN), lambda x: F.struct(x["word"].alias("word"), x["n"].alias("n")))
+    return references, written(cells.select("lang", class_cells.alias("classes"), word_cells.alias("words"), "n_words"), "references")
 
 
 def quality_rules(docs: DataFrame, references: dict[str, Reference] | None = None, lang_col: str = "lang", text_col: str = "text") -> DataFrame:
     """Judge each document; add n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, class_distance,
     word_distance, base_failed and kept. Input columns of these names are replaced.
 
-    A null text is empty: it fails the base rules (fewer than 50 words). A null or rare language is held against the
-    pooled reference. A document of under MIN_WORDS words, or without a reference, gets no verdict from the
-    divergence (null distances) and is kept if it passes the base rules. Repeated rows get equal results.
+    A null text is empty: it fails the base rules (fewer than 50 words). A document of under MIN_WORDS words, or whose
+    language is null or too thin for a reference, gets no verdict from the divergence (null distances) and is kept if
+    it passes the base rules. Repeated rows get equal results.
     """
+    joined = None
     if references is None:
-        references = language_references(docs, lang_col, text_col)
+        references, joined = language_references(docs, lang_col, text_col)
+    ref_col = free_name(docs.columns, "reference")
 
     def kernel():
-        pooled = references.get(POOLED)
+        seen: dict[str, Reference] = {}
+
+        def joined_reference(lang, row):
+            if lang not in seen:
+                if len(seen) >= SENT_LANGUAGES:
+                    seen.clear()
+                row = row.as_py()
+                seen[lang] = Reference(row["classes"], {w["word"]: w["n"] for w in row["words"]}, row["n_words"])
+            return seen[lang]
 
         def one(batch):
             out = []
-            for lang, raw in zip(batch.column(batch.schema.get_field_index(lang_col)).to_pylist(), texts_of(batch, text_col)):
+            at = batch.schema.get_field_index(ref_col)
+            for k, (lang, raw) in enumerate(zip(batch.column(batch.schema.get_field_index(lang_col)).to_pylist(), texts_of(batch, text_col))):
                 words = raw.split()
                 n = len(words)
                 base = base_counts(raw, words)
                 failed = n < 50 or 100 * base[3] > 50 * n
-                ref = references.get(lang, pooled)
+                ref = references.get(lang)
+                if at >= 0 and batch.column(at)[k].is_valid:
+                    ref = joined_reference(lang, batch.column(at)[k])
                 far = ref.distances(raw, words) if ref and n >= MIN_WORDS else (None, None)
                 kept = not failed and not (far[0] is not None and (far[0] > MAX_CLASS_DISTANCE or far[1] > MAX_WORD_DISTANCE))
                 out.append((n, *base, *far, failed, kept))
@@ -187,7 +205,13 @@ def quality_rules(docs: DataFrame, references: dict[str, Reference] | None = Non
         return one
 
     added = dict.fromkeys(("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"), "long") | {"class_distance": "double", "word_distance": "double", "base_failed": "boolean", "kept": "boolean"}
-    return mapped(docs, added, kernel)
+    if joined is None:
+        return mapped(docs, added, kernel)
+    own = F.coalesce(F.col(f"`{lang_col}`").isin(*references), F.lit(True))  # sent along, or null
+    names = free_name([*docs.columns, ref_col], "reference_lang")
+    table = joined.select(F.col("lang").alias(names), F.struct("classes", "words", "n_words").alias(ref_col))
+    others = docs.where(~own).join(table, F.col(f"`{lang_col}`") == F.col(names), "left").drop(names)
+    return mapped(docs.where(own), added, kernel).unionByName(mapped(others, added, kernel, drop=(ref_col,)))
 
 
 def op5_quality_rules(spark, sf_dir: str) -> DataFrame:

@@ -235,3 +235,23 @@ def test_quality_rules_verdict_against_plain_divergence(spark):
         assert got[i].kept == (not got[i].base_failed and d[0] <= quality_rules.MAX_CLASS_DISTANCE and d[1] <= quality_rules.MAX_WORD_DISTANCE)
 
 
+
+
+@pytest.mark.parametrize("sent", [1_000, 2])
+def test_quality_rules_of_rare_languages(spark, monkeypatch, sent):
+    """A rare language with enough words has its own reference, whether it is sent along or joined; null and thin ones have none."""
+    import random
+
+    monkeypatch.setattr(quality_rules, "SENT_LANGUAGES", sent)
+    rnd = random.Random(2)
+    text = lambda letters, n: " ".join("".join(rnd.choice(letters) for _ in range(rnd.randint(2, 7))) for _ in range(n))
+    latin, cyrillic, greek = "abcdefghij", "абвгдежзик", "αβγδεζηθικ"
+    docs = [("en", text(latin, 40_000)) for _ in range(60)]
+    docs += [(lang, text(letters, 100)) for lang, letters in (("cy", cyrillic), ("la", latin), ("gr", greek)) for _ in range(21)]
+    docs += [("thin", text(cyrillic, 100)), (None, text(greek, 100)), (None, text(latin, 100)), ("gr", text(latin, 100))]
+    table = spark.createDataFrame([(k, *d) for k, d in enumerate(docs)], "doc_id long, lang string, text string").repartition(4)
+    got = sorted(quality_rules.quality_rules(table).collect())
+    assert [(r.doc_id, r.lang) for r in got] == [(k, d[0]) for k, d in enumerate(docs)]
+    assert [r.doc_id for r in got if not r.kept] == [len(docs) - 1]
+    assert {r.lang for r in got if r.class_distance is None} == {"thin", None}
+    assert max(r.class_distance for r in got[:-4]) < 0.2
