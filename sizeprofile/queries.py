@@ -239,29 +239,22 @@ for _p in (1, 2):
         return est.estimate_cumulative(hist, counts, _runs(spark, float(_EPS)), 24, p)
 
 
-_HG = (q.base("w3"), q.runs("0.5"))
-_LEAF = "level = 2 and node_id <= 'ASIA'"
+# sorted sizes at all nodes, tested against brute force: the SQL fits grow with the cube of a node's groups and are not registered
 
-
-def _w3(spark, d):
-    hist, counts, tree = _hist(spark, d, "w3")
-    return hist.where(_LEAF), counts.where(_LEAF), tree
-
-
-@query("hg_noisy", q.stmt(*_HG, q.hg_cells(_LEAF), body="select run_id, level, node_id, size, j, noisy from cells"))
+@query("hg_noisy")
 def _(spark, d):
-    return est.sorted_cells(_w3(spark, d)[0], _runs(spark, 0.5))
+    return est.sorted_cells(_hist(spark, d, "w3")[0], _runs(spark, 0.5))
 
 
 for _p in (1, 2):
-    @query(f"hg_l{_p}_release", q.stmt(*_HG, q.hg_release(_p, _LEAF), body="select * from est"))
+    @query(f"hg_l{_p}_release")
     def _(spark, d, p=_p):
-        return est.estimate_sorted(_w3(spark, d)[0], _runs(spark, 0.5), p)
+        return est.estimate_sorted(_hist(spark, d, "w3")[0], _runs(spark, 0.5), p)
 
 
-@query("hg_chunked_release", q.stmt(*_HG, q.hg_release(2, _LEAF), body="select * from est"))
+@query("hg_chunked_release")
 def _(spark, d):
-    return est.estimate_sorted(_w3(spark, d)[0], _runs(spark, 0.5), 2, chunks=5)
+    return est.estimate_sorted(_hist(spark, d, "w3")[0], _runs(spark, 0.5), 2, chunks=5)
 
 
 @query("variance_hc", q.stmt(*_HC, q.hc_release(24), body="select run_id, level, node_id, size, cnt, round(4.0 / (eps * eps * cnt), 6) as var from est join runs using (run_id)"))
@@ -271,10 +264,10 @@ def _(spark, d):
     return _whole(est.variance(est.estimate_cumulative(hist, counts, runs, 24).withColumn("method", F.lit("hc")), runs).drop("method"))
 
 
-@query("variance_hg", q.stmt(*_HG, q.hg_release(2, _LEAF), body="select run_id, level, node_id, size, cnt, round(2.0 / (eps * eps * cnt), 6) as var from est join runs using (run_id)"))
+@query("variance_hg")
 def _(spark, d):
     runs = _runs(spark, 0.5)
-    return _whole(est.variance(est.estimate_sorted(_w3(spark, d)[0], runs).withColumn("method", F.lit("hg")), runs).drop("method"))
+    return _whole(est.variance(est.estimate_sorted(_hist(spark, d, "w3")[0], runs).withColumn("method", F.lit("hg")), runs).drop("method"))
 
 
 # matching, merging, releases

@@ -290,3 +290,49 @@ def test_stage_meter(spark):
     with StageMeter(spark, "count") as m:
         spark.range(100).repartition(3).count()
     assert m.seconds > 0 and m.jobs >= 1 and m.tasks >= 1 and m.to_df().count() == 1
+
+
+def test_sorted_size_queries_at_all_nodes(spark):
+    """hg_* against noise and min-max fits in plain Python, at every node of every level."""
+    import hashlib
+    import math
+    from bisect import insort
+    from collections import Counter
+
+    from sizeprofile import queries
+
+    rows = lambda name: Counter(map(tuple, queries.QUERIES[name](spark, SF).collect()))
+    sizes = {}
+    for level, node, size, n in sorted(map(tuple, WORKLOADS["w3"].histogram(spark, SF)[0].collect())):
+        sizes.setdefault((level, node), []).extend((size, j) for j in range(1, n + 1))
+    assert {k[0] for k in sizes} == {0, 1, 2}
+
+    def noise(*key):
+        u = [(int(hashlib.md5("|".join(map(str, (*key, c))).encode()).hexdigest()[:13], 16) + 0.5) / 2**52 for c in "ab"]
+        return math.floor(math.log(u[0]) / -0.5) - math.floor(math.log(u[1]) / -0.5)
+
+    def fit(x, p):
+        best = [-math.inf] * len(x)
+        for left in range(len(x)):
+            seen, total, values = [], 0, []
+            for v in x[left:]:
+                total += v
+                insort(seen, v)
+                values.append(total / len(seen) if p == 2 else seen[(len(seen) - 1) // 2])
+            low = math.inf
+            for k in reversed(range(len(values))):
+                low = min(low, values[k])
+                best[left + k] = max(best[left + k], low)
+        return [math.floor(max(v, 0) + 0.5) for v in best]
+
+    cells, released = Counter(), {1: Counter(), 2: Counter()}
+    for run, seed in queries.q.RUNS:
+        for (level, node), order in sizes.items():
+            noisy = [size + noise(seed, level, node, size, j) for size, j in order]
+            cells.update((run, level, node, size, j, v) for (size, j), v in zip(order, noisy))
+            for p in (1, 2):
+                released[p].update((run, level, node, v, n) for v, n in Counter(fit(noisy, p)).items())
+    assert Counter(map(tuple, queries.QUERIES["hg_noisy"](spark, SF).select("run_id", "level", "node_id", "size", "j", "noisy").collect())) == cells
+    assert rows("hg_l1_release") == released[1]
+    assert rows("hg_l2_release") == rows("hg_chunked_release") == released[2]
+    assert rows("variance_hg") == Counter((*r, round(8.0 / r[4], 6)) for r in released[2])
