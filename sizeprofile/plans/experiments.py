@@ -187,13 +187,13 @@ def norms(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds: int = S
     return _union(frames)
 
 
-def tail(spark, sf_dir: str, seeds: int = 3) -> DataFrame:
+def tail(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
     """The synthetic tail with outliers up to 10,000."""
     h, c, t, k = inputs(spark, sf_dir, "w2", levels=2)
     return _named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg")}, (0.5,), seeds), workload="w2")
 
 
-def categories(spark, sf_dir: str, seeds: int = 3) -> DataFrame:
+def categories(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
     """Six categories of disjoint entities: each run has the whole budget, as disjoint inputs compose in parallel."""
     frames = []
     for w in sorted(x for x in WORKLOADS if x.startswith("w6_")):
@@ -202,7 +202,7 @@ def categories(spark, sf_dir: str, seeds: int = 3) -> DataFrame:
     return _union(frames)
 
 
-def other_shapes(spark, sf_dir: str, seeds: int = 3) -> DataFrame:
+def other_shapes(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
     """Heavy tail, time, products, and inputs without a hierarchy."""
     frames = []
     for w, levels in (("w17", 3), ("w18", 2), ("w19", 1), ("w16", 1), ("w21", 1)):

@@ -336,3 +336,18 @@ def test_sorted_size_queries_at_all_nodes(spark):
     assert rows("hg_l1_release") == released[1]
     assert rows("hg_l2_release") == rows("hg_chunked_release") == released[2]
     assert rows("variance_hg") == Counter((*r, round(8.0 / r[4], 6)) for r in released[2])
+
+
+def test_registered_experiments_have_ten_seeds(monkeypatch):
+    import inspect
+
+    from sizeprofile import queries
+
+    for name, run in [*experiments.EXPERIMENTS.items()]:
+        def seen(spark, sf_dir, of=inspect.signature(run), **given):
+            bound = of.bind(spark, sf_dir, **given)
+            bound.apply_defaults()
+            return bound.arguments["seeds"]
+
+        monkeypatch.setitem(experiments.EXPERIMENTS, name, seen)
+        assert queries.QUERIES[f"exp_{name}"](None, "") == experiments.SEEDS == 10
