@@ -22,8 +22,7 @@ FILE_BYTES, SPLIT_BYTES = 128 << 20, 8 << 20
 _MAGIC = b"\x1f\x8b\x08"
 _HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n"
 _REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
-#: A header block is not searched further than this for its end.
-_HEADER_BYTES, _READ_BYTES = 1 << 20, 1 << 20
+_READ_BYTES = 1 << 20
 #: Left as they are in a target URI; white space and controls are percent-encoded.
 _URI_SAFE = "".join(map(chr, range(0x21, 0x7F)))
 
@@ -136,20 +135,22 @@ def _starts_record(file: _Bytes, at: int) -> bool:
     """Whether a gzip member that decodes to WARC headers starts here (or the file ends here)."""
     if at >= file.size:
         return True
-    unpack, got = zlib.decompressobj(31), b""
+    unpack, got, ends = zlib.decompressobj(31), bytearray(), -1
     try:
-        while b"\r\n\r\n" not in got and len(got) < _HEADER_BYTES and not unpack.eof:
+        while ends < 0 and not unpack.eof:
             part = file.read(at, 1)
             if not part:
                 return False
-            got += unpack.decompress(part[:1024], _HEADER_BYTES)
+            looked = max(0, len(got) - 3)
+            got += unpack.decompress(part[:1024])
+            ends = got.find(b"\r\n\r\n", looked)
             at += min(1024, len(part))
             if len(got) >= 6 and not got.startswith(b"WARC/1"):
                 return False
     except zlib.error:
         return False
-    head = got.split(b"\r\n\r\n", 1)[0]
-    return got.startswith(b"WARC/1") and b"\r\n\r\n" in got and b"content-length:" in head.lower() and b"warc-type:" in head.lower()
+    head = bytes(got[: max(0, ends)]).lower()
+    return head.startswith(b"warc/1") and b"content-length:" in head and b"warc-type:" in head
 
 
 def _member(file: _Bytes, at: int) -> tuple[bytes, int] | None:

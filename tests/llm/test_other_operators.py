@@ -39,6 +39,14 @@ def test_warc_round_trip(spark, split_bytes, file_bytes, least):
     assert Counter((r.page_id, r.payload_bytes, r.payload_digest, r.record_type, r.refers_to, None if r.payload is None else bytes(r.payload)) for r in got) == want
 
 
+def test_warc_reads_as_many_records_as_written_with_very_long_urls(spark):
+    long = "http://a/" + "é" * 300_000  # 1.8 MB when percent-encoded
+    files = warc.write_warc(pages(spark, [(1, "u", "before"), (2, long, "long"), (3, "v", "after")]).coalesce(1), work_path(spark, "w"))
+    got = warc.read_warc(files).collect()
+    assert len(got) == sum(r.n_records for r in files.collect()) == 3
+    assert {(r.page_id, bytes(r.payload)) for r in got} == {(1, b"before"), (2, b"long"), (3, b"after")}
+
+
 def test_warc_reader_passes_over_chance_magic(spark, tmp_path):
     inner = gzip.compress(b"not a record")
     raw = b"".join(gzip.compress(warc.record(k, "u", f"page {k}".encode(), None)) for k in range(40))
