@@ -125,6 +125,25 @@ def mixed64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
+def bitmap_of(wanted: DataFrame, column: str) -> np.ndarray:
+    """A bitmap of a column of hashes, of at most 8 MB at any size of the data; false hits only cost work."""
+    n = wanted.count()
+    bits = 20
+    while bits < 26 and (1 << bits) < 16 * n:
+        bits += 1
+    slots = wanted.select(F.pmod(column, F.lit(1 << bits)).alias("slot"))
+    words = slots.groupBy(F.expr("slot div 64").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(slot % 64 as int))")).alias("bits")).toArrow()
+    out = np.zeros(1 << (bits - 6), dtype=np.int64)
+    out[words.column("word").to_numpy()] = words.column("bits").to_numpy()
+    return out
+
+
+def in_bitmap(bitmap: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """Which of the 64-bit values may be in the bitmap."""
+    slot = x.view(np.uint64) & np.uint64(len(bitmap) * 64 - 1)
+    return (bitmap[(slot >> np.uint64(6)).astype(np.int64)].view(np.uint64) >> (slot & np.uint64(63))) & np.uint64(1) == 1
+
+
 def texts_of(batch: pa.RecordBatch, col: str) -> list[bytes]:
     """The texts of a column as UTF-8 bytes; null is empty."""
     return [x or b"" for x in batch.column(batch.schema.get_field_index(col)).cast(pa.binary()).to_pylist()]

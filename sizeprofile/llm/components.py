@@ -16,17 +16,17 @@ def connected_components(edges: DataFrame) -> DataFrame:
     """node and root (the smallest node of its component) of every node of the links (a, b); self-links are ignored.
 
     Each step hangs neighbours under the smallest node seen, which shortens paths as fast as they can double, until
-    all links point to a root. Smallest neighbours are partial aggregates and the step back is an equi-join that AQE
-    splits, so a node with very many links is no single task; every step is a written table.
+    all links point to a root. Smallest neighbours are partial aggregates, written before the step back: the join then
+    has two plain sides, so AQE can split the links of a node that has very many. Every step is a written table.
     """
     now = written(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "links")
     state = _state(now)
     while state[0]:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("root"))
+        least = written(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("root")), "least")
         large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("root").alias("b"))
         large = written(large.where("a <> b").distinct(), "large-star")
-        least = large.groupBy("a").agg(F.min("b").alias("root"))
+        least = written(large.groupBy("a").agg(F.min("b").alias("root")), "least")
         small = large.join(least, "a").select(F.col("b").alias("a"), F.col("root").alias("b")).unionByName(least.select("a", F.col("root").alias("b")))
         now = written(small.where("a <> b").distinct(), "small-star")
         before, state = state, _state(now)

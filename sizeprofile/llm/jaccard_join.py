@@ -2,12 +2,15 @@
 
 A document is the set of its distinct word shingles. Under one global order of shingles (those known to be frequent
 last), a set's prefix of length n - ceil(t n) + m shares at least m shingles with the prefix of every set of similarity
-t or more. Each document picks its m: where the shingles of its prefix are frequent, a longer prefix with more required
-matches costs fewer candidates. Two documents need the smaller of their m.
-
-Equal sets are one node. Before pairs are formed, every shingle's list is linked through one member (a hub) whose links
-are verified; lists that lie in one component then need no pairs, so a large group of near copies costs links in
-proportion to its size. Pairs across components are then all formed, counted and verified: no link is lost.
+t or more. Each document picks its m: the longest prefix that it may take is listed, the lengths of the lists that it
+meets are measured, and a longer prefix with more required matches is taken where it costs fewer candidates. Two
+documents need the smaller of their m.
+
+Equal sets are one node. Shingles that stand in the same documents' prefixes are one list with a weight, so documents
+that share a passage or almost all of their text meet a few times, not once a shingle. Before pairs are formed, lists
+are linked through a few members (hubs) whose links are verified; lists that lie in one component then need no pairs,
+so a large group of near copies costs links in proportion to its size. Pairs across components are then all formed,
+counted and verified: no link is lost.
 """
 
 from __future__ import annotations
@@ -16,19 +19,20 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import batches_of, mixed64, release_held, rows_of, texts_of, written
+from .common import batches_of, bitmap_of, in_bitmap, mixed64, release_held, rows_of, texts_of, written
 from .components import connected_components
 from .substring_dedup import _LETTERS
 
 #: Shingles of at least 2**HOT_LEVEL counted copies are ordered by their count; at most HOT_SHINGLES of them.
 HOT_LEVEL, HOT_SHINGLES = 5, 200_000
-#: Required matches that a document may pick, as multiples of the least; cost of a candidate against that of an entry in a list; rounds of hub links at most.
-MATCHES, CANDIDATE_COST, HUB_ROUNDS = (1.0, 1.25, 1.5, 2.0), 64.0, 4
+#: Most matches that a document may ask for, against the least; cost of a candidate against that of an entry in a list.
+MOST_MATCHES, CANDIDATE_COST = 1.5, 64.0
+#: Hub rounds go on while the pairs left fall by this factor at least.
+ROUND_GAIN = 0.8
 _CHUNK = 1 << 20
-_LAST = 2**63 - 1
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _ROLES = mixed64(np.arange(301, 306, dtype=np.uint64)) | np.uint64(1)
 
@@ -105,15 +109,10 @@ class Order:
             out[maybe] = np.where(self.hot[at] == s[maybe], self.level[at], 0)
         return out
 
-    def prefix(self, s: np.ndarray, percent: int) -> tuple[int, np.ndarray]:
-        """(required matches, prefix) of a set. The lists' estimated total length, over m, bounds the candidates of m matches."""
-        n = len(s)
-        order = np.lexsort((s, level := self.levels(s)))
-        base, least = n + (-percent * n // 100), least_matches(n, percent)
-        lists = np.cumsum(np.exp2(level[order].astype(float)))
-        options = {max(1, int(f * least)) for f in MATCHES}
-        m = min((m for m in options if base + m <= n), key=lambda m: (lists[base + m - 1] * (1 + CANDIDATE_COST / m), m))
-        return m, s[order[: base + m]]
+    def prefix(self, s: np.ndarray, percent: int) -> np.ndarray:
+        """The longest prefix that the set may take, in the global order."""
+        n, order = len(s), np.lexsort((s, self.levels(s)))
+        return s[order[: n + (-percent * n // 100) + most_matches(n, percent)]]
 
 
 def least_matches(n: int, percent: int) -> int:
@@ -125,36 +124,29 @@ def least_matches(n: int, percent: int) -> int:
     return max(1, min(n + (-percent * n // 100), n // 10))
 
 
+def most_matches(n: int, percent: int) -> int:
+    """Matches that a set of n shingles may ask for at most: the prefix must fit into the set."""
+    return max(least_matches(n, percent), min(int(MOST_MATCHES * least_matches(n, percent)), n * percent // 100))
+
+
 #: Bits of a set's parity sketch, as 64-bit columns.
-SKETCH = ("p0", "p1", "p2", "p3")
+SKETCH = tuple(f"p{k}" for k in range(8))
 
 
 def parities(s: np.ndarray) -> np.ndarray:
-    """Whether the number of shingles in each of 256 hash classes is odd. A class in which two sets differ holds a
+    """Whether the number of shingles in each hash class is odd, a class a bit. A class in which two sets differ holds a
     shingle that only one of them has, so differing bits never outnumber the sets' symmetric difference."""
-    odd = np.bincount(((s >> np.uint64(20)) & np.uint64(255)).astype(np.int64), minlength=256) & 1
+    classes = 64 * len(SKETCH)
+    odd = np.bincount(((s >> np.uint64(20)) & np.uint64(classes - 1)).astype(np.int64), minlength=classes) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").view("<i8")
 
 
-def node_of(s: np.ndarray) -> int:
-    """64-bit identity of a set."""
-    return int.from_bytes(hashlib.blake2b(s.tobytes(), digest_size=8).digest(), "little", signed=True)
-
+def node_of(s: np.ndarray) -> bytes:
+    """128-bit identity of a set."""
+    return hashlib.blake2b(s.tobytes(), digest_size=16).digest()
 
-_SETS = pa.schema([("node", pa.int64()), ("own", pa.int64()), ("shingles", pa.binary())])
 
-
-def _bitmap(wanted: DataFrame, column: str) -> np.ndarray:
-    """A bitmap of a column of hashes, of at most 8 MB at any size of the data; false hits only cost work."""
-    n = wanted.count()
-    bits = 20
-    while bits < 26 and (1 << bits) < 16 * n:
-        bits += 1
-    slots = wanted.select(F.pmod(column, F.lit(1 << bits)).alias("slot"))
-    words = slots.groupBy(F.expr("slot div 64").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(slot % 64 as int))")).alias("bits")).toArrow()
-    out = np.zeros(1 << (bits - 6), dtype=np.int64)
-    out[words.column("word").to_numpy()] = words.column("bits").to_numpy()
-    return out
+_SETS = pa.schema([("node", pa.binary()), ("n", pa.int64()), ("shingles", pa.binary()), *[(p, pa.int64()) for p in SKETCH]])
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -172,7 +164,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
     left = sets.select(F.col("node").alias("a"), F.col("shingles").alias("x"))
     right = sets.select(F.col("node").alias("b"), F.col("shingles").alias("y"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(check, "a long, b long")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(check, "a binary, b binary")
 
 
 def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -182,11 +174,13 @@ def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_co
     without words (null, empty, white space) has the empty set and is linked with nothing: its component is its own id.
     Two sets link when 100 x intersection >= percent x union. Repeated rows and ids: each row is judged by its own
     text, and rows of equal sets are linked. A null id takes part, but is never the smallest id of a component with a
-    known one. Shingles and sets are told apart by 64-bit hashes.
+    known one. Shingles are told apart by 64-bit hashes, sets by 128-bit ones.
 
-    Scale: what is shuffled is a row a document, the prefixes (about a tenth of the shingles), and the sets of only
-    those nodes that share a prefix shingle with another. Frequent shingles are few at any size (HOT_SHINGLES) and go
-    to the tasks. Hub links handle large groups; what is left across components is joined from the smaller side.
+    Scale: what is shuffled is a row a document, the prefixes (about a quarter of the shingles, each once a task), the
+    entries of only those nodes that share enough prefix shingles with others, and the sets of nodes that stay in a list. Frequent
+    shingles are few at any size (HOT_SHINGLES) and go to the tasks. Hub links handle large groups; what is left across
+    components is joined from the smaller side. Every aggregate by a key that may be hot is written before it is joined
+    back, so that the join has plain sides, which AQE splits.
     """
     rows = rows_of(docs, doc_id=F.col(f"`{id_col}`").cast("long"), text=F.coalesce(F.col(f"`{text_col}`"), F.lit("")))
 
@@ -224,51 +218,53 @@ def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_co
         release_held()
         shingler, order = Shingler(width), Order(hot_keys, hot_levels)
         for b in batches:
-            node, n, matches, prefix, sketch = [], [], [], [], []
+            node, n, prefix = [], [], []
             for s in shingler.sets(texts_of(b, "text")):
-                m, p = order.prefix(s, percent) if len(s) else (0, s)
-                sketch.append(parities(s))
                 node.append(node_of(s))
                 n.append(len(s))
-                matches.append(m)
-                prefix.append(p.tobytes())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(node, type=pa.int64()), pa.array(n, type=pa.int64()), pa.array(matches, type=pa.int32()), pa.array(prefix, type=pa.binary()), *map(pa.array, np.ascontiguousarray(np.array(sketch, dtype=np.int64).reshape(-1, len(SKETCH)).T))], names=["doc_id", "node", "n", "m", "prefix", *SKETCH])
+                prefix.append(order.prefix(s, percent).tobytes())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(node, type=pa.binary()), pa.array(n, type=pa.int64()), pa.array(prefix, type=pa.binary())], names=["doc_id", "node", "n", "prefix"])
 
-    judged = written(rows.mapInArrow(scan, f"doc_id long, node long, n long, m int, prefix binary, {', '.join(f'{p} long' for p in SKETCH)}"), "prefixes")
+    judged = written(rows.mapInArrow(scan, "doc_id long, node binary, n long, prefix binary"), "prefixes")
     nodes = written(judged.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id")), "nodes")
-    first = _bitmap(nodes.select(_own(F.col("doc_id")).alias("own")), "own")  # leaves out most copies of a set before their prefixes are listed
+    first = bitmap_of(nodes.select(_slot("doc_id")), "doc_id")  # leaves out most copies of a set before their prefixes are listed
 
     def lists(known: np.ndarray | None):
-        """Entries of the nodes' prefixes; with a bitmap of shared shingles, of those nodes only that share enough for any partner."""
+        """Shingles of the nodes' prefixes; with a bitmap of shared shingles, entries of those nodes only that share enough for any partner."""
 
         def run(batches):
             release_held()
             for b in batches:
-                node, n = (b.column(k).to_numpy(zero_copy_only=False) for k in (1, 2))
-                own = node ^ np.array([-1 if x is None else x for x in b.column(0).to_pylist()], dtype=np.int64)
-                raw = [np.frombuffer(x, dtype="<i8") if f else np.zeros(0, dtype=np.int64) for x, f in zip(b.column(4).to_pylist(), _known(first, own))]
+                n = b.column(2).to_numpy(zero_copy_only=False)
+                raw = [np.frombuffer(x, dtype="<i8") if f else np.zeros(0, dtype=np.int64) for x, f in zip(b.column(3).to_pylist(), in_bitmap(first, _ids(b.column(0))))]
+                at = [np.arange(len(x)) for x in raw]
                 if known is not None:
                     for k, x in enumerate(raw):
-                        hit = _known(known, x)
-                        raw[k] = x[hit] if hit.sum() >= least_matches(-(-percent * int(n[k]) // 100), percent) else x[:0]
+                        hit = np.flatnonzero(in_bitmap(known, x))
+                        at[k] = hit if len(hit) >= least_matches(-(-percent * int(n[k]) // 100), percent) else hit[:0]
+                        raw[k] = x[at[k]]
                 pick = np.repeat(np.arange(b.num_rows), np.array([len(x) for x in raw], dtype=np.int64))
-                if len(pick):
+                if not len(pick):
+                    continue
+                if known is None:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(raw))], names=["shingle"])
+                else:
                     where = pa.array(pick)
-                    kept = (1, 2, 3, 5, 6, 7, 8) if known is not None else ()
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(raw)), *(b.column(k).take(where) for k in kept)], names=["shingle", *(b.schema.names[k] for k in kept)])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(raw)), pa.array(np.concatenate(at).astype(np.int32)), *(b.column(k).take(where) for k in (0, 1, 2))], names=["shingle", "pos", "doc_id", "node", "n"])
 
         return run
 
-    entry = f"shingle long, node long, n long, m int, {', '.join(f'{p} long' for p in SKETCH)}"
-    columns = judged.where("n > 0").select("doc_id", "node", "n", "m", "prefix", *SKETCH)
-    shared = columns.mapInArrow(lists(None), "shingle long").groupBy("shingle").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("shingle")
+    columns = judged.where("n > 0").select("doc_id", "node", "n", "prefix")
+    shared = columns.mapInArrow(lists(None), "shingle long").groupBy("shingle").agg(F.count(F.lit(1)).alias("p")).where("p > 1")
     for _ in range(2):  # nodes that drop out take lists along
         shared = written(shared, "shared-shingles")
-        listed = columns.mapInArrow(lists(_bitmap(shared, "shingle")), entry)
-        shared = listed.groupBy("shingle").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("shingle")
-    listed = written(listed.join(shared, "shingle").dropDuplicates(["shingle", "node"]), "lists")
-    wanted = written(nodes.select("node", _own(F.col("doc_id")).alias("own")).join(listed.select("node").distinct(), "node", "left_semi"), "wanted")
-    known = _bitmap(wanted, "own")
+        listed = columns.mapInArrow(lists(bitmap_of(shared, "shingle")), "shingle long, pos int, doc_id long, node binary, n long")
+        shared = listed.groupBy("shingle").agg(F.count(F.lit(1)).alias("p")).where("p > 1")
+    entries = written(_chosen(listed.join(written(shared, "shared-shingles"), "shingle"), percent), "entries")
+    grouped = written(_grouped(entries), "grouped-entries")
+    wanted = nodes.join(grouped.groupBy("node").agg((F.sum(F.col("w") * (F.col("p") - 1)) / F.first("n")).alias("score")), "node")
+    wanted = written(wanted, "wanted")
+    known = bitmap_of(wanted.select(_slot("doc_id")), "doc_id")
 
     def fetch(batches):
         release_held()
@@ -276,32 +272,58 @@ def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_co
 
         def one():
             for b in batches:
-                for doc_id, s in zip(b.column(0).to_pylist(), shingler.sets(texts_of(b, "text"))):
-                    node = node_of(s)
-                    own = node ^ (-1 if doc_id is None else doc_id)
-                    if _known(known, np.array([own], dtype=np.int64))[0]:
-                        yield node, own, s.tobytes()
+                b = b.filter(pa.array(in_bitmap(known, _ids(b.column(0)))))
+                for s in shingler.sets(texts_of(b, "text")):
+                    yield node_of(s), len(s), s.tobytes(), *parities(s).tolist()
 
         yield from batches_of(_SETS, one(), weigh=lambda r: len(r[2]))
 
-    fetched = rows.select("doc_id", "text").mapInArrow(fetch, "node long, own long, shingles binary")
-    sets = written(fetched.join(wanted, ["node", "own"], "left_semi").dropDuplicates(["node"]).select("node", "shingles"), "sets")
+    fetched = rows.select("doc_id", "text").mapInArrow(fetch, f"node binary, n long, shingles binary, {', '.join(f'{p} long' for p in SKETCH)}")
+    sets = written(fetched.join(wanted.select("node", "score"), "node").dropDuplicates(["node"]), "sets")
+    listed = written(grouped.select("shingle", "node", "m", "w").join(sets.select("node", "n", "score", *SKETCH), "node"), "lists")
     roots = _linked(listed, sets, percent)
-    ids = nodes
-    smallest = roots.join(ids, "node").groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    by_node = ids.join(roots, "node", "left").join(smallest, "root", "left").select("node", F.coalesce("component_id", "doc_id").alias("component_id"))
-    out = judged.select("doc_id", "node", "n").join(written(by_node, "node-components"), "node", "left")
+    smallest = written(roots.join(nodes, "node").groupBy("root").agg(F.min("doc_id").alias("component_id")), "smallest")
+    labels = written(roots.join(smallest, "root").select("node", "component_id"), "labels")
+    by_node = written(nodes.join(labels, "node", "left").select("node", F.coalesce("component_id", "doc_id").alias("component_id")), "node-components")
+    out = judged.select("doc_id", "node", "n").join(by_node, "node", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
-def _known(bitmap: np.ndarray, x: np.ndarray) -> np.ndarray:
-    slot = x.view(np.uint64) & np.uint64(len(bitmap) * 64 - 1)
-    return (bitmap[(slot >> np.uint64(6)).astype(np.int64)].view(np.uint64) >> (slot & np.uint64(63))) & np.uint64(1) == 1
+def _chosen(listed: DataFrame, percent: int) -> DataFrame:
+    """(shingle, node, n, m): each node's prefix for the number of matches m that costs least, by the measured lengths p of the lists.
+
+    A prefix's lists, in total over m, bound the candidates that reach m matches. That sum only grows at an entry, so the
+    best m is one that ends right before an entry, or the most. Copies of a node are dropped.
+    """
+    n = F.col("n")
+    base = n - F.ceil(n * percent / 100)
+    least = F.greatest(F.lit(1), F.least(base, F.expr("n div 10")))
+    most = F.greatest(least, F.least(F.floor(least * MOST_MATCHES), F.floor(n * percent / 100)))
+    own = listed.repartition("node").dropDuplicates(["node", "pos"]).withColumn("base", base).withColumn("least", least).withColumn("most", most)
+    before = Window.partitionBy("node").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
+    whole = Window.partitionBy("node")
+    cost = lambda lists, m: F.struct((lists * (1 + CANDIDATE_COST / m)).alias("cost"), m.alias("m"))
+    own = own.withColumn("before", F.coalesce(F.sum("p").over(before), F.lit(0)))
+    ends = F.when(F.col("pos") >= F.col("base") + F.col("least"), cost(F.col("before"), F.col("pos") - F.col("base")))
+    best = F.least(F.min(ends).over(whole), cost(F.sum("p").over(whole), F.col("most").cast("long")))
+    return own.withColumn("m", best["m"]).where(F.col("pos") < F.col("base") + F.col("m")).select("shingle", "node", "n", F.col("m").cast("int").alias("m"))
+
+
+def _grouped(entries: DataFrame) -> DataFrame:
+    """Entries of one list (the smallest shingle, with the weight w and the length p) for all shingles with the same nodes."""
+    nodes = F.bit_xor(F.xxhash64("node")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "node")).alias("y")
+    lists = entries.groupBy("shingle").agg(F.count(F.lit(1)).alias("p"), *nodes).where("p > 1")
+    kept = lists.groupBy("p", "x", "y").agg(F.min("shingle").alias("shingle"), F.count(F.lit(1)).alias("w")).select("shingle", "p", "w")
+    return entries.join(written(kept, "distinct-lists"), "shingle")
+
+
+def _slot(doc_id: str) -> F.Column:
+    """The place of an id in a bitmap; null ids share that of -1."""
+    return F.coalesce(F.col(doc_id), F.lit(-1).cast("long")).alias(doc_id)
 
 
-def _own(doc_id: F.Column) -> F.Column:
-    """Tells the one row that stands for a node from its copies."""
-    return F.col("node").bitwiseXOR(F.coalesce(doc_id, F.lit(-1).cast("long")))
+def _ids(col: pa.Array) -> np.ndarray:
+    return col.fill_null(-1).to_numpy(zero_copy_only=False)
 
 
 def _near(tail: str, percent: int) -> F.Column:
@@ -312,44 +334,55 @@ def _near(tail: str, percent: int) -> F.Column:
 
 
 def _linked(listed: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """node and root of all nodes with a link, from the lists (shingle, node, n, m, sketch)."""
+    """node and root of all nodes with a link, from the lists (shingle, node, m, w, n, score, sketch).
+
+    In a round each list is linked through two members: one of its largest component (first the member that shares most
+    with others, so most likely the text that near copies stem from; then any, by a hash of list and node) and one from
+    outside of it. A round costs two rows an entry at most. Rounds end when the pairs that are left cost no more than
+    that, or when a round no longer takes enough of them away; then all the pairs left are formed.
+    """
+    marks = ("node", "n", "comp", *SKETCH)
     links: DataFrame | None = None
     tried: DataFrame | None = None
-    roots: DataFrame | None = None
-    n_listed = listed.count()
-
-    def placed() -> DataFrame:
-        return listed.withColumn("comp", F.col("node")) if roots is None else listed.join(roots, "node", "left").withColumn("comp", F.coalesce("root", "node")).drop("root")
+    roots = connected_components(listed.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0))
+    rest, last, k = listed, None, 0
 
     def add(pairs: DataFrame) -> None:
         nonlocal links, tried, roots
         pairs = written(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
         good = written(_verified(pairs, sets, percent), "verified")
         tried = pairs if tried is None else tried.unionByName(pairs)
-        if roots is None or not good.isEmpty():
+        if not good.isEmpty():
             links = good if links is None else links.unionByName(good)
             roots = written(connected_components(links), "roots")
 
-    for k in range(HUB_ROUNDS):
-        here = written(placed(), "placed")
-        lists = here.groupBy("shingle", "comp").agg(F.count(F.lit(1)).alias("q")).groupBy("shingle").agg(F.sum("q").alias("p"), F.max("q").alias("most"), F.count(F.lit(1)).alias("comps"))
-        lists = lists.where("comps > 1")
-        across = lists.agg(F.sum((F.col("p") - F.col("most")) * F.col("p"))).first()[0] or 0
-        if across == 0:
-            return roots if roots is not None else connected_components(listed.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0))
-        if across <= n_listed and k:
+    def near(outer: DataFrame, inner: DataFrame, *more: str) -> DataFrame:
+        """Pairs of an outer entry and an inner one of the same list, in different components, that may be similar."""
+        return outer.join(inner.select("shingle", *[F.col(c).alias(f"{c}_") for c in (*marks, *more)]), "shingle").where((F.col("comp") != F.col("comp_")) & _near("_", percent))
+
+    a, b = F.least("node", "node_").alias("a"), F.greatest("node", "node_").alias("b")
+    while True:
+        here = rest.join(roots, "node", "left").withColumn("comp", F.coalesce("root", "node")).drop("root")
+        comps = here.groupBy("shingle", "comp").agg(F.count(F.lit(1)).alias("q")).groupBy("shingle")
+        lists = comps.agg(F.sum("q").alias("p"), F.max(F.struct("q", "comp")).alias("x"), F.count(F.lit(1)).alias("comps")).where("comps > 1")
+        lists = written(lists.select("shingle", F.col("x.comp").alias("largest"), (F.col("p") - F.col("x.q")).alias("outside"), "p"), "mixed-lists")
+        cost, entries = lists.agg(F.coalesce(F.sum(F.col("outside") * F.col("p")), F.lit(0)), F.coalesce(F.sum("p"), F.lit(0))).first()
+        if not cost:
+            return roots
+        placed = written(here.join(lists.select("shingle", "largest"), "shingle"), "placed")
+        outer = placed.where("comp <> largest")
+        if last is not None and (cost <= 2 * entries or cost > ROUND_GAIN * last):
             break
-        hubs = here.groupBy("shingle").agg(F.min(F.struct(F.xxhash64(F.lit(k), "node").alias("h"), *[F.col(c).alias(f"{c}_") for c in ("node", "n", "comp", *SKETCH)])).alias("x"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select("shingle", *[f"x.{c}_" for c in ("node", "n", "comp", *SKETCH)])
-        met = here.join(hubs, "shingle").where((F.col("comp") != F.col("comp_")) & _near("_", percent))
-        add(met.select(F.least("node", "node_").alias("a"), F.greatest("node", "node_").alias("b")).distinct())
-
-    here = written(placed(), "placed")
-    counts = here.groupBy("shingle", "comp").agg(F.count(F.lit(1)).alias("q"))
-    largest = counts.groupBy("shingle").agg(F.max(F.struct("q", "comp")).alias("x"), F.count(F.lit(1)).alias("comps")).where("comps > 1").select("shingle", F.col("x.comp").alias("largest"))
-    rest = here.join(largest, "shingle")
-    few = rest.where("comp <> largest").select("shingle", *[F.col(c).alias(f"{c}_") for c in ("node", "n", "m", "comp", *SKETCH)])
-    met = few.join(rest, "shingle").where((F.col("comp") != F.col("comp_")) & ((F.col("comp") == F.col("largest")) | (F.col("node") < F.col("node_"))) & _near("_", percent))
-    pairs = met.groupBy(F.least("node", "node_").alias("a"), F.greatest("node", "node_").alias("b")).agg(F.count(F.lit(1)).alias("k"), F.max(F.least("m", "m_")).alias("need"))
+        draw = F.xxhash64(F.lit(k), "shingle", "node")
+        one = F.max_by(F.struct(*marks), F.struct("score", draw)) if k == 0 else F.min_by(F.struct(*marks), draw)
+        two = F.max_by(F.struct(*marks), F.struct("score", draw)) if k % 2 else F.min_by(F.struct(*marks), draw)
+        hubs = (placed if k == 0 else placed.where("comp = largest")).groupBy("shingle").agg(one.alias("x")).unionByName(outer.groupBy("shingle").agg(two.alias("x")))
+        met = near(placed if k == 0 else outer, written(hubs.select("shingle", "x.*"), "hubs"))
+        add(met.select(a, b).distinct())
+        rest, last, k = placed.drop("comp", "largest"), cost, k + 1
+
+    met = near(placed, outer, "m", "w").where((F.col("comp") == F.col("largest")) | (F.col("node") < F.col("node_")))
+    pairs = met.groupBy(a, b).agg(F.sum("w").alias("k"), F.max(F.least("m", "m_")).alias("need"))
     add(pairs.where("k >= need").select("a", "b"))
     return roots
 
