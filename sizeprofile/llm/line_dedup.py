@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import free_name, rows_of
+from .common import free_name, rows_of, written
 
 _STRIPPED = " \t\n\x0b\x0c\r"
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -28,9 +28,9 @@ def dedup_lines(docs: DataFrame, threshold: int = 10, min_chars: int = 1, id_col
 
     Plan: (key hashes, id, text hash, position) rows are all that is exploded and shuffled. Keys are counted over distinct
     (key, id) pairs, first by both columns, so that one very common line is spread over all tasks, then by key with
-    partial sums. The join of lines with the frequent keys is a plain equi-join whose hot partitions AQE splits; it
-    turns into a broadcast only if the measured side is below Spark's threshold. Texts are shuffled once, by id and text
-    hash, so that rows with a null id are spread, too.
+    partial sums. The frequent keys are written before the lines are joined with them: their measured size decides whether
+    they are broadcast, and otherwise both sides of the join are plain, so that AQE splits the lines of a hot key. Texts
+    are shuffled once, by id and text hash, so that rows with a null id are spread, too.
     """
     names = docs.columns
     lines_col, drop_col, keep_col, hash_col = (free_name(names, n) for n in ("lines", "dropped_at", "kept_at", "text_hash"))
@@ -40,6 +40,7 @@ def dedup_lines(docs: DataFrame, threshold: int = 10, min_chars: int = 1, id_col
     keyed = lines.select("id", "text_hash", "pos", line_key(F.col("line")).alias("key")).where(F.length("key") >= min_chars)
     keyed = keyed.select("id", "text_hash", "pos", F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(1), "key").alias("h2"))
     common = keyed.select("h1", "h2", "id").distinct().groupBy("h1", "h2").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= threshold).select("h1", "h2")
+    common = written(common, "frequent-lines")
     dropped = keyed.join(common, ["h1", "h2"]).groupBy("id", "text_hash").agg(F.collect_set("pos").alias("at"))
     found = dropped.select(F.col("id").alias(free_name(names, "dropped_id")), F.col("text_hash").alias(free_name([*names, hash_col], "dropped_hash")), F.col("at").alias(drop_col))
     held = docs.withColumn(lines_col, split).withColumn(hash_col, hashed).drop(text_col)
