@@ -54,11 +54,13 @@ def with_first_copies(pages: DataFrame, min_bytes: int = 0, id_col: str = "page_
 
     Rows that tie on the smallest id are all responses; so are payloads under `min_bytes`, and groups without any id.
     Payloads are compared by SHA-256. The smallest id is aggregated before anything is shuffled, so a payload that a
-    third of all pages share costs one row a task there; in the join its pages are split by AQE.
+    third of all pages share costs one row a task there. The payloads found twice are written before the join: it
+    is a broadcast if their measured size allows, and otherwise AQE splits the pages of a hot payload.
     """
     raw = F.coalesce(F.col(f"`{payload_col}`"), F.lit("")).cast("binary")
     keyed = rows_of(pages, id=F.col(f"`{id_col}`").cast("long"), url=url_col, payload=raw).withColumn("key", F.when(F.octet_length("payload") >= min_bytes, F.unhex(F.sha2("payload", 256))))
     first = keyed.where(F.col("key").isNotNull()).groupBy("key").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("n")).where((F.col("n") > 1) & F.col("first").isNotNull()).select("key", "first")
+    first = written(first, "first-copies")
     other = F.col("id").isNull() | (F.col("first") < F.col("id"))
     return keyed.join(first, "key", "left").select("id", "url", "payload", F.when(F.col("first").isNotNull() & other, F.col("first")).alias("refers_to"))
 
@@ -168,31 +170,48 @@ def _member(file: _Bytes, at: int) -> tuple[bytes, int] | None:
     return b"".join(out), at - len(unpack.unused_data)
 
 
-def records_in(path: str, begin: int, end: int):
+def _record(file: _Bytes, at: int):
+    """(fields, HTTP fields, payload, offset after the record) of a whole record, or None."""
+    got = _member(file, at) if _starts_record(file, at) else None
+    if not got:
+        return None
+    head, _, rest = got[0].partition(b"\r\n\r\n")
+    fields = _fields(head)[1]
+    n = fields.get("content-length", "")
+    if not (n.isdigit() and len(rest) == int(n) + 4 and rest.endswith(b"\r\n\r\n") and _starts_record(file, got[1])):
+        return None
+    http, _, payload = rest[:-4].partition(b"\r\n\r\n")
+    return fields, _fields(http)[1], payload, got[1]
+
+
+def records_in(path: str, begin: int, end: int, size: int | None = None, skip_damaged: bool = False):
     """(fields, HTTP fields, payload) of the records that start in [begin, end).
 
     A match of the magic counts as a record if its headers decode as WARC, its member ends with a right checksum, its
     length agrees, and the file ends or another record starts right behind it.
+
+    No record is lost unseen: a file that is not of the listed size, does not begin with a record, or has anything but
+    a whole record right behind a record is an error. A range also verifies the record behind its last one, where the next
+    range with a record begins. With `skip_damaged` what cannot be read is passed over.
     """
     file = _Bytes(path)
-    at, sure = begin, False
+    if size is not None and size != file.size and not skip_damaged:
+        raise ValueError(f"{path}: {file.size} bytes, but {size} are listed")
+    at, sure = begin, begin == 0
     while at < min(end, file.size):
         if not sure:
             at = file.find_magic(at, end)
             if at < 0:
                 return
-        got = _member(file, at) if _starts_record(file, at) else None
-        if got:
-            raw, after = got
-            head, _, rest = raw.partition(b"\r\n\r\n")
-            version, fields = _fields(head)
-            n = fields.get("content-length", "")
-            if n.isdigit() and len(rest) == int(n) + 4 and rest.endswith(b"\r\n\r\n") and _starts_record(file, after):
-                http, _, payload = rest[:-4].partition(b"\r\n\r\n")
-                yield fields, _fields(http)[1], payload
-                at, sure = after, True
-                continue
-        at, sure = at + 1, False
+        if got := _record(file, at):
+            yield got[:3]
+            at, sure = got[3], True
+        elif sure and not skip_damaged:
+            raise ValueError(f"{path}: no whole record at byte {at}")
+        else:
+            at, sure = at + 1, False
+    if sure and at < file.size and not skip_damaged and not _record(file, at):
+        raise ValueError(f"{path}: no whole record at byte {at}")
 
 
 def _page(urn: str | None) -> int | None:
@@ -200,19 +219,19 @@ def _page(urn: str | None) -> int | None:
     return int(tail) if tail.lstrip("-").isdigit() else None
 
 
-def read_warc(files: DataFrame, split_bytes: int = SPLIT_BYTES) -> DataFrame:
+def read_warc(files: DataFrame, split_bytes: int = SPLIT_BYTES, skip_damaged: bool = False) -> DataFrame:
     """page_id, url, record_type, payload_bytes and payload_digest (both of the full payload), refers_to, payload (null in a revisit).
 
-    `files` lists paths and sizes. Each split of `split_bytes` is a task's row; a payload that does not match its
-    digest is an error.
+    `files` lists paths and sizes. Each split of `split_bytes` is a task's row. A payload that does not match its digest
+    is an error, and so is a damaged, cut-off or missing record; `skip_damaged` reads on behind it instead.
     """
     schema = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("record_type", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("refers_to", pa.int64()), ("payload", pa.binary())])
 
     def read(batches):
         def rows():
             for b in batches:
-                for path, begin in zip(*(c.to_pylist() for c in b.columns)):
-                    for fields, http, payload in records_in(path, begin, begin + split_bytes):
+                for path, n_bytes, begin in zip(*(c.to_pylist() for c in b.columns)):
+                    for fields, http, payload in records_in(path, begin, begin + split_bytes, n_bytes, skip_damaged):
                         kind, digest = fields["warc-type"], fields["warc-payload-digest"].removeprefix("sha1:")
                         if kind == "response" and payload_digest(payload) != digest:
                             raise ValueError(f"{path}: payload of {fields.get('warc-record-id')} does not match its digest")
@@ -221,7 +240,7 @@ def read_warc(files: DataFrame, split_bytes: int = SPLIT_BYTES) -> DataFrame:
 
         yield from batches_of(schema, rows(), weigh=lambda r: len(r[-1] or b""))
 
-    splits = files.select("path", F.explode(F.sequence(F.lit(0).cast("long"), F.greatest(F.col("n_bytes") - 1, F.lit(0)), F.lit(split_bytes).cast("long"))).alias("begin"))
+    splits = files.select("path", "n_bytes", F.explode(F.sequence(F.lit(0).cast("long"), F.greatest(F.col("n_bytes") - 1, F.lit(0)), F.lit(split_bytes).cast("long"))).alias("begin"))
     n = files.agg(F.sum(F.ceil(F.col("n_bytes") / split_bytes))).first()[0] or 1
     return splits.repartition(max(1, min(int(n), 100_000))).mapInArrow(read, "page_id long, url string, record_type string, payload_bytes long, payload_digest string, refers_to long, payload binary")
 
