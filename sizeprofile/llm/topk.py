@@ -18,6 +18,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
@@ -28,10 +29,12 @@ from .common import batches_of, rows_of, written
 TILE_ROWS, TILE_QUERIES, AT_ONCE = 4096, 1024, 128
 #: Query tiles up to this size (measured) travel with the tasks; beyond, they are joined to the tiles by salted keys.
 BROADCAST_BYTES = 8 << 20
+#: Bytes of query tiles and of row tiles that meet in one cell of the grid.
+CELL_BYTES = 32 << 20
 LISTS = 4
 _LEAST, _MOST = -(2**63), 2**63 - 1
 
-_TILES = pa.schema([("width", pa.int32()), ("ids", pa.binary()), ("parts", pa.binary())])
+_TILES = pa.schema([("tile", pa.int64()), ("width", pa.int32()), ("ids", pa.binary()), ("parts", pa.binary())])
 
 
 def _matrix(col: pa.Array, scale: float) -> tuple[np.ndarray, np.ndarray]:
@@ -50,21 +53,23 @@ def _matrix(col: pa.Array, scale: float) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _packed(rows: DataFrame, scale: float, most: int) -> DataFrame:
-    """Tiles of at most `most` vectors: their width, ids and components."""
+    """Tiles of at most `most` vectors: a number of their own, their width, ids and components."""
 
     def pack(batches):
         def tiles():
+            tile = TaskContext.get().partitionId() << 32
             for b in batches:
                 for at in range(0, b.num_rows, most):
                     part = b.slice(at, most)
                     fit, vectors = _matrix(part.column(1), scale)
                     ids = part.column(0).to_numpy(zero_copy_only=False)[fit]
                     if len(ids):
-                        yield vectors.shape[1], ids.astype("<i8").tobytes(), vectors.astype("<f8").tobytes()
+                        yield tile, vectors.shape[1], ids.astype("<i8").tobytes(), vectors.astype("<f8").tobytes()
+                        tile += 1
 
         yield from batches_of(_TILES, tiles(), most=8)
 
-    return rows.mapInArrow(pack, "width int, ids binary, parts binary")
+    return rows.mapInArrow(pack, "tile long, width int, ids binary, parts binary")
 
 
 def _tile(width: int, ids: bytes, parts: bytes) -> tuple[np.ndarray, np.ndarray]:
@@ -121,13 +126,21 @@ def collected(q_ids, q, floors, c_ids, c, k: int, lists: int):
     """Phases 2 and 3 for one pair of tiles: (query's place, row id, score), the best k of the tile."""
     q, c = _aligned(q, c)
     blocks = _blocks(q.shape[1], lists)
+    sizes = [None if c.dtype == object else np.linalg.norm(c[:, b], axis=1) for b in blocks]
     for begin in range(0, len(q_ids), AT_ONCE):
         part, least = q[begin : begin + AT_ONCE], floors[begin : begin + AT_ONCE]
         enough = np.zeros((len(part), len(c_ids)), dtype=bool)
         known = least > _LEAST
         cut = np.where(known, least.astype(object) if q.dtype == object else least.astype(float), -np.inf)[:, None]
-        for b in blocks:
-            enough |= (part[:, b] @ c[:, b].T) * len(blocks) >= cut
+        for b, size in zip(blocks, sizes):
+            if size is None:
+                enough |= (part[:, b] @ c[:, b].T) * len(blocks) >= cut
+                continue
+            own = np.linalg.norm(part[:, b], axis=1)
+            with np.errstate(divide="ignore", invalid="ignore"):
+                reach = np.where(cut[:, 0] <= 0, 0, np.where(own > 0, cut[:, 0] / (own * len(blocks)), np.inf)).min()
+            rows = np.flatnonzero(size * (1 + 1e-9) >= reach)  # a shorter part can't reach the threshold with any of these queries
+            enough[:, rows] |= (part[:, b] @ c[rows, b].T) * len(blocks) >= cut
         enough &= c_ids[None, :] != q_ids[begin : begin + AT_ONCE, None]
         qi, ci = np.nonzero(enough)
         score = _completed(part, c, qi, ci)
@@ -140,8 +153,12 @@ def collected(q_ids, q, floors, c_ids, c, k: int, lists: int):
             yield begin + a, int(c_ids[b]), s
 
 
-def _cells(tiles: DataFrame, queries: DataFrame, n_tiles: int, n_bytes: int, kernel, arrow: pa.Schema, schema: str) -> DataFrame:
-    """Apply the kernel to each pair of a query tile and a row tile."""
+def _cells(tiles: DataFrame, queries: DataFrame, n_bytes: int, row_bytes: int, kernel, arrow: pa.Schema, schema: str) -> DataFrame:
+    """Apply the kernel to each pair of a query tile and a row tile.
+
+    Query tiles up to BROADCAST_BYTES travel with the tasks. Beyond, both sides are dealt over a grid whose cells hold
+    about CELL_BYTES of each, so a row tile is shuffled once for CELL_BYTES of queries, and no task holds more than a cell.
+    """
     fields = queries.columns
     if n_bytes <= BROADCAST_BYTES:
         held = [tuple(r) for r in queries.collect()]
@@ -151,14 +168,17 @@ def _cells(tiles: DataFrame, queries: DataFrame, n_tiles: int, n_bytes: int, ker
 
         return tiles.mapInArrow(run, schema)
 
-    def joined(batches):
-        yield from batches_of(arrow, (out for b in batches for r in zip(*(c.to_pylist() for c in b.columns)) for out in kernel(r[: len(fields)], r[len(fields) :])))
+    def cell(left: pa.Table, right: pa.Table) -> pa.Table:
+        own = list(zip(*(left.column(f"q_{c}").to_pylist() for c in fields)))
+        rows = (out for t in zip(*(right.column(c).to_pylist() for c in _TILES.names)) for q in own for out in kernel(q, t))
+        return pa.Table.from_batches(batches_of(arrow, rows), schema=arrow)
 
-    salts = max(8, min(4096, 4 * int(queries.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-    spread = tiles.withColumn("salt", F.pmod(F.xxhash64("ids"), F.lit(salts))).withColumn("tile", F.explode(F.sequence(F.lit(0), F.lit(n_tiles - 1))))
-    copies = queries.select(*[F.col(c).alias(f"q_{c}") for c in fields], F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))).alias("salt"))
-    pairs = copies.join(spread, (copies.q_tile == spread.tile) & (copies.salt == spread.salt))
-    return pairs.select(*[f"q_{c}" for c in fields], "width", "ids", "parts").mapInArrow(joined, schema)
+    across, down = math.ceil(n_bytes / CELL_BYTES), math.ceil(max(1, row_bytes) / CELL_BYTES)
+    place = lambda tile, n: F.pmod(F.xxhash64(tile), F.lit(n))
+    every = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))
+    left = queries.select(*[F.col(c).alias(f"q_{c}") for c in fields], place("tile", across).alias("column"), every(down).alias("row"))
+    right = tiles.select("*", every(across).alias("column"), place("tile", down).alias("row"))
+    return left.groupBy("column", "row").cogroup(right.groupBy("column", "row")).applyInArrow(cell, schema)
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: float = 256.0, lists: int = LISTS, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
@@ -169,8 +189,8 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: float = 256
     zeros). Rows that share the query's id count as the query's own. Repeated query rows are one query; a repeated
     row of `vectors` is a candidate each time. Scores beyond 64 bits saturate. No queries or no rows: no result.
 
-    Query tiles (measured) up to BROADCAST_BYTES are sent along; larger sets are joined in blocks, so neither side
-    has to fit in one place. What is shuffled is k numbers a query and row tile in phase 1 and the entries above the
+    Query tiles (measured) up to BROADCAST_BYTES are sent along; larger sets meet the rows in the cells of a grid, so
+    neither side has to fit in one place. What is shuffled besides is k numbers a query and row tile in phase 1 and the entries above the
     cutoff, k at most, in phase 3.
     """
     spark = vectors.sparkSession
@@ -180,33 +200,33 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: float = 256
     n_asked = asked.count()
     tiles = _packed(rows, scale, TILE_ROWS)
     packed = written(_packed(asked.repartition(max(1, math.ceil(n_asked / TILE_QUERIES))), scale, TILE_QUERIES), "query-tiles")
-    numbered = written(packed.select((F.row_number().over(Window.orderBy("ids")) - 1).alias("tile"), "width", "ids", "parts"), "numbered-tiles")  # a row for each 1,024 queries
-    n_tiles, n_bytes = numbered.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("parts")), F.lit(0))).first()
-    if not n_tiles:
+    n_bytes, width = packed.agg(F.coalesce(F.sum(F.octet_length("parts")), F.lit(0)), F.max("width")).first()
+    row_bytes = 8 * max(1, width) * rows.count() if n_bytes > BROADCAST_BYTES else 0
+    if width is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    lists_schema = pa.schema([("tile", pa.int32()), ("place", pa.int32()), ("best", pa.list_(pa.int64()))])
+    lists_schema = pa.schema([("tile", pa.int64()), ("place", pa.int32()), ("best", pa.list_(pa.int64()))])
 
     def first(q, t):
-        for place, best in gathered(*_tile(*q[1:4]), *_tile(*t), k, lists):
+        for place, best in gathered(*_tile(*q[1:4]), *_tile(*t[1:]), k, lists):
             yield q[0], place, best
 
-    local = _cells(tiles, numbered, n_tiles, n_bytes, first, lists_schema, "tile int, place int, best array<long>")
+    local = _cells(tiles, packed, n_bytes, row_bytes, first, lists_schema, "tile long, place int, best array<long>")
     by_score = Window.partitionBy("tile", "place").orderBy(F.desc("score"))
     best = local.select("tile", "place", F.explode("best").alias("score")).withColumn("n", F.row_number().over(by_score)).where(F.col("n") <= k)
     floors = best.groupBy("tile", "place").agg(F.when(F.count(F.lit(1)) == k, F.min("score")).otherwise(F.lit(_LEAST)).alias("floor"))
     by_tile = floors.groupBy("tile").agg(F.map_from_entries(F.collect_list(F.struct("place", "floor"))).alias("floors"))  # one tile's queries
-    ready = written(numbered.join(by_tile, "tile", "left").select("tile", "width", "ids", "parts", "floors"), "query-cutoffs")
-    result = pa.schema([("query_id", pa.int64()), ("tile", pa.int32()), ("place", pa.int32()), ("vec_id", pa.int64()), ("score", pa.int64())])
+    ready = written(packed.join(by_tile, "tile", "left").select("tile", "width", "ids", "parts", "floors"), "query-cutoffs")
+    result = pa.schema([("query_id", pa.int64()), ("tile", pa.int64()), ("place", pa.int32()), ("vec_id", pa.int64()), ("score", pa.int64())])
 
     def second(q, t):
         ids, parts = _tile(*q[1:4])
         floors = np.full(len(ids), _LEAST, dtype=np.int64)
         for place, floor in dict(q[4] or {}).items():
             floors[place] = floor
-        for place, vec_id, score in collected(ids, parts, floors, *_tile(*t), k, lists):
+        for place, vec_id, score in collected(ids, parts, floors, *_tile(*t[1:]), k, lists):
             yield int(ids[place]), q[0], place, vec_id, score
 
-    entries = _cells(tiles, ready, n_tiles, n_bytes, second, result, "query_id long, tile int, place int, vec_id long, score long")
+    entries = _cells(tiles, ready, n_bytes, row_bytes, second, result, "query_id long, tile long, place int, vec_id long, score long")
     order = Window.partitionBy("query_id", "tile", "place").orderBy(F.desc("score"), "vec_id")
     return entries.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
