@@ -32,6 +32,8 @@ _FOOTER = "<QQQB8s"
 _INDEX = (("id", "<i8"), ("null", "u1"), ("start", "<u8"), ("at", "<u8"), ("size", "<u4"), ("n", "<u4"))
 #: Documents and text bytes aimed at in one file; a file is closed at twice that.
 FILE_BYTES, FILE_DOCS = 32 << 20, 200_000
+#: Ranges of ids at most: their bounds go to every task, and their totals to the driver.
+MOST_RANGES = 4096
 #: The dictionary and the bounded sample of documents (whole, at most SAMPLE_BYTES each) from which it is trained.
 DICT_BYTES, SAMPLE_DOCS, SAMPLE_BYTES = 64 << 10, 1_000, 64 << 10
 #: Code points outside this set are classed alike by all Unicode versions in use (letters added lately in the basic plane); with the
@@ -192,9 +194,9 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id:
     """Write all documents in ascending order of id; return (the list of files, the dictionary).
 
     A null text is empty (its ids are the end id alone). Null ids come first, ties in the order of their frames, each
-    row a document of its own. Ranges of ids are cut at quantiles of the id column, so that only compressed frames
-    are shuffled, once, and sorted inside each range; a hot id makes its range's task start new files at twice the
-    aimed size. Files are renamed into place when complete and listed only by the task attempt that succeeded.
+    row a document of its own. Ranges of ids, MOST_RANGES at any size, are cut at quantiles of the id column, so that only
+    compressed frames are shuffled, once, and sorted inside each range; a range's task starts a new file at twice the
+    aimed size, also inside a hot id. Files are renamed into place when complete and listed only by the task attempt that succeeded.
     """
     import zstandard
 
@@ -202,8 +204,8 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id:
     definition = _definition(tokenizer_path)
     rows = rows_of(docs, id=F.col(f"`{id_col}`").cast("long"), text=F.coalesce(F.col(f"`{text_col}`"), F.lit("")))
     n_docs, n_bytes = rows.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
-    shards = max(1, math.ceil(n_bytes / file_bytes), math.ceil(n_docs / FILE_DOCS))
-    cuts = sorted({int(x) for x in rows.approxQuantile("id", [k / shards for k in range(1, shards)], 0.1 / shards)}) if shards > 1 else []
+    shards = min(MOST_RANGES, max(1, math.ceil(n_bytes / file_bytes), math.ceil(n_docs / FILE_DOCS)))
+    cuts = sorted({int(x) for x in rows.approxQuantile("id", [k / shards for k in range(1, shards)], 0.2 / shards)}) if shards > 1 else []
     share = min(1.0, 1.2 * SAMPLE_DOCS / max(1, n_docs))
     picked = rows.where((F.octet_length("text") <= SAMPLE_BYTES) & (F.pmod(F.xxhash64("id"), F.lit(1_000_000)) < int(share * 1_000_000) + 1))
     sample = [r.text for r in picked.select("text").limit(SAMPLE_DOCS).collect()]
@@ -262,8 +264,12 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id:
 
 def read_token_files(files: DataFrame, dictionary: bytes) -> DataFrame:
     """doc_id, start (ids of all documents before it), n_tokens, ids (little-endian unsigned 32-bit) of all documents of the files."""
-    before = Window.orderBy("shard", "part").rowsBetween(Window.unboundedPreceding, -1)  # one row per file
-    based = files.select("path", F.coalesce(F.sum("n_ids").over(before), F.lit(0)).alias("base"))
+    totals, shard_base, held = files.groupBy("shard").agg(F.sum("n_ids").alias("n")).collect(), {}, 0  # MOST_RANGES rows at most
+    for r in sorted(totals, key=lambda r: r.shard):
+        shard_base[r.shard], held = held, held + r.n
+    before = Window.partitionBy("shard").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = F.broadcast(files.sparkSession.createDataFrame(list(shard_base.items()), "shard int, first long"))
+    based = files.join(starts, "shard").select("path", (F.col("first") + F.coalesce(F.sum("n_ids").over(before), F.lit(0))).alias("base"))
     schema = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("ids", pa.binary())])
 
     def read(batches):
