@@ -6,6 +6,7 @@ then finds document rates, within bounds, whose expected token totals by domain
 
 from __future__ import annotations
 
+import math
 import zlib
 
 import numpy as np
@@ -13,14 +14,17 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import mapped, rows_of, texts_of, written
+from .common import free_name, mapped, rows_of, texts_of, written
 
 #: Labelled documents fitted on, chosen by a hash over the whole table, and the longest text among them.
 MAX_LABELLED_ROWS, MAX_LABELLED_BYTES = 2_000, 64 << 10
 BUCKETS, STEPS, RATE, DECAY = 2048, 200, 2.0, 1e-3
-ROUNDS = 60
-#: Weight of the ridge on rate - 1, as a share of the tokens a domain: it only decides between rates that fit equally well.
-RIDGE = 1e-4
+#: Gradient steps over all rows at most, and steps over the cells of the membership histogram before them.
+ROUNDS, CELL_STEPS = 12, 5_000
+#: Steps end when no rate wants to move: the tokens by which one more step would change the mix, as a share of all.
+STILL = 1e-5
+#: The histogram has at most FINEST cells along a domain's axis, and about MOST_CELLS in all; it is all that the driver sees.
+FINEST, MOST_CELLS = 32, 20_000
 
 
 def bag(raw: bytes, known: dict[bytes, int]) -> tuple[int, np.ndarray]:
@@ -97,59 +101,81 @@ def memberships(docs: DataFrame, labels: DataFrame, domains: list[str], id_col:
     return mapped(docs, {"n_tokens": "long", "membership": "array<double>"}, kernel)
 
 
+def _clipped(x, least: float, most: float):
+    return np.minimum(most, np.maximum(least, x))
+
+
+def cell_rates(tokens: np.ndarray, sums: np.ndarray, wanted: np.ndarray, size: float, least: float, most: float) -> np.ndarray:
+    """Accelerated projected-gradient steps on the cells of a histogram; `sums` holds each cell's tokens by domain.
+
+    The momentum starts anew whenever it points uphill. Steps end when they no longer move tokens.
+    """
+    mean = sums / np.maximum(tokens, 1e-300)[:, None]
+    rate = ahead = _clipped(np.ones(len(tokens)), least, most)
+    pace = 1.0
+    for _ in range(CELL_STEPS):
+        now = _clipped(ahead - size * (mean @ (ahead @ sums - wanted)), least, most)
+        if tokens @ np.abs(now - ahead) <= 1e-3 * STILL * tokens.sum():
+            return now
+        if (tokens * (ahead - now)) @ (now - rate) > 0:
+            pace = 1.0
+        faster = (1 + math.sqrt(1 + 4 * pace * pace)) / 2
+        ahead, rate, pace = now + (pace - 1) / faster * (now - rate), now, faster
+    return rate
+
+
 def fit_rates(table: DataFrame, targets: dict[str, float], total: float | None = None, least: float = 0.0, most: float = 4.0, rounds: int = ROUNDS) -> tuple[DataFrame, np.ndarray, np.ndarray]:
     """Add `rate` to a table with n_tokens and membership (in the order of `targets`); also return (wanted, reached) totals by domain.
 
     Minimises the squared gap between the expected domain totals (sum of rate x tokens x membership) and the targets by
-    projected gradient steps with lazy projection: the gradient with respect to a row's rate is a linear function of
-    its membership, so the sum of all steps so far is one number a domain, and the rate is 1 plus that function,
-    clipped to [least, most]. A round is one aggregation that sends those few sums to the driver; no row state is kept.
-    Steps are scaled by the second moments of the memberships of the rows within their bounds; a row on a bound counts,
-    as it may move inwards. A step is halved until it raises the dual of the problem with a small ridge on rate - 1:
-    unlike the gap, the dual has a slope also where rows sit on a bound, so some step length is always accepted. Targets
-    are normalised to sum to `total` (default: the tokens there are). Rows without tokens get a rate but add nothing.
+    projected gradient from rate 1: a step moves each rate against the gradient, which is its tokens times membership .
+    gap, and clips it to [least, most]. Steps are measured in tokens, so a rate moves by step x membership . gap; the step is
+    one over the largest eigenvalue of the token-weighted second moments of the memberships of all rows.
+
+    First steps run on a histogram of the memberships, which is bounded at any size: cells hold exact sums, so totals are
+    those of all rows, each at its cell's rate. The remaining steps run over all rows, one aggregation a step, each
+    row by its own membership, until no rate wants to move. Rates are nested column expressions: no row state is written,
+    and a lost executor costs a task. Where targets can be met in several ways, rates stay near 1. Targets are normalised to
+    sum to `total` (default: the tokens there are). Rows without tokens get a rate but add nothing.
     """
     d, p, t = len(targets), F.col("membership"), F.col("n_tokens")
     wanted = np.array(list(targets.values()), dtype=float)
     wanted = wanted / wanted.sum() if wanted.sum() else np.full(d, 1 / d)
-    cells = [(i, j) for i in range(d) for j in range(i, d)]
-
-    def move(shift: np.ndarray) -> Column:
-        return sum((F.lit(float(v)) * p[k] for k, v in enumerate(shift)), F.lit(1.0))
-
-    def rate(shift: np.ndarray) -> Column:
-        return F.least(F.lit(float(most)), F.greatest(F.lit(float(least)), move(shift)))
-
-    def look(shift: np.ndarray) -> tuple[np.ndarray, float, np.ndarray]:
-        """Expected totals, the rows' part of the dual, and second moments of the memberships of the rows within their bounds."""
-        rows = table.select(t, p, move(shift).alias("m"), rate(shift).alias("r"))
-        m, r = F.col("m"), F.col("r")
-        free = F.when((m >= least) & (m <= most), t).otherwise(0)
-        sums = [*[r * t * p[k] for k in range(d)], t * r * (m - r / 2), *[free * p[i] * p[j] for i, j in cells]]
-        got = rows.agg(*[F.coalesce(F.sum(x), F.lit(0.0)) for x in sums]).first()
-        moments = np.zeros((d, d))
-        for (i, j), v in zip(cells, got[d + 1 :]):
-            moments[i, j] = moments[j, i] = v
-        return np.array(got[:d], dtype=float), got[d], moments
-
-    tokens = table.agg(F.coalesce(F.sum(t), F.lit(0))).first()[0]
-    wanted = wanted * float(tokens * (1 if total is None else total))
-    ridge = max(1e-9, RIDGE * tokens / d)
-    shift, scale = np.zeros(d), 1.0
-    reached, part, moments = look(shift)
-    for _ in range(rounds):
-        slope = wanted - reached - ridge * shift
-        if min(np.abs(wanted - reached).max(), 10 * np.abs(slope).max()) <= 1e-4 * wanted.sum():
+    cuts = FINEST
+    while cuts > 1 and math.comb(cuts + d - 1, d - 1) > MOST_CELLS:
+        cuts -= 1
+    at, first = [free_name(table.columns, f"at_{k}") for k in range(d)], free_name(table.columns, "first_rate")
+    places = [F.round(p[k] * cuts).cast("int").alias(c) for k, c in enumerate(at)]
+    pairs = [(i, j) for i in range(d) for j in range(i, d)]
+    sums = [*[F.sum(t * p[k]) for k in range(d)], F.sum(t), *[F.sum(t * p[i] * p[j]) for i, j in pairs]]
+    cells = table.where(t > 0).groupBy(*places).agg(*[x.alias(f"sum_{k}") for k, x in enumerate(sums)]).toPandas().sort_values(at)
+    got = cells[[f"sum_{k}" for k in range(len(sums))]].to_numpy(dtype=float).reshape(len(cells), len(sums))
+    tokens, by_domain = got[:, d], got[:, :d]
+    wanted = wanted * float(tokens.sum() * (1 if total is None else total))
+    moments = np.zeros((d, d))
+    for (i, j), v in zip(pairs, got[:, d + 1 :].sum(axis=0)):
+        moments[i, j] = moments[j, i] = v
+    size = 1 / max(1e-9, np.linalg.eigvalsh(moments)[-1]) if len(cells) else 0.0
+    start = cell_rates(tokens, by_domain, wanted, size, least, most) if len(cells) else np.zeros(0)
+
+    known = table.sparkSession.createDataFrame([(*map(int, c), float(r)) for c, r in zip(cells[at].to_numpy(), start)], ", ".join([*[f"{c} int" for c in at], f"{first} double"]))
+    placed = table.select("*", *places).join(F.broadcast(known), at, "left")  # a row for each cell: at most about MOST_CELLS
+    one = F.lit(float(_clipped(1.0, least, most)))
+    rate = F.coalesce(F.col(first), one)
+    reached = start @ by_domain if len(cells) else np.zeros(d)
+
+    def stepped(now: Column, gap: np.ndarray) -> Column:
+        moved = now - sum((F.lit(float(size * g)) * p[k] for k, g in enumerate(gap)), F.lit(0.0))
+        return F.least(F.lit(float(most)), F.greatest(F.lit(float(least)), moved))
+
+    for _ in range(rounds if len(cells) else 0):
+        after = stepped(rate, reached - wanted)
+        rows = placed.where(t > 0).select(t, p, rate.alias("was"), after.alias("now"))
+        got = rows.agg(F.sum(t * F.abs(F.col("now") - F.col("was"))), *[F.sum(F.col("now") * t * p[k]) for k in range(d)]).first()
+        rate, reached = after, np.array(got[1:], dtype=float)
+        if got[0] <= STILL * tokens.sum():
             break
-        step = scale * np.linalg.solve(moments + np.eye(d) * ridge, slope)
-        trial = shift + step
-        got, rows, free = look(trial)
-        gain = wanted @ step - (rows - part) - ridge / 2 * (trial @ trial - shift @ shift)
-        if gain >= 1e-4 * (slope @ step):
-            shift, reached, part, moments, scale = trial, got, rows, free, min(1.0, 2 * scale)
-        else:
-            scale /= 2
-    return table.withColumn("rate", rate(shift)), wanted, reached
+    return placed.withColumn("rate", rate).drop(*at, first), wanted, reached
 
 
 def mix_to_targets(docs: DataFrame, labels: DataFrame, targets: dict[str, float], total: float | None = None, least: float = 0.0, most: float = 4.0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
