@@ -162,9 +162,12 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
                 keep.append(100 * both >= percent * (len(x) + len(y) - both))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["a", "b"]).filter(pa.array(keep, type=pa.bool_()))
 
+    if 8 * pairs.count() < sets.count():  # few of the sets: only those are shuffled
+        asked = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
+        sets = sets.join(written(asked, "asked-nodes"), "node", "left_semi")
     left = sets.select(F.col("node").alias("a"), F.col("shingles").alias("x"))
     right = sets.select(F.col("node").alias("b"), F.col("shingles").alias("y"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(check, "a binary, b binary")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(check, "a long, b long")
 
 
 def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -279,9 +282,12 @@ def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_co
         yield from batches_of(_SETS, one(), weigh=lambda r: len(r[2]))
 
     fetched = rows.select("doc_id", "text").mapInArrow(fetch, f"node binary, n long, shingles binary, {', '.join(f'{p} long' for p in SKETCH)}")
-    sets = written(fetched.join(wanted.select("node", "score"), "node").dropDuplicates(["node"]), "sets")
-    listed = written(grouped.select("shingle", "node", "m", "w").join(sets.select("node", "n", "score", *SKETCH), "node"), "lists")
-    roots = _linked(listed, sets, percent)
+    # from here on to the components a node is a number of its own, drawn as the table is written
+    sets = written(fetched.join(wanted.select("node", "score"), "node").dropDuplicates(["node"]).withColumn("number", F.monotonically_increasing_id()), "sets")
+    listed = grouped.select("shingle", "node", "m", "w").join(sets.select("node", "number", "n", "score", *SKETCH), "node")
+    listed = written(listed.drop("node").withColumnRenamed("number", "node"), "lists")
+    roots = _linked(listed, sets.select(F.col("number").alias("node"), "shingles"), percent)
+    roots = written(roots.join(sets.select(F.col("number"), F.col("node").alias("known")), roots.node == F.col("number")).select(F.col("known").alias("node"), "root"), "rooted")
     smallest = written(roots.join(nodes, "node").groupBy("root").agg(F.min("doc_id").alias("component_id")), "smallest")
     labels = written(roots.join(smallest, "root").select("node", "component_id"), "labels")
     by_node = written(nodes.join(labels, "node", "left").select("node", F.coalesce("component_id", "doc_id").alias("component_id")), "node-components")
