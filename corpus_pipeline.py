@@ -15,7 +15,8 @@ from sizeprofile.llm.quality_rules import quality_rules
 #: Near duplicates: five-word shingles, similarity 0.8.
 SHINGLE_WORDS, SIMILARITY_PERCENT = 5, 80
 #: Shares of the token total by label domain, the total as a multiple of the present one, and the bounds of the rates.
-#: No rate is below 1: mixing repeats documents, and drops none that the filters have kept.
+#: No rate is below 1: mixing repeats documents, and drops none that the filters have kept. Memberships of filtered text
+#: are soft, so thinning would drop good documents for little: README.md has the figures.
 MIX = {"good": 0.88, "good_toxic": 0.08, "poor": 0.03, "poor_toxic": 0.01}
 MIX_TOTAL, MIX_LEAST, MIX_MOST = 1.1, 1.0, 3.0
 
