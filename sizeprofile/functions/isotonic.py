@@ -72,29 +72,79 @@ def fit_by_node(df: DataFrame, keys: list[str], order: list[str], value: str, p:
     return df.select(*kept, value).groupBy(*keys).applyInPandas(fit, schema)
 
 
-def fit_chunked(df: DataFrame, keys: list[str], order: list[str], value: str, chunks: int) -> DataFrame:
-    """The L2 fit of groups of any size: (keys, first, last of the order columns, cnt, fit) blocks.
-
-    Rows are dealt by ranges of (keys, order), so no task holds a whole large group. Each chunk pools its own
-    violators; only blocks go on, and pooling the blocks gives the same fit as pooling the rows.
+def lower_median(values: np.ndarray, counts: np.ndarray) -> float:
+    """Of a multiset given by its ascending distinct values and their counts."""
+    upto = np.cumsum(counts)
+    return values[np.searchsorted(upto, (upto[-1] - 1) // 2, side="right")]
+
+
+def pooled_medians(blocks: list[tuple[np.ndarray, np.ndarray]]) -> tuple[list[float], np.ndarray]:
+    """Pool adjacent violators over blocks of (ascending values, counts): strictly ascending lower medians, and the first block of each pool."""
+    held: list[tuple[float, np.ndarray, np.ndarray]] = []
+    first: list[int] = []
+    for k, (values, counts) in enumerate(blocks):
+        held.append((lower_median(values, counts), values, counts))
+        first.append(k)
+        while len(held) > 1 and held[-2][0] >= held[-1][0]:
+            _, v1, c1 = held.pop()
+            _, v0, c0 = held.pop()
+            first.pop()
+            both, place = np.unique(np.r_[v0, v1], return_inverse=True)
+            counts = np.bincount(place, weights=np.r_[c0, c1]).astype(np.int64)
+            held.append((lower_median(both, counts), both, counts))
+    return [h[0] for h in held], np.array(first, dtype=np.int64)
+
+
+def pooled_stretches(df: DataFrame, keys: list[str], order: list[str], stretch: list[str], value: str, p: int) -> DataFrame:
+    """The fit of groups of any size: (keys, order columns of the first row, cnt, fit) blocks.
+
+    Rows of equal (keys, stretch) must stand in one partition in ascending order; stretches follow each other in `order`.
+    A task pools the violators of its stretches batch by batch, a row at a time is never shuffled, and only blocks meet by keys, where
+    pooling them gives the same fit as pooling the rows. A block is its count and total for squares, and the
+    histogram of its values for absolute gaps.
     """
     shape = df.select(*keys, *order).schema
     fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in shape)
-    block = f"{fields}, cnt long, total double"
-    ranked = df.select(*keys, *order, F.col(value).cast("double").alias("v")).repartitionByRange(chunks, *keys, *order).sortWithinPartitions(*keys, *order)
 
     def local(batches):
         for pdf in batches:
-            for _, part in pdf.groupby(keys, sort=False, dropna=False):
-                s, w = pooled_means(part["v"].to_numpy(), np.ones(len(part)))
-                first = np.r_[0, np.cumsum(w)[:-1]].astype(np.int64)
-                yield part.iloc[first][[*keys, *order]].assign(cnt=w.astype(np.int64), total=s)
+            kept, cnt, total, values, counts = [], [], [], [], []
+            x = pdf[value].to_numpy()
+            for rows in pdf.groupby([*keys, *stretch], sort=False, dropna=False).indices.values():
+                part = x[rows]
+                if p == 2:
+                    s, w = pooled_means(part, np.ones(len(part)))
+                    first = np.r_[0, np.cumsum(w)[:-1]].astype(np.int64)
+                    total += s.tolist()
+                else:
+                    fit = isotonic_l1(part)
+                    first = np.flatnonzero(np.r_[True, fit[1:] != fit[:-1]])
+                    for a, b in zip(first, [*first[1:], len(part)]):
+                        v, c = np.unique(part[a:b], return_counts=True)
+                        values.append(v.astype(float).tolist())
+                        counts.append(c.tolist())
+                kept.append(rows[first])
+                cnt += np.diff(np.r_[first, len(part)]).tolist()
+            if kept:
+                out = pdf.iloc[np.concatenate(kept)][[*keys, *order]].reset_index(drop=True)
+                yield out.assign(cnt=cnt, total=total if p == 2 else 0.0, vals=None if p == 2 else pd.Series(values, dtype=object), counts=None if p == 2 else pd.Series(counts, dtype=object))
 
     def final(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(order, kind="stable")
-        s, w = pooled_means(pdf["total"].to_numpy(), pdf["cnt"].to_numpy(dtype=float))
-        ends = np.searchsorted(np.cumsum(pdf["cnt"].to_numpy()), np.cumsum(w) - 0.5)
-        first = np.r_[0, ends[:-1] + 1].astype(np.int64)
-        return pdf.iloc[first][[*keys, *order]].assign(cnt=w.astype(np.int64), fit=s / w)
-
-    return ranked.mapInPandas(local, block).groupBy(*keys).applyInPandas(final, f"{fields}, cnt long, fit double")
+        n = pdf["cnt"].to_numpy()
+        if p == 2:
+            s, w = pooled_means(pdf["total"].to_numpy(), n.astype(float))
+            ends = np.searchsorted(np.cumsum(n), np.cumsum(w) - 0.5)
+            first, fit = np.r_[0, ends[:-1] + 1].astype(np.int64), s / w
+        else:
+            fit, first = pooled_medians([(np.asarray(v), np.asarray(c)) for v, c in zip(pdf["vals"], pdf["counts"])])
+        return pdf.iloc[first][[*keys, *order]].assign(cnt=np.add.reduceat(n, first), fit=np.asarray(fit, dtype=float))
+
+    pooled = df.select(*dict.fromkeys([*keys, *order, *stretch]), value).mapInPandas(local, f"{fields}, cnt long, total double, vals array<double>, counts array<long>")
+    return pooled.groupBy(*keys).applyInPandas(final, f"{fields}, cnt long, fit double")
+
+
+def fit_chunked(df: DataFrame, keys: list[str], order: list[str], value: str, chunks: int, p: int = 2) -> DataFrame:
+    """The same for rows in any order: they are dealt by ranges of (keys, order), so no task holds a whole large group."""
+    ranked = df.select(*keys, *order, F.col(value).cast("double").alias(value)).repartitionByRange(chunks, *keys, *order).sortWithinPartitions(*keys, *order)
+    return pooled_stretches(ranked, keys, order, [], value, p)

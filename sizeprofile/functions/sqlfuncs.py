@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.functions import udtf
 
+from . import aggregates
 from .isotonic import isotonic
 
 _FUNCTIONS = (
@@ -35,6 +36,7 @@ def register(spark: SparkSession, released: dict[str, DataFrame] | None = None,
     for sql in _FUNCTIONS:
         spark.sql(sql)
     spark.udtf.register("sp_isotonic", IsotonicFit)
+    aggregates.register(spark)
     for name, df in (released or {}).items():
         df.createOrReplaceTempView(f"sp_{name}")
     if truth and not allow_truth:

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.isotonic import fit_by_node, fit_chunked
+from ..functions.isotonic import fit_by_node, pooled_stretches
 from ..functions.noise import SENSITIVITY, geometric_noise
 from . import profile
 
@@ -73,22 +73,21 @@ def difference_fit(fitted: DataFrame, counts: DataFrame, runs: DataFrame, ceilin
     return profile.from_cumulative(whole.unionByName(last), KEYS)
 
 
-def sorted_cells(hist: DataFrame, runs: DataFrame) -> DataFrame:
-    """One noisy size a group, keyed by (size, place among equals): (keys, size, j, noisy). Ranks are not needed."""
-    rows = hist.where("cnt > 0").select("level", "node_id", "size", F.explode(F.expr("sequence(1L, cnt)")).alias("j")).crossJoin(runs)
-    return _noisy(rows, "hg", "size", "j").select(*KEYS, "size", "j", (F.col("size") + F.col("noise")).cast("long").alias("noisy"))
+def sorted_cells(hist: DataFrame, runs: DataFrame, block_rows: int = profile.BLOCK_ROWS) -> DataFrame:
+    """One noisy size a group, keyed by (size, place j among equals): (keys, size, block, j, noisy). Ranks are not needed.
+
+    Places of equal size are dealt in blocks, so that a size that very many groups have is no single task.
+    """
+    rows = profile.exploded(hist.where("cnt > 0").select("level", "node_id", "size", F.lit(1).cast("long").alias("first"), "cnt"), "j", block_rows).crossJoin(runs)
+    return _noisy(rows, "hg", "size", "j").select(*KEYS, "size", "block", "j", (F.col("size") + F.col("noise")).cast("long").alias("noisy"))
 
 
-def estimate_sorted(hist: DataFrame, runs: DataFrame, p: int = 2, chunks: int = 0, by_fit: bool = False) -> DataFrame:
-    """Isotonic fit of the noisy sorted sizes, floored at 0, rounded, counted.
+def estimate_sorted(hist: DataFrame, runs: DataFrame, p: int = 2, by_fit: bool = False, block_rows: int = profile.BLOCK_ROWS) -> DataFrame:
+    """Isotonic fit of the noisy sorted sizes, floored at 0, rounded, counted. Only pooled blocks of groups are shuffled.
 
-    `by_fit` counts groups by their fitted value before rounding (one row a block of equal fits). With `chunks` (L2 only) rows are dealt by ranges and only pooled blocks meet in one task: for nodes of any size.
+    `by_fit` counts groups by their fitted value before rounding (one row a block of equal fits).
     """
-    cells = sorted_cells(hist, runs)
-    if chunks and p == 2:
-        blocks = fit_chunked(cells, [*KEYS], ["size", "j"], "noisy", chunks).select(*KEYS, "cnt", "fit")
-    else:
-        blocks = fit_by_node(cells, [*KEYS], ["size", "j"], "noisy", p).select(*KEYS, F.lit(1).cast("long").alias("cnt"), "fit")
+    blocks = pooled_stretches(sorted_cells(hist, runs, block_rows), [*KEYS], ["size", "j"], ["size", "block"], "noisy", p).select(*KEYS, "cnt", "fit")
     size = F.floor(F.greatest(F.col("fit"), F.lit(0.0)) + 0.5).cast("long").alias("size")
     if by_fit:
         return blocks.groupBy(*KEYS, "fit").agg(F.sum("cnt").alias("cnt")).select(*KEYS, size, "cnt")

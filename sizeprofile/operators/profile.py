@@ -7,6 +7,9 @@ from pyspark.sql import functions as F
 
 from .tree import RegionTree
 
+#: Rows that one row of counts makes in a task before the next block of them may go to another.
+BLOCK_ROWS = 1 << 16
+
 
 def group_sizes(entities: DataFrame, groups: DataFrame) -> DataFrame:
     """(group_id, leaf_id, size) of every public group; a group without entities has size 0.
@@ -34,11 +37,9 @@ def grouping_sets_histogram(leaf_hist: DataFrame, tree: RegionTree) -> DataFrame
     """The same by grouping sets over the wide tree."""
     wide = leaf_hist.join(tree.small(tree.wide), "leaf_id")
     names = [f"level_{k}" for k in range(tree.levels)]
-    view = "sp_wide_hist"
-    wide.createOrReplaceTempView(view)
     sets = ", ".join(f"({', '.join([*names[: k + 1], 'size'])})" for k in range(tree.levels))
     level = " ".join(f"when grouping(level_{k}) = 0 then {k}" for k in range(tree.levels - 1, -1, -1))
-    out = leaf_hist.sparkSession.sql(f"select {', '.join(names)}, size, sum(cnt) as cnt, case {level} end as level from {view} group by grouping sets ({sets})")
+    out = leaf_hist.sparkSession.sql(f"select {', '.join(names)}, size, sum(cnt) as cnt, case {level} end as level from {{wide}} group by grouping sets ({sets})", wide=wide)
     return out.select("level", F.coalesce(*names[::-1]).alias("node_id"), "size", "cnt")
 
 
@@ -71,9 +72,22 @@ def to_runs(hist: DataFrame, keys: tuple[str, ...] = ("level", "node_id")) -> Da
     return hist.where("cnt > 0").select(*keys, "size", "cnt", (F.sum("cnt").over(w) - F.col("cnt")).alias("rank_lo"), F.sum("cnt").over(w).alias("rank_hi"))
 
 
+def exploded(counted: DataFrame, name: str, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """A row for each of `cnt` consecutive numbers from `first` on, as column `name`, with the number of its `block`.
+
+    In two steps: blocks are dealt over all tasks before their places are made, so that neither an array nor a task
+    grows with the largest count. A block stays in one partition, in ascending order.
+    """
+    kept = [c for c in counted.columns if c not in ("first", "cnt")]
+    blocks = counted.select(*kept, "first", "cnt", F.explode(F.expr(f"sequence(0L, (cnt - 1) div {block_rows})")).alias("block"))
+    dealt = blocks.repartition(int(counted.sparkSession.conf.get("spark.sql.shuffle.partitions")), *kept, "block")
+    places = F.expr(f"sequence(first + block * {block_rows}, first + least(cnt, (block + 1) * {block_rows}) - 1)")
+    return dealt.select(*kept, "block", F.explode(places).alias(name))
+
+
 def to_sorted_sizes(hist: DataFrame, keys: tuple[str, ...] = ("level", "node_id")) -> DataFrame:
     """One row a group: (keys, idx, size), ranks from the runs, without sorting the groups."""
-    return to_runs(hist, keys).select(*keys, F.explode(F.expr("sequence(rank_lo, rank_hi - 1)")).alias("idx"), "size")
+    return exploded(to_runs(hist, keys).select(*keys, "size", F.col("rank_lo").alias("first"), "cnt"), "idx").select(*keys, "idx", "size")
 
 
 def from_sorted_sizes(df: DataFrame, keys: tuple[str, ...] = ("level", "node_id")) -> DataFrame:
