@@ -9,7 +9,6 @@ from __future__ import annotations
 
 import heapq
 from fractions import Fraction
-from itertools import permutations
 
 import numpy as np
 import pandas as pd
@@ -142,5 +141,42 @@ def match_greedy_edges(parent_sizes: DataFrame, child_sizes: DataFrame, most: in
 
 
 def optimal_cost(parent: list[int], child: list[int]) -> int:
-    """General minimum-cost matching by trying all; up to 8 groups."""
-    return min(sum(abs(a - b) for a, b in zip(parent, p)) for p in permutations(child))
+    """General minimum-cost matching by shortest augmenting paths with potentials (cubic; for small inputs).
+
+    Makes no use of the order of sizes: each new group is matched along the cheapest alternating path.
+    """
+    n = len(parent)
+    gap = np.abs(np.subtract.outer(np.asarray(parent, dtype=np.int64), np.asarray(child, dtype=np.int64)))
+    row_price, col_price = np.zeros(n, dtype=np.int64), np.zeros(n, dtype=np.int64)
+    owner = np.full(n, -1)  # the parent matched to each child
+    for start in range(n):
+        reach, came, seen = np.full(n, np.iinfo(np.int64).max // 4), np.full(n, -1), np.zeros(n, dtype=bool)
+        row, col, at = start, -1, 0
+        while row >= 0:
+            price = at + gap[row] - row_price[row] - col_price
+            better = ~seen & (price < reach)
+            reach[better], came[better] = price[better], col
+            open_ = np.flatnonzero(~seen)
+            col = int(open_[np.argmin(reach[open_])])
+            at, row = int(reach[col]), int(owner[col])
+            seen[col] = True
+        done = np.flatnonzero(seen & (owner >= 0))
+        row_price[start] += at
+        row_price[owner[done]] += at - reach[done]
+        col_price[seen] -= at - reach[seen]
+        while col >= 0:
+            before = came[col]
+            owner[col] = owner[before] if before >= 0 else start
+            col = before
+    return int(gap[owner, np.arange(n)].sum())
+
+
+def match_general(parent_sizes: DataFrame, child_sizes: DataFrame, most: int = 60) -> DataFrame:
+    """The general baseline on (run_id, parent_id, size) rows, one per group; at most `most` groups a parent."""
+
+    def run(keys, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        if max(len(a), len(b)) > most:
+            raise ValueError(f"the general baseline takes at most {most} groups a parent")
+        return pd.DataFrame({"run_id": [keys[0]], "parent_id": [keys[1]], "cost": [optimal_cost(a["size"].tolist(), b["size"].tolist())]})
+
+    return parent_sizes.groupBy(*PARENT).cogroup(child_sizes.groupBy(*PARENT)).applyInPandas(run, "run_id int, parent_id string, cost long")

@@ -60,10 +60,10 @@ def run_report(report: DataFrame, *keys: str) -> DataFrame:
     return report.groupBy(*keys, "level").agg(F.avg("mean_emd").alias("emd"), (F.stddev_samp("mean_emd") / F.sqrt(F.count(F.lit(1)))).alias("std_of_mean"), F.count(F.lit(1)).alias("runs"))
 
 
-def compare(report: DataFrame, of: str, to: str) -> DataFrame:
-    """(level, ratio) of two methods in a report with columns method, level, emd."""
-    wide = report.groupBy("level").pivot("method", [of, to]).agg(F.first("emd"))
-    return wide.select("level", F.try_divide(F.col(of), F.col(to)).alias("ratio"))
+def compare(report: DataFrame, of: str, to: str, *keys: str) -> DataFrame:
+    """(keys, level, ratio) of two methods in a report with columns keys, method, level, emd."""
+    wide = report.groupBy(*keys, "level").pivot("method", [of, to]).agg(F.first("emd"))
+    return wide.select(*keys, "level", F.try_divide(F.col(f"`{of}`"), F.col(f"`{to}`")).alias("ratio"))
 
 
 def omniscient_expected(hist: DataFrame, runs: DataFrame) -> DataFrame:
@@ -89,7 +89,7 @@ def audit(est: DataFrame, counts: DataFrame, nodes: DataFrame, keys: tuple[str,
     runs = F.broadcast(est.select(*keys).distinct())
     sums = counts.crossJoin(runs).join(est.groupBy(*keys, "level", "node_id").agg(F.sum("cnt").alias("s")), [*keys, "level", "node_id"], "left")
     totals = sums.where(F.abs(F.coalesce("s", F.lit(0)) - F.col("g")) > 1e-6).agg(F.count(F.lit(1)).alias("bad")).select(F.lit("group_totals").alias("check"), "bad")
-    up = est.join(F.broadcast(nodes.where("parent_id is not null")), ["level", "node_id"]).select(*keys, (F.col("level") - 1).alias("level"), F.col("parent_id").alias("node_id"), "size", F.col("cnt").alias("d"))
+    up = est.join(nodes.where("parent_id is not null"), ["level", "node_id"]).select(*keys, (F.col("level") - 1).alias("level"), F.col("parent_id").alias("node_id"), "size", F.col("cnt").alias("d"))
     inner = nodes.select((F.col("level") - 1).alias("level")).where("level >= 0").distinct()
     down = est.join(F.broadcast(inner), "level", "left_semi").select(*keys, "level", "node_id", "size", (-F.col("cnt")).alias("d"))
     gaps = up.unionByName(down).groupBy(*keys, "level", "node_id", "size").agg(F.sum("d").alias("d"))

@@ -53,9 +53,22 @@ class RegionTree:
         """The tree down to a level only. Leaves below share its nodes, so leaf ids stay those of the groups."""
         return RegionTree(self.wide, level + 1)
 
-    def validate(self) -> DataFrame:
-        """(check, bad): leaves with two paths, nodes with two parents, roots beyond the first. All must be 0."""
+    def validate(self, groups: DataFrame | None = None) -> DataFrame:
+        """(check, bad): leaves with two paths, nodes with two parents, trees with more than one root. All must be 0.
+
+        With the public groups (group_id, leaf_id) also: groups in two leaves, groups in a leaf that the tree lacks, and
+        nodes whose number of groups is not the sum of their children's.
+        """
         nodes = self.nodes()
         checks = [("leaf_paths", self.wide.groupBy("leaf_id").count().where("count > 1")), ("node_parents", nodes.groupBy("level", "node_id").count().where("count > 1")), ("roots", nodes.where("level = 0").select("node_id").distinct().groupBy().count().where("count > 1"))]
-        out = [df.agg(F.count(F.lit(1)).alias("bad")).select(F.lit(name).alias("check"), "bad") for name, df in checks]
-        return out[0].unionByName(out[1]).unionByName(out[2])
+        if groups is not None:
+            leaves = groups.groupBy("leaf_id").agg(F.count(F.lit(1)).alias("n"))
+            g = self.long().join(leaves, "leaf_id").groupBy("level", "node_id").agg(F.sum("n").alias("g"))
+            up = g.join(nodes.where("parent_id is not null"), ["level", "node_id"]).select((F.col("level") - 1).alias("level"), F.col("parent_id").alias("node_id"), "g")
+            sums = up.unionByName(g.where(F.col("level") < self.levels - 1).withColumn("g", -F.col("g"))).groupBy("level", "node_id").agg(F.sum("g").alias("gap"))
+            checks += [("group_leaves", groups.groupBy("group_id").agg(F.countDistinct("leaf_id").alias("n")).where("n > 1")), ("unknown_leaves", groups.join(self.wide.select("leaf_id"), "leaf_id", "left_anti")), ("group_sums", sums.where("gap <> 0"))]
+        out = None
+        for name, df in checks:
+            row = df.agg(F.count(F.lit(1)).alias("bad")).select(F.lit(name).alias("check"), "bad")
+            out = row if out is None else out.unionByName(row)
+        return out

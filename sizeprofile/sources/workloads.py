@@ -6,6 +6,7 @@ Each workload is written once in SQL that Spark and other engines read alike; th
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -25,18 +26,19 @@ class Workload:
     tables: tuple[str, ...]
     stands_for: str = ""
 
-    def views(self, spark: SparkSession, sf_dir: str) -> None:
-        for t in self.tables:
-            spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(t)
+    def query(self, spark: SparkSession, sf_dir: str, sql: str) -> DataFrame:
+        """Run the text on the tables of the folder; no name is left in the session."""
+        used = {t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in self.tables}
+        text = re.sub(rf"\b(from|join) ({'|'.join(self.tables)})\b", r"\1 [[\2]]", sql).replace("{", "{{").replace("}", "}}").replace("[[", "{").replace("]]", "}")
+        return spark.sql(text, **{t: df for t, df in used.items() if f"{{{t}}}" in text})
 
     def load(self, spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, RegionTree]:
         """(entities, groups with leaf_id, tree)."""
-        self.views(spark, sf_dir)
-        raw = spark.sql(self.groups)
+        raw = self.query(spark, sf_dir, self.groups)
         leaf = F.concat_ws("/", *[F.col(c).cast("string") for c in self.levels]) if self.levels else F.lit("all")
         groups = raw.select("group_id", leaf.alias("leaf_id"), *self.levels)
         tree = RegionTree.from_levels(groups, list(self.levels))
-        return spark.sql(self.entities), groups.select("group_id", "leaf_id"), tree
+        return self.query(spark, sf_dir, self.entities), groups.select("group_id", "leaf_id"), tree
 
     def histogram(self, spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, RegionTree]:
         """(exact histogram of all nodes, public counts, tree)."""

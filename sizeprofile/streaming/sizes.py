@@ -41,8 +41,8 @@ def deduplicated(events: DataFrame, lateness: str = "1 hour") -> DataFrame:
 
 def with_public_users(sizes: DataFrame, users: DataFrame) -> DataFrame:
     """All public users in each window, so that whether a user was active is not revealed by the set of groups."""
-    windows = sizes.select("window").distinct()
-    return windows.join(F.broadcast(users.select("user_id"))).join(sizes, ["window", "user_id"], "left").select("window", "user_id", F.coalesce("size", F.lit(0)).cast("long").alias("size"))
+    windows = sizes.select("window").distinct()  # as many as the batch closes; users grow with the data and stay where they are
+    return users.select("user_id").join(F.broadcast(windows)).join(sizes, ["window", "user_id"], "left").select("window", "user_id", F.coalesce("size", F.lit(0)).cast("long").alias("size"))
 
 
 def release_each_batch(ledger: BudgetLedger, eps: float, make: Callable[[DataFrame, float], DataFrame], path: str) -> Callable[[DataFrame, int], None]:
