@@ -24,7 +24,7 @@ def tail_workload(spark, sf_dir: str, seed: str = "tail") -> tuple[DataFrame, Re
     """Order sizes cut at 7 and extended by a synthetic tail and outliers."""
     entities, groups, tree = WORKLOADS["w1"].load(spark, sf_dir)
     region = tree.wide.select("leaf_id", F.col("level_1").alias("region"))
-    return extend_tail(profile.group_sizes(entities, groups), F.broadcast(region), seed), tree
+    return extend_tail(profile.group_sizes(entities, groups), tree.small(region), seed), tree
 
 
 def inputs(spark, sf_dir: str, workload: str, ceiling: int | None = None, levels: int | None = None, nodes: list[str] | None = None) -> tuple[DataFrame, DataFrame, RegionTree, int]:
@@ -59,9 +59,11 @@ def evaluate(spark, hist: DataFrame, counts: DataFrame, tree: RegionTree, releas
     """(method, eps_level, eps_total, level, emd, std_of_mean, runs), the error being the mean over a level's nodes."""
     runs, budgets = run_grid(spark, eps, seeds)
     truth = metrics.for_runs(hist, runs)
+    wanted = dict.fromkeys(x for make in releases.values() for x in getattr(make, "estimates", ()))
+    shared = {m: release.frozen(estimators.estimate(m, hist, counts, runs, k)) for m, k in wanted}  # releases that start from equal estimates share them
     out = None
     for name, make in releases.items():
-        rel = make(hist, counts, tree, runs)
+        rel = make(hist, counts, tree, runs, shared) if hasattr(make, "estimates") else make(hist, counts, tree, runs)
         report = metrics.level_report(metrics.emd(truth if measured is None else truth.where(F.col("level").isin(*measured)), rel), counts if measured is None else counts.where(F.col("level").isin(*measured)))
         done = metrics.run_report(report.join(budgets, "run_id"), "eps_level").select(F.lit(name).alias("method"), "eps_level", (F.col("eps_level") * tree.levels).alias("eps_total"), "level", "emd", "std_of_mean", "runs")
         out = done if out is None else out.unionByName(done)
@@ -70,7 +72,11 @@ def evaluate(spark, hist: DataFrame, counts: DataFrame, tree: RegionTree, releas
 
 
 def _topdown(ceiling: int, methods="hc", **kw) -> Release:
-    return lambda h, c, t, r: release.release_topdown(h, c, t, r, methods, ceiling, **kw)
+    def make(h, c, t, r, estimates):
+        return release.release_topdown(h, c, t, r, methods, ceiling, estimates=estimates, **kw)
+
+    make.estimates = [(m, ceiling) for m in ([methods] if isinstance(methods, str) else methods)]
+    return make
 
 
 def _bottom_up(ceiling: int) -> Release:
@@ -91,7 +97,7 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def merging(spark, sf_dir: str, workloads=("w1", "w5", "w4"), seeds: int = SEEDS, eps=(0.1, 0.5)) -> DataFrame:
+def merging(spark, sf_dir: str, workloads=("w1", "w2", "w4", "w5"), seeds: int = SEEDS, eps=(0.1, 0.5)) -> DataFrame:
     """Weighted against plain averages, two levels."""
     frames = []
     for w in workloads:
@@ -100,7 +106,7 @@ def merging(spark, sf_dir: str, workloads=("w1", "w5", "w4"), seeds: int = SEEDS
     return _union(frames)
 
 
-def two_levels(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds: int = SEEDS, eps=(0.1, 0.5)) -> DataFrame:
+def two_levels(spark, sf_dir: str, workloads=("w1", "w2", "w3", "w4", "w5"), seeds: int = SEEDS, eps=(0.1, 0.5)) -> DataFrame:
     """All four pairs of methods, two levels."""
     frames = []
     for w in workloads:
@@ -109,7 +115,7 @@ def two_levels(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds: in
     return _union(frames)
 
 
-def three_levels(spark, sf_dir: str, workloads=("w1", "w4"), seeds: int = SEEDS, eps=(0.1, 0.5)) -> DataFrame:
+def three_levels(spark, sf_dir: str, workloads=("w1", "w2", "w3", "w4", "w5"), seeds: int = SEEDS, eps=(0.1, 0.5)) -> DataFrame:
     """One method at all levels, in full and with the root restricted to three regions."""
     frames = []
     for w in workloads:
@@ -119,13 +125,16 @@ def three_levels(spark, sf_dir: str, workloads=("w1", "w4"), seeds: int = SEEDS,
     return _union(frames)
 
 
-def budget_sweep(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, eps=GRID) -> DataFrame:
+def budget_sweep(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds: int = SEEDS, eps=GRID) -> DataFrame:
     """Error by budget of a level."""
-    h, c, t, k = inputs(spark, sf_dir, workload)
-    return _named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg"), "bottom_up": _bottom_up(k)}, tuple(eps), seeds), workload=workload)
+    frames = []
+    for w in workloads:
+        h, c, t, k = inputs(spark, sf_dir, w)
+        frames.append(_named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg"), "bottom_up": _bottom_up(k)}, tuple(eps), seeds), workload=w))
+    return _union(frames)
 
 
-def naive_table(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, ceilings=(64, 1_000, 10_000)) -> DataFrame:
+def naive_table(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, ceilings=(64, 1_000, 10_000, 100_000)) -> DataFrame:
     """The naive method at the root with a budget of 1, by ceiling, and hc beside it."""
     frames = []
     for k in ceilings:
@@ -134,7 +143,7 @@ def naive_table(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, ce
     return _union(frames)
 
 
-def bottom_up_table(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds: int = SEEDS) -> DataFrame:
+def bottom_up_table(spark, sf_dir: str, workloads=("w1", "w2", "w3", "w4", "w5"), seeds: int = SEEDS) -> DataFrame:
     """Bottom-up against top-down at a total budget of 1."""
     frames = []
     for w in workloads:
@@ -154,19 +163,20 @@ def large_sizes(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
     return _named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg"), "bottom_up": _bottom_up(k)}, (1 / 3,), seeds), workload="w20")
 
 
-def error_picture(spark, sf_dir: str, workload: str = "w4", seeds: int = SEEDS, eps: float = 0.1) -> DataFrame:
-    """Where along the sorted groups each method errs: (method, bucket, min_size, max_size, mean absolute error)."""
-    h, c, t, k = inputs(spark, sf_dir, workload, levels=1)
-    runs, _ = run_grid(spark, (eps,), seeds)
+def error_picture(spark, sf_dir: str, workloads=("w2", "w4"), seeds: int = SEEDS, eps: float = 0.1) -> DataFrame:
+    """Where along the sorted groups each method errs: (workload, method, bucket, min_size, max_size, mean absolute error)."""
     frames = []
-    for m in ("hc", "hg"):
-        e = estimators.estimate(m, h, c, runs, k)
-        p = metrics.error_profile(metrics.for_runs(h, runs), e)
-        frames.append(p.groupBy("bucket").agg(F.min("min_size").alias("min_size"), F.max("max_size").alias("max_size"), F.avg(F.abs(F.col("error") / F.col("n"))).alias("mean_error")).select(F.lit(m).alias("method"), "*"))
+    for w in workloads:
+        h, c, t, k = inputs(spark, sf_dir, w, levels=1)
+        runs, _ = run_grid(spark, (eps,), seeds)
+        for m in ("hc", "hg"):
+            e = estimators.estimate(m, h, c, runs, k)
+            p = metrics.error_profile(metrics.for_runs(h, runs), e)
+            frames.append(p.groupBy("bucket").agg(F.min("min_size").alias("min_size"), F.max("max_size").alias("max_size"), F.avg(F.abs(F.col("error") / F.col("n"))).alias("mean_error")).select(F.lit(w).alias("workload"), F.lit(m).alias("method"), "*"))
     return _union(frames)
 
 
-def ceilings(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, tried=(64, 2_000, 20_000)) -> DataFrame:
+def ceilings(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, tried=(64, 2_000, 20_000, 100_000)) -> DataFrame:
     """hc at the root is insensitive to the ceiling: error, and the largest size released."""
     frames = []
     runs, _ = run_grid(spark, (1.0,), seeds)
@@ -178,7 +188,7 @@ def ceilings(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, tried
     return _union(frames)
 
 
-def norms(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds: int = SEEDS) -> DataFrame:
+def norms(spark, sf_dir: str, workloads=("w1", "w2", "w3", "w4", "w5"), seeds: int = SEEDS) -> DataFrame:
     """Absolute against squared fits at the root, budget 0.1."""
     frames = []
     for w in workloads:
@@ -189,7 +199,7 @@ def norms(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds: int = S
 
 def tail(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
     """The synthetic tail with outliers up to 10,000."""
-    h, c, t, k = inputs(spark, sf_dir, "w2", levels=2)
+    h, c, t, k = inputs(spark, sf_dir, "w2")
     return _named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg")}, (0.5,), seeds), workload="w2")
 
 
@@ -197,18 +207,29 @@ def categories(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
     """Six categories of disjoint entities: each run has the whole budget, as disjoint inputs compose in parallel."""
     frames = []
     for w in sorted(x for x in WORKLOADS if x.startswith("w6_")):
-        h, c, t, k = inputs(spark, sf_dir, w, levels=1)
-        frames.append(_named(evaluate(spark, h, c, t, {"hc": lambda h, c, t, r, k=k: estimators.estimate_cumulative(h, c, r, k)}, (1.0,), seeds), workload=w))
+        h, c, t, k = inputs(spark, sf_dir, w)
+        frames.append(_named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg"), "bottom_up": _bottom_up(k)}, (1.0 / t.levels,), seeds), workload=w))
     return _union(frames)
 
 
 def other_shapes(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
-    """Heavy tail, time, products, and inputs without a hierarchy."""
+    """Heavy tail (by sorted sizes), time, products, and inputs without a hierarchy; all levels of each."""
+    frames = []
+    for w, m in (("w16", "hg"), ("w17", "hc"), ("w18", "hc"), ("w19", "hc"), ("w19b", "hc"), ("w21", "hc"), ("w21b", "hc")):
+        h, c, t, k = inputs(spark, sf_dir, w)
+        frames.append(_named(evaluate(spark, h, c, t, {m: _topdown(k, m)}, (0.5,), seeds), workload=w))
+    return _union(frames)
+
+
+def ratios(spark, sf_dir: str, workloads=("w1", "w2", "w4", "w5"), seeds: int = SEEDS) -> DataFrame:
+    """Errors against each other, by level: weighted to plain averages, bottom-up to top-down, top-down to omniscient."""
     frames = []
-    for w, levels in (("w17", 3), ("w18", 2), ("w19", 1), ("w16", 1), ("w21", 1)):
-        h, c, t, k = inputs(spark, sf_dir, w, levels=levels)
-        frames.append(_named(evaluate(spark, h, c, t, {"hc": _topdown(k)}, (0.5,), seeds), workload=w))
+    for w in workloads:
+        h, c, t, k = inputs(spark, sf_dir, w)
+        report = release.frozen(evaluate(spark, h, c, t, {"weighted": _topdown(k), "average": _topdown(k, how="average"), "bottom_up": _bottom_up(k)}, (1.0 / t.levels,), seeds))
+        for of, to in (("average", "weighted"), ("bottom_up", "weighted"), ("weighted", "omniscient")):
+            frames.append(_named(metrics.compare(report, of, to), workload=w, of=of, to=to))
     return _union(frames)
 
 
-EXPERIMENTS: dict[str, Callable[..., DataFrame]] = {f.__name__: f for f in (merging, two_levels, three_levels, budget_sweep, naive_table, bottom_up_table, many_leaves, large_sizes, error_picture, ceilings, norms, tail, categories, other_shapes)}
+EXPERIMENTS: dict[str, Callable[..., DataFrame]] = {f.__name__: f for f in (merging, two_levels, three_levels, budget_sweep, naive_table, bottom_up_table, many_leaves, large_sizes, error_picture, ceilings, norms, tail, categories, other_shapes, ratios)}

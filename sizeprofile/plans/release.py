@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.noise import laplace_noise
+from ..functions.budget import BudgetLedger
+from ..functions.noise import SecretSeed, laplace_noise
 from ..operators import estimators, matching, profile
 from ..operators.estimators import KEYS
 from ..operators.tree import RegionTree
@@ -53,18 +56,52 @@ def sum_up(leaf_hist: DataFrame, tree: RegionTree) -> DataFrame:
     return profile.rollup_histogram(leaf_hist, tree, ("run_id",)).select(*KEYS, "size", "cnt")
 
 
-def release_topdown(hist: DataFrame, counts: DataFrame, tree: RegionTree, runs: DataFrame, methods: str | list[str] = "hc", ceiling: int = 100_000, how: str = "weighted", p_c: int = 1, p_g: int = 2, match_on: str = "initial", share: str = "hamilton", exact_variance: bool = False, block_source: str = "rounded") -> DataFrame:
+def release_topdown(hist: DataFrame, counts: DataFrame, tree: RegionTree, runs: DataFrame, methods: str | list[str] = "hc", ceiling: int = 100_000, how: str = "weighted", p_c: int = 1, p_g: int = 2, match_on: str = "initial", share: str = "hamilton", exact_variance: bool = False, block_source: str = "rounded", estimates: dict[str, DataFrame] | None = None) -> DataFrame:
     """The whole method. `runs` carries the budget of one level; the total is levels times that.
 
-    Variances of sorted sizes come from runs of equal rounded sizes, or (`block_source="fit"`) of equal fits.
+    Variances of sorted sizes come from runs of equal rounded sizes, or (`block_source="fit"`) of equal fits. `estimates`
+    may hold, by method, frozen estimates of all levels made before with the same arguments; they are used as they are.
     """
     methods = [methods] * tree.levels if isinstance(methods, str) else list(methods)
     if len(methods) != tree.levels:
         raise ValueError("one method a level")
-    est = frozen(estimators.estimate_tree(hist, counts, runs, ceiling, methods, p_c, p_g, block_source == "fit"))
+    if estimates is None:
+        est = frozen(estimators.estimate_tree(hist, counts, runs, ceiling, methods, p_c, p_g, block_source == "fit"))
+    else:
+        parts = [estimates[m].where(F.col("level") == k).withColumn("method", F.lit(m)) for k, m in enumerate(methods)]
+        est = parts[0]
+        for part in parts[1:]:
+            est = est.unionByName(part)
     return top_down(estimators.variance(est, runs, exact_variance), tree, how, share, match_on)
 
 
+def publish(hist: DataFrame, counts: DataFrame, tree: RegionTree, ledger: BudgetLedger, eps: float, plan: str = "top_down", seed: SecretSeed | str | None = None, **options) -> DataFrame:
+    """One release that pays from the ledger before any noise is drawn: (level, node_id, size, cnt).
+
+    `top_down` enters eps / levels for each level, `bottom_up` and `independent` likewise what they use; nodes of a level hold
+    disjoint entities and cost one entry. A ledger with too little left raises, and nothing is read. The seed is secret
+    unless one is given; the result is written once, as the draw must not be repeated.
+    """
+    plans = {"top_down": release_topdown, "bottom_up": release_bottom_up, "independent": release_independent}
+    if plan not in plans:
+        raise ValueError(f"unknown plan {plan}")
+    if eps <= 0 or ledger.spent + eps > ledger.total * (1 + 1e-12):
+        ledger.spend(plan, eps)  # raises
+    levels = [tree.levels - 1] if plan == "bottom_up" else range(tree.levels)
+    for level in levels:
+        ledger.spend(f"{plan} {len(ledger.entries)}: level {level}", eps / len(levels))
+    seed = SecretSeed() if seed is None else seed
+    runs = estimators.runs_table(hist.sparkSession, [(0, str(seed), eps / len(levels))])
+    return frozen(plans[plan](hist, counts, tree, runs, **options).drop("run_id"))
+
+
+def private_ceiling(sizes: DataFrame, ledger: BudgetLedger, eps: float = 1e-4, seed: SecretSeed | str | None = None) -> int:
+    """A private ceiling that pays from the ledger."""
+    ledger.spend(f"ceiling {len(ledger.entries)}", eps)
+    seed = SecretSeed() if seed is None else seed
+    return max(1, estimators.estimate_ceiling(sizes, str(seed), eps).first().ceiling)
+
+
 def release_bottom_up(hist: DataFrame, counts: DataFrame, tree: RegionTree, runs: DataFrame, method: str = "hc", ceiling: int = 100_000, p_c: int = 1) -> DataFrame:
     """Baseline: the whole budget (`runs`.eps is here the total) at the leaves, sums above."""
     last = tree.levels - 1
@@ -85,7 +122,7 @@ def release_mean_consistency(estimates: DataFrame, tree: RegionTree) -> DataFram
     """
     nodes = tree.nodes()
     sizes = estimates.select("run_id", "size").distinct()
-    grid = sizes.join(F.broadcast(nodes)) .join(estimates, [*KEYS, "size"], "left").select(*KEYS, "parent_id", "size", F.coalesce("cnt", F.lit(0)).cast("double").alias("y"))
+    grid = sizes.crossJoin(tree.small(nodes)).join(estimates, [*KEYS, "size"], "left").select(*KEYS, "parent_id", "size", F.coalesce("cnt", F.lit(0)).cast("double").alias("y"))
     at = lambda level: grid.where(F.col("level") == level)
     last = tree.levels - 1
     up = {last: at(last).select("run_id", "node_id", "parent_id", "size", F.col("y").alias("z"), F.lit(1.0).alias("v"))}
@@ -102,24 +139,100 @@ def release_mean_consistency(estimates: DataFrame, tree: RegionTree) -> DataFram
     return out
 
 
-def private_group_counts(counts: DataFrame, tree: RegionTree, seed: str, eps: float) -> DataFrame:
+_CURVE = "slope array<double>, total array<double>, inner array<double>"
+
+
+def _summed_curves(curves: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    """The sum of piecewise linear functions that begin at 0, each given by its break points and ending with slope 1/2 a leaf below it."""
+    at = np.unique(np.concatenate([x for x, _ in curves]))
+    total = np.zeros(len(at))
+    for x, y in curves:
+        end = (y[-1] - y[-2]) / (x[-1] - x[-2])
+        total += np.where(at > x[-1], y[-1] + (at - x[-1]) * end, np.interp(at, x, y))
+    return at, total
+
+
+def nonnegative_least_squares(noisy: DataFrame, tree: RegionTree) -> DataFrame:
+    """(level, node_id, x): the non-negative leaf totals, and their sums above, nearest in squares to noisy values `y` of all nodes.
+
+    Exact. A subtree's best total is a non-decreasing piecewise linear function of the marginal cost of one more group
+    there; a leaf's is max(0, y + slope / 2). The functions of siblings add up, and the parent's own term shears the sum. Upwards
+    one pass a level builds them, at the root the marginal cost is 0, and downwards each child reads its total off
+    its own function. A function has at most a break point a leaf below; its numbers are all that is shuffled.
+    """
+    last = tree.levels - 1
+    nodes = noisy.select("level", "node_id", "y").join(tree.nodes(), ["level", "node_id"])
+
+    def leaf(y: float) -> tuple[list, list, list]:
+        zero = -2 * y  # below this slope the leaf is empty
+        return [zero, zero + 2], [0.0, 1.0], [zero, zero + 2]
+
+    def start(batches):
+        for pdf in batches:
+            got = [leaf(y) for y in pdf["y"]]
+            yield pdf.assign(slope=[g[0] for g in got], total=[g[1] for g in got], inner=[g[2] for g in got])
+
+    def combine(key, own: pd.DataFrame, kids: pd.DataFrame) -> pd.DataFrame:
+        at, total = _summed_curves([(np.asarray(s), np.asarray(t)) for s, t in zip(kids["slope"], kids["total"])])
+        at, total = np.r_[at, at[-1] + 2], np.r_[total, total[-1] + len_slope(kids) * 2]
+        out = own[["level", "node_id", "parent_id"]].copy()
+        out["slope"], out["total"], out["inner"] = [(at + 2 * (total - own["y"].iloc[0])).tolist()], [total.tolist()], [at.tolist()]
+        return out
+
+    def len_slope(kids: pd.DataFrame) -> float:
+        return sum((t[-1] - t[-2]) / (s[-1] - s[-2]) for s, t in zip(kids["slope"], kids["total"]))
+
+    shape = f"level int, node_id string, parent_id string, {_CURVE}"
+    curves = {last: frozen(nodes.where(F.col("level") == last).select("level", "node_id", "parent_id", "y").mapInPandas(start, f"level int, node_id string, parent_id string, y double, {_CURVE}").drop("y"))}
+    for level in range(last - 1, -1, -1):
+        own = nodes.where(F.col("level") == level).select("level", "node_id", "parent_id", "y")
+        curves[level] = frozen(own.groupBy("node_id").cogroup(curves[level + 1].groupBy("parent_id")).applyInPandas(combine, shape))
+
+    def read(batches):
+        for pdf in batches:
+            x, inner = [], []
+            for goal, slope, total, below in zip(pdf["goal"], pdf["slope"], pdf["total"], pdf["inner"]):
+                slope, total, below = np.asarray(slope), np.asarray(total), np.asarray(below)
+                if goal > slope[-1]:  # beyond the last break point
+                    k = (goal - slope[-1]) / (slope[-1] - slope[-2])
+                    x.append(total[-1] + k * (total[-1] - total[-2]))
+                    inner.append(below[-1] + k * (below[-1] - below[-2]))
+                elif goal < slope[0]:  # empty: so is all below
+                    x.append(0.0)
+                    inner.append(min(below[0], goal))
+                else:
+                    x.append(float(np.interp(goal, slope, total)))
+                    inner.append(float(np.interp(goal, slope, below)))
+            yield pdf[["level", "node_id"]].assign(x=x, inner=inner)
+
+    out, goals = None, None
+    for level in range(tree.levels):
+        asked = curves[level].withColumn("goal", F.lit(0.0)) if goals is None else curves[level].join(goals, "parent_id")
+        now = frozen(asked.select("level", "node_id", "goal", "slope", "total", "inner").mapInPandas(read, "level int, node_id string, x double, inner double"))
+        goals = now.select(F.col("node_id").alias("parent_id"), F.col("inner").alias("goal"))
+        out = now.drop("inner") if out is None else out.unionByName(now.drop("inner"))
+    return out
+
+
+def private_group_counts(counts: DataFrame, tree: RegionTree, seed: str, eps: float, ledger: BudgetLedger | None = None) -> DataFrame:
     """Extension for private groups: noisy counts of groups of all nodes, made non-negative whole numbers that add up.
 
-    eps is split evenly over levels (a group touches one node of each). Least squares over the tree as in mean
-    consistency; then, from the root down, each node's children are projected on non-negative numbers that sum to it
-    and rounded by largest remainders.
+    eps is split evenly over levels (a group touches one node of each), and entered in the ledger if one is given. The noisy
+    counts are fitted by non-negative least squares over the tree; then, from the root down, each node's children are
+    rounded by largest remainders to their parent's whole number.
     """
+    if ledger:
+        ledger.spend(f"group counts {len(ledger.entries)}", eps)
     scale = tree.levels / eps
-    noisy = counts.select(F.lit(0).alias("run_id"), "level", "node_id", F.lit(0).cast("long").alias("size"), (F.col("g") + laplace_noise(scale, seed, F.col("level"), F.col("node_id"), F.lit("groups"))).alias("cnt"))
-    fit = frozen(release_mean_consistency(noisy, tree))
+    noisy = counts.select("level", "node_id", (F.col("g") + laplace_noise(scale, seed, F.col("level"), F.col("node_id"), F.lit("groups"))).cast("double").alias("y"))
+    fit = nonnegative_least_squares(frozen(noisy), tree)
     nodes = tree.nodes()
-    now = fit.where("level = 0").select("node_id", F.greatest(F.floor(F.col("cnt") + 0.5), F.lit(0)).cast("long").alias("g"))
+    now = fit.where("level = 0").select("node_id", F.floor(F.col("x") + 0.5).cast("long").alias("g"))
     out = now.select(F.lit(0).alias("level"), "node_id", "g")
     for level in range(1, tree.levels):
         kids = fit.where(F.col("level") == level).join(nodes.where(F.col("level") == level).select("node_id", "parent_id"), "node_id")
-        cells = kids.join(now.select(F.col("node_id").alias("parent_id"), "g"), "parent_id").select("parent_id", F.col("node_id").alias("size"), F.col("cnt").alias("x"), "g")
-        exact = estimators.round_largest_remainder(estimators.project_simplex(cells, keys=("parent_id",)), keys=("parent_id",))
-        now = frozen(exact.select(F.col("size").alias("node_id"), F.col("cnt").alias("g")))
+        cells = kids.join(now.select(F.col("node_id").alias("parent_id"), "g"), "parent_id").select("parent_id", F.col("node_id").alias("size"), F.col("x").alias("projected"), "g")
+        now = frozen(estimators.round_largest_remainder(cells, keys=("parent_id",)).select(F.col("size").alias("node_id"), F.col("cnt").alias("g")))
         out = out.unionByName(now.select(F.lit(level).alias("level"), "node_id", "g"))
     return out
 
