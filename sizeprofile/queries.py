@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import oracle_sql as q
+from .functions import aggregates
 from .functions.isotonic import fit_by_node
 from .functions.noise import geometric_noise, laplace_noise
 from .operators import estimators as est
@@ -60,7 +61,7 @@ for _w in EXACT:
 
 
 for _w in sorted(set(WORKLOADS) - set(EXACT)):
-    @query(f"hist_rollup_{_w}")
+    @query(f"hist_rollup_{_w}", q.stmt(q.base(_w), body="select * from hist"))
     def _(spark, d, w=_w):
         return WORKLOADS[w].histogram(spark, d)[0]
 
@@ -101,9 +102,9 @@ def _(spark, d):
     return profile.cumulative_to_runs(profile.to_cumulative(hist, counts, 64))
 
 
-@query("sorted_form", q.stmt(q.base("w5"), body="select 1 as level, l1 as node_id, (row_number() over (partition by l1 order by size) - 1)::bigint as idx, size from sizes"))
+@query("sorted_form", q.stmt(q.base("w5"), body=" union all ".join(f"select {j} as level, l{j} as node_id, (row_number() over (partition by l{j} order by size) - 1)::bigint as idx, size from sizes" for j in range(3))))
 def _(spark, d):
-    return profile.to_sorted_sizes(_hist(spark, d, "w5")[0].where("level = 1"))
+    return profile.to_sorted_sizes(_hist(spark, d, "w5")[0])
 
 
 @query("hist_roundtrip", q.stmt(q.base("w4"), body="select * from hist"))
@@ -135,9 +136,34 @@ def _(spark, d):
     return _hist(spark, d, "w5")[1]
 
 
-@query("tree_check", "select * from (values ('leaf_paths', 0::bigint), ('node_parents', 0), ('roots', 0)) t(\"check\", bad)")
+@query("tree_check", "select * from (values ('leaf_paths', 0::bigint), ('node_parents', 0), ('roots', 0), ('group_leaves', 0), ('unknown_leaves', 0), ('group_sums', 0)) t(\"check\", bad)")
 def _(spark, d):
-    return WORKLOADS["w9"].load(spark, d)[2].validate()
+    _e, groups, tree = WORKLOADS["w9"].load(spark, d)
+    return tree.validate(groups)
+
+
+_BROKEN = """wide as (select distinct l0, l1, l2, l3 from g),
+broken as (select * from wide union all select l0, 'X', l2, l3 from wide where l1 = 'ASIA' union all select 'other', l1, l2, l3 from wide where l1 = 'EUROPE'),
+long as (select l3 as leaf_id, unnest([0, 1, 2, 3]) as level, unnest([l0, l1, l2, l3]) as node_id from broken),
+nodes2 as (select distinct level, node_id, parent_id from (select unnest([0, 1, 2, 3]) as level, unnest([l0, l1, l2, l3]) as node_id, unnest([null, l0, l1, l2]) as parent_id from broken) t),
+grp as (select group_id, leaf_id from g union all select group_id, 'nowhere' from g where group_id % 7 = 0),
+leaves as (select leaf_id, count(*) as n from grp group by 1),
+tot as (select level, node_id, sum(n) as g from long join leaves using (leaf_id) group by all),
+gaps as (select level, node_id, sum(g) as gap from (select t.level - 1 as level, n.parent_id as node_id, t.g from tot t join nodes2 n on n.level = t.level and n.node_id = t.node_id where n.parent_id is not null union all select level, node_id, -g from tot where level < 3) t group by all)"""
+
+
+@query("tree_check_broken", q.stmt(q.base("w9"), _BROKEN, body="""select 'leaf_paths' as "check", count(*) as bad from (select l3 from broken group by 1 having count(*) > 1)
+union all select 'node_parents', count(*) from (select level, node_id from nodes2 group by all having count(*) > 1)
+union all select 'roots', (count(distinct node_id) > 1)::bigint from nodes2 where level = 0
+union all select 'group_leaves', count(*) from (select group_id from grp group by 1 having count(distinct leaf_id) > 1)
+union all select 'unknown_leaves', count(*) from grp where leaf_id not in (select l3 from broken)
+union all select 'group_sums', count(*) from gaps where gap <> 0"""))
+def _(spark, d):
+    """The checks on a tree with a second parent over some leaves, a second root over others, and groups in two leaves."""
+    _e, groups, tree = WORKLOADS["w9"].load(spark, d)
+    wide = tree.wide.unionByName(tree.wide.where("level_1 = 'ASIA'").withColumn("level_1", F.lit("X"))).unionByName(tree.wide.where("level_1 = 'EUROPE'").withColumn("level_0", F.lit("other")))
+    strays = groups.where("group_id % 7 = 0").withColumn("leaf_id", F.lit("nowhere"))
+    return RegionTree(wide, 4).validate(groups.unionByName(strays))
 
 
 @query("tree_nodes", q.stmt(q.base("w9"), body="select * from nodes"))
@@ -239,22 +265,29 @@ for _p in (1, 2):
         return est.estimate_cumulative(hist, counts, _runs(spark, float(_EPS)), 24, p)
 
 
-# sorted sizes at all nodes, tested against brute force: the SQL fits grow with the cube of a node's groups and are not registered
+_HG = (q.base("w3"), q.runs("0.5"))
+
 
-@query("hg_noisy")
+@query("hg_noisy", q.stmt(*_HG, q.hg_cells(), body="select run_id, level, node_id, size, j, noisy from hgcells"))
 def _(spark, d):
-    return est.sorted_cells(_hist(spark, d, "w3")[0], _runs(spark, 0.5))
+    return est.sorted_cells(_hist(spark, d, "w3")[0], _runs(spark, 0.5)).drop("block")
 
 
 for _p in (1, 2):
-    @query(f"hg_l{_p}_release")
+    @query(f"hg_l{_p}_release", q.stmt(*_HG, q.hg_release(_p), body="select * from est"))
     def _(spark, d, p=_p):
         return est.estimate_sorted(_hist(spark, d, "w3")[0], _runs(spark, 0.5), p)
 
 
-@query("hg_chunked_release")
+for _p in (1, 2):
+    @query(f"hg_l{_p}_by_blocks", q.stmt(*_HG, q.hg_release(_p), body="select * from est"))
+    def _(spark, d, p=_p):
+        return est.estimate_sorted(_hist(spark, d, "w3")[0], _runs(spark, 0.5), p, block_rows=5)
+
+
+@query("hg_chunked_release", q.stmt(*_HG, q.hg_release(), body="select * from est"))
 def _(spark, d):
-    return est.estimate_sorted(_hist(spark, d, "w3")[0], _runs(spark, 0.5), 2, chunks=5)
+    return est.estimate_sorted(_hist(spark, d, "w3")[0], _runs(spark, 0.5), 2, block_rows=7)
 
 
 @query("variance_hc", q.stmt(*_HC, q.hc_release(24), body="select run_id, level, node_id, size, cnt, round(4.0 / (eps * eps * cnt), 6) as var from est join runs using (run_id)"))
@@ -264,7 +297,7 @@ def _(spark, d):
     return _whole(est.variance(est.estimate_cumulative(hist, counts, runs, 24).withColumn("method", F.lit("hc")), runs).drop("method"))
 
 
-@query("variance_hg")
+@query("variance_hg", q.stmt(*_HG, q.hg_release(), body="select run_id, level, node_id, size, cnt, round(2.0 / (eps * eps * cnt), 6) as var from est join runs using (run_id)"))
 def _(spark, d):
     runs = _runs(spark, 0.5)
     return _whole(est.variance(est.estimate_sorted(_hist(spark, d, "w3")[0], runs).withColumn("method", F.lit("hg")), runs).drop("method"))
@@ -295,9 +328,9 @@ def _(spark, d):
     return matching.match_runs(*_two_sides(spark, d), "spread").select("run_id", "parent_id", "p_size", "child_id", "c_size", "n")
 
 
-@query("match_hamilton")
+@query("match_hamilton", q.stmt(*_HC, q.hc_release(24), q.with_variance("est", "hc"), q.hamilton(2), body="select run_id, parent_id, p_size, p_new, round(p_var, 6) as p_var, child_id, c_size, round(c_var, 6) as c_var, n from match1"))
 def _(spark, d):
-    return matching.match_runs(*_two_sides(spark, d), "hamilton")
+    return _whole(matching.match_runs(*_two_sides(spark, d), "hamilton"))
 
 
 @query("match_check", "select * from (values ('parent', 0::bigint), ('child', 0)) t(\"check\", bad)")
@@ -306,6 +339,36 @@ def _(spark, d):
     return matching.check_matching(release.frozen(matching.match_runs(p, c)), p, c)
 
 
+@query("match_check_broken", q.stmt(*_TWO, body="select 'parent' as \"check\", count(distinct (run_id, p_size)) as bad from m1 where node_id = 'ASIA' union all select 'child', count(distinct (run_id, old)) from m1 where node_id = 'ASIA'"))
+def _(spark, d):
+    """The check on a matching that has lost one child."""
+    p, c = _two_sides(spark, d)
+    return matching.check_matching(release.frozen(matching.match_runs(p, c, "spread").where("child_id <> 'ASIA'")), p, c)
+
+
+def _supplier_blocks(spark, d):
+    """Sizes of fifty suppliers at a time, and the same with noise: (run_id, parent_id, size) twice."""
+    sizes = spark.read.parquet(f"{d}/lineitem.parquet").groupBy("l_suppkey").agg(F.count(F.lit(1)).alias("n"))
+    block = sizes.select(F.lit(0).alias("run_id"), F.expr("cast(l_suppkey div 50 as string)").alias("parent_id"), F.col("n").alias("size"), "l_suppkey")
+    noisy = block.withColumn("size", F.col("size") + geometric_noise(8.0, "blocks", F.col("l_suppkey")))
+    return block.drop("l_suppkey"), noisy.drop("l_suppkey")
+
+
+_BLOCKS = f"""b as (select l_suppkey // 50 as parent_id, l_suppkey, count(*) as size from lineitem group by l_suppkey),
+c as (select parent_id, size, size + {q.geometric('8.0', "'blocks', l_suppkey")} as noisy from b),
+r as (select x.parent_id, x.size, y.noisy from (select *, row_number() over (partition by parent_id order by size) as i from c) x join (select *, row_number() over (partition by parent_id order by noisy) as i from c) y using (parent_id, i))"""
+
+
+@query("match_general", q.stmt(_BLOCKS, body="select 0 as run_id, parent_id::varchar as parent_id, sum(abs(size - noisy))::bigint as cost from r group by all"))
+def _(spark, d):
+    return matching.match_general(*_supplier_blocks(spark, d))
+
+
+@query("match_greedy")
+def _(spark, d):
+    return matching.match_greedy_edges(*_supplier_blocks(spark, d))
+
+
 @query("match_cost", q.stmt(*_TWO, body="select run_id, parent_id, sum(abs(p_size - old))::bigint as cost from m1 group by all"))
 def _(spark, d):
     return matching.matching_cost(matching.match_runs(*_two_sides(spark, d)))
@@ -332,8 +395,14 @@ def _(spark, d):
     return release.release_topdown(hist.where("level < 2"), counts.where("level < 2"), _cut(tree, 1), _runs(spark, float(_EPS)), "hc", 24, share="spread")
 
 
+def _mix(methods: list[str]) -> tuple[str, ...]:
+    """CTE vest: each level's estimates by its method, with variances."""
+    made = [q.hc_release(24, out="est_hc") + ",\n" + q.with_variance("est_hc", "hc", "v_hc") if m == "hc" else q.hg_release(out="est_hg") + ",\n" + q.with_variance("est_hg", "hg", "v_hg") for m in dict.fromkeys(methods)]
+    return (*made, "vest as (" + " union all ".join(f"select * from v_{m} where level = {k}" for k, m in enumerate(methods)) + ")")
+
+
 for _m in ("hc-hc-hc", "hg-hg-hg", "hg-hc-hc", "hc-hg-hg", "hc-hc-hg"):
-    @query(f"topdown_hamilton_{_m.replace('-', '_')}")
+    @query(f"topdown_hamilton_{_m.replace('-', '_')}", q.stmt(*_HC, *_mix(_m.split("-")), q.hamilton(3), body="select * from rel"))
     def _(spark, d, m=_m):
         hist, counts, tree = _w1(spark, d)
         return release.release_topdown(hist, counts, tree, _runs(spark, float(_EPS)), m.split("-"), 24)
@@ -348,6 +417,17 @@ for _w in ("w1", "w3", "w4", "w5", "w20"):
         return metrics.audit(rel, counts, tree.nodes())
 
 
+@query("audit_noisy_cells", q.stmt(q.base("w1"), q.runs("1.0"), _NAIVE, body="""select 'integral' as "check", count(*) as bad from xs where x % 2 <> 0
+union all select 'non_negative', count(*) from xs where x < 0
+union all select 'group_totals', count(*) from (select 1 from xs group by run_id, level, node_id having abs(sum(x) / 2 - max(g)) > 1e-6)
+union all select 'parent_is_sum', count(*) from (select 1 from (select run_id, x.level - 1 as level, n.parent_id as node_id, size, x from xs x join nodes n on n.level = x.level and n.node_id = x.node_id where n.parent_id is not null union all select run_id, level, node_id, size, -x from xs where level < 2) t group by run_id, level, node_id, size having sum(x) <> 0)"""))
+def _(spark, d):
+    """The audit on what is no release: noisy cells, halved."""
+    hist, counts, tree = _hist(spark, d)
+    cells = release.frozen(est.naive_cells(hist, counts, _runs(spark, 1.0), 64).select(*KEYS, "size", (F.col("x") / 2).alias("cnt")))
+    return metrics.audit(cells, counts, tree.nodes())
+
+
 @query("audit_topdown_updated", _OK)
 def _(spark, d):
     hist, counts, tree = _w1(spark, d)
@@ -362,7 +442,13 @@ def _(spark, d):
     return metrics.audit(rel, counts, tree.nodes())
 
 
-@query("topdown_best_methods")
+_BEST = """errs as (select 'hc' as method, * from (select * from emd_hc) a union all select 'hg', * from (select * from emd_hg) b),
+best as (select level, arg_min(method, (e, method)) as method from (select method, level, avg(e) as e from (select method, run_id, level, avg(coalesce(emd, 0)) as e from (select m.method, r.run_id, c.level, c.node_id from counts c, runs r, (values ('hc'), ('hg')) m(method)) x left join errs using (method, run_id, level, node_id) group by all) t group by all) t group by level),
+vest as (select v.* from v_hc v join best b on b.level = v.level and b.method = 'hc' union all select v.* from v_hg v join best b on b.level = v.level and b.method = 'hg')"""
+_BOTH = (q.hc_release(24, out="est_hc"), q.with_variance("est_hc", "hc", "v_hc"), q.hg_release(out="est_hg"), q.with_variance("est_hg", "hg", "v_hg"), q.emd("est_hc", "_hc"), q.emd("est_hg", "_hg"))
+
+
+@query("topdown_best_methods", q.stmt(*_HC, *_BOTH, _BEST, q.hamilton(3), body="select * from rel"))
 def _(spark, d):
     hist, counts, tree = _w1(spark, d)
     runs = _runs(spark, float(_EPS))
@@ -379,22 +465,26 @@ def _(spark, d):
 def _(spark, d):
     hist, counts, tree = _w1(spark, d)
     e = release.frozen(release.release_independent(hist, counts, tree, _runs(spark, float(_EPS)), "hc", 24))
-    up = e.join(F.broadcast(tree.nodes().where("level > 0")), ["level", "node_id"]).select("run_id", (F.col("level") - 1).alias("level"), F.col("parent_id").alias("node_id"), "size", F.col("cnt").alias("d"))
+    up = e.join(tree.small(tree.nodes().where("level > 0")), ["level", "node_id"]).select("run_id", (F.col("level") - 1).alias("level"), F.col("parent_id").alias("node_id"), "size", F.col("cnt").alias("d"))
     gaps = up.unionByName(e.where("level < 2").select("run_id", "level", "node_id", "size", (-F.col("cnt")).alias("d"))).groupBy(*KEYS, "size").agg(F.sum("d").alias("d"))
     return gaps.where("d <> 0").groupBy("run_id", "level").agg(F.count(F.lit(1)).alias("cells"))
 
 
-_MEAN2 = """sz as (select distinct run_id, size from est where level < 2),
-y as (select z.run_id, n.level, n.node_id, n.parent_id, z.size, coalesce(e.cnt, 0)::double as y from sz z cross join (select * from nodes where level < 2) n left join est e on e.run_id = z.run_id and e.level = n.level and e.node_id = n.node_id and e.size = z.size),
-s as (select run_id, size, sum(y) as s, count(*) as c from y where level = 1 group by all),
-top as (select y.run_id, y.size, (y + s / c) / (1 + 1.0 / c) as h, s, c from y join s using (run_id, size) where level = 0)"""
+_MEAN = """sz as (select distinct run_id, size from est),
+y as (select z.run_id, n.level, n.node_id, n.parent_id, z.size, coalesce(e.cnt, 0)::double as y from sz z cross join nodes n left join est e on e.run_id = z.run_id and e.level = n.level and e.node_id = n.node_id and e.size = z.size),
+s1 as (select run_id, parent_id as node_id, size, sum(y) as s, count(*)::double as v from y where level = 2 group by all),
+z1 as (select y.run_id, y.node_id, y.size, (y + s / v) / (1 + 1 / v) as z, 1 / (1 + 1 / v) as u, s, v from y join s1 using (run_id, node_id, size) where level = 1),
+s0 as (select run_id, size, sum(z) as s, sum(u) as v from z1 group by all),
+h0 as (select y.run_id, y.size, (y + s / v) / (1 + 1 / v) as h, s, v from y join s0 using (run_id, size) where level = 0),
+h1 as (select z1.run_id, z1.node_id, z1.size, z1.z + (h0.h - h0.s) * z1.u / h0.v as h, z1.s, z1.v from z1 join h0 using (run_id, size)),
+h2 as (select y.run_id, y.node_id, y.size, y.y + (h1.h - h1.s) / h1.v as h from y join h1 on h1.run_id = y.run_id and h1.node_id = y.parent_id and h1.size = y.size where y.level = 2)"""
 
 
-@query("mean_consistency", q.stmt(*_HC, q.hc_release(24), _MEAN2, body="select run_id, 0 as level, 'all' as node_id, size, round(h, 6) + 0.0 as cnt from top union all select y.run_id, 1, y.node_id, y.size, round(y + (h - s) / c, 6) + 0.0 from y join top using (run_id, size) where y.level = 1"))
+@query("mean_consistency", q.stmt(*_HC, q.hc_release(24), _MEAN, body="select run_id, 0 as level, 'all' as node_id, size, round(h, 4) + 0.0 as cnt from h0 union all select run_id, 1, node_id, size, round(h, 4) + 0.0 from h1 union all select run_id, 2, node_id, size, round(h, 4) + 0.0 from h2"))
 def _(spark, d):
     hist, counts, tree = _w1(spark, d)
-    e = release.frozen(release.release_independent(hist.where("level < 2"), counts.where("level < 2"), tree, _runs(spark, float(_EPS)), "hc", 24))
-    return release.release_mean_consistency(e, _cut(tree, 1)).select(*KEYS, "size", (F.round("cnt", 6) + 0.0).alias("cnt"))
+    e = release.frozen(release.release_independent(hist, counts, tree, _runs(spark, float(_EPS)), "hc", 24))
+    return release.release_mean_consistency(e, tree).select(*KEYS, "size", (F.round("cnt", 4) + 0.0).alias("cnt"))
 
 
 @query("private_groups")
@@ -456,7 +546,32 @@ def _(spark, d):
     return _whole(metrics.run_report(metrics.level_report(metrics.emd(truth, rel), counts)))
 
 
-@query("error_profile")
+@query("compare", q.stmt(*_EMD, body=f"select 'weighted to omniscient' as ratio_of, level, round(a.e / b.e, 6) as ratio from (select level, avg(mean_emd) as e from ({_LEVELS}) t group by 1) a join (select level, avg(e) as e from (select run_id, level, avg(n * sqrt(2.0) / eps) as e from (select level, node_id, count(distinct size) as n from hist group by all) h, runs group by all) t group by 1) b using (level)"))
+def _(spark, d):
+    """Error of the top-down release against what one would expect who knows the sizes that occur."""
+    truth, rel, counts = _released(spark, d)
+    runs = _runs(spark, float(_EPS))
+    errors = {"weighted": metrics.emd(truth, rel), "omniscient": metrics.omniscient_expected(_w1(spark, d)[0], runs)}
+    reports = [metrics.run_report(metrics.level_report(e, counts)).withColumn("method", F.lit(m)) for m, e in errors.items()]
+    return _whole(metrics.compare(reports[0].unionByName(reports[1]), "weighted", "omniscient").select(F.lit("weighted to omniscient").alias("ratio_of"), "level", "ratio"))
+
+
+@query("emd_aggregate", q.stmt(*_EMD, body="select * from emd"))
+def _(spark, d):
+    """The distance by the aggregate function, one call a node."""
+    truth, rel, _counts = _released(spark, d)
+    both = truth.select(*KEYS, "size", F.col("cnt").alias("t")).join(rel.select(*KEYS, "size", F.col("cnt").alias("e")), [*KEYS, "size"], "full")
+    return both.groupBy(*KEYS).agg(aggregates.emd_agg("size", "t", "e").alias("emd"))
+
+
+@query("lower_median_sizes", q.stmt(q.base("w4"), body="select leaf_id, quantile_disc(size, 0.5)::double as median from sizes group by leaf_id"))
+def _(spark, d):
+    entities, groups, _tree = WORKLOADS["w4"].load(spark, d)
+    sizes = profile.clamp_sizes(profile.group_sizes(entities, groups), WORKLOADS["w4"].ceiling)
+    return sizes.groupBy("leaf_id").agg(aggregates.lower_median("size").alias("median"))
+
+
+@query("error_profile", q.stmt(*_EMD, q.error_profile(), body="select * from profile"))
 def _(spark, d):
     return metrics.error_profile(*_released(spark, d)[:2])
 
@@ -502,6 +617,11 @@ def _(spark, d):
     return stream.tumbling_sizes(spark.read.parquet(f"{d}/events.parquet")).select(F.col("window.start").cast("timestamp_ntz").alias("day"), "user_id", "size")
 
 
+@query("sliding_sizes", "select time_bucket(interval '6 hours', ts) - i * interval 6 hour as window_start, user_id, count(*) as size from events, range(4) t(i) group by all")
+def _(spark, d):
+    return stream.sliding_sizes(spark.read.parquet(f"{d}/events.parquet")).select(F.col("window.start").cast("timestamp_ntz").alias("window_start"), "user_id", "size")
+
+
 @query("session_sizes", """with o as (select user_id, ts, case when ts >= lag(ts) over (partition by user_id order by ts) + interval 30 minute or lag(ts) over (partition by user_id order by ts) is null then 1 else 0 end as new from events),
 s as (select user_id, ts, sum(new) over (partition by user_id order by ts rows unbounded preceding) as k from o)
 select user_id, min(ts) as session_start, count(*) as size from s group by user_id, k""")
