@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -58,3 +59,39 @@ def release_each_batch(ledger: BudgetLedger, eps: float, make: Callable[[DataFra
         make(batch, eps).write.mode("overwrite").parquet(out)
 
     return write
+
+
+def closed_sizes(events: DataFrame, idle: str = "30 minutes", lateness: str = "1 hour") -> DataFrame:
+    """(user_id, begin, end, size) of each activity period, emitted once it is over: a period ends after `idle` without an event.
+
+    A stateful processor on streams: a user's state is the few open periods (begin, end, size) in the order of time, which late
+    events may extend or join. An event-time timer closes a period when the watermark has passed its end by `idle`.
+    Like sessions, periods depend on the data and are not to be released.
+    """
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    gap = pd.Timedelta(idle)
+
+    def step(key, batches, state):
+        open_ = [list(x) for x in zip(*state.get)] if state.exists else []
+        for pdf in batches:
+            open_ += [[t, t, 1] for t in pdf["ts"].astype("int64") // (1000 if str(pdf["ts"].dtype).startswith("datetime64[ns") else 1)]
+        merged: list[list[int]] = []
+        for begin, end, n in sorted(open_):
+            if merged and begin - merged[-1][1] < gap.value // 1000:
+                merged[-1][1], merged[-1][2] = max(end, merged[-1][1]), merged[-1][2] + n
+            else:
+                merged.append([begin, end, n])
+        mark = state.getCurrentWatermarkMs() * 1000
+        over = [p for p in merged if p[1] + gap.value // 1000 <= mark]
+        left = [p for p in merged if p[1] + gap.value // 1000 > mark]
+        if left:
+            state.update(tuple([p[k] for p in left] for k in range(3)))
+            state.setTimeoutTimestamp(max(mark // 1000 + 1, (left[0][1] + gap.value // 1000) // 1000))
+        elif state.exists:
+            state.remove()
+        if over:
+            yield pd.DataFrame({"user_id": [key[0]] * len(over), "begin": pd.to_datetime([p[0] for p in over], unit="us", utc=True), "end": pd.to_datetime([p[1] for p in over], unit="us", utc=True), "size": [p[2] for p in over]})
+
+    rows = timed(events, lateness).select("user_id", "ts")
+    return rows.groupBy("user_id").applyInPandasWithState(step, "user_id long, begin timestamp, end timestamp, size long", "begins array<long>, ends array<long>, sizes array<long>", "append", GroupStateTimeout.EventTimeTimeout)

@@ -351,3 +351,122 @@ def test_registered_experiments_have_ten_seeds(monkeypatch):
 
         monkeypatch.setitem(experiments.EXPERIMENTS, name, seen)
         assert queries.QUERIES[f"exp_{name}"](None, "") == experiments.SEEDS == 10
+
+
+def test_nonnegative_least_squares_against_a_plain_solver(spark):
+    import random
+
+    import numpy as np
+
+    rnd = random.Random(4)
+    paths = [(f"r{k // 4}", f"n{k}", f"s{k % 3}") for k in range(10)] + [("r0", "n0", "s7"), ("r9", "n77", "s1")]
+    tree = RegionTree.from_levels(spark.createDataFrame(paths, "a string, b string, c string"), ["a", "b", "c"])
+    nodes = [(r.level, r.node_id) for r in tree.nodes().collect()]
+    leaves = sorted(n for level, n in nodes if level == 3)
+    for spread in (3.0, 30.0):
+        y = {node: rnd.gauss(1, spread) for node in nodes}
+        got = {(r.level, r.node_id): r.x for r in release.nonnegative_least_squares(spark.createDataFrame([(*k, v) for k, v in y.items()], "level int, node_id string, y double"), tree).collect()}
+        a = np.array([[float(n == "all" or leaf == n or leaf.startswith(n + "/")) for leaf in leaves] for _, n in nodes])
+        goal, x = np.array([y[k] for k in nodes]), np.zeros(len(leaves))
+        step = 1 / np.linalg.norm(a, 2) ** 2
+        for _ in range(30_000):
+            x = np.maximum(0, x + step * (a.T @ (goal - a @ x)))
+        assert np.allclose([got[k] for k in nodes], a @ x, atol=1e-5)
+
+
+def test_publish_pays_from_the_ledger(spark):
+    from sizeprofile.functions.budget import BudgetExceeded
+
+    hist, counts, tree = small(spark, EDGE)
+    ledger = BudgetLedger(1.0)
+    one = release.publish(hist, counts, tree, ledger, 0.6, ceiling=20)
+    assert ledger.spent == pytest.approx(0.6) and len(ledger.entries) == 3
+    assert [r.bad for r in metrics.audit(one.withColumn("run_id", F.lit(0)), counts, tree.nodes()).collect()] == [0, 0, 0, 0]
+    assert one.collect() == one.collect()
+    with pytest.raises(BudgetExceeded):
+        release.publish(hist, counts, tree, ledger, 0.5, plan="bottom_up", ceiling=20)
+    release.publish(hist, counts, tree, ledger, 0.3, plan="bottom_up", ceiling=20)
+    sizes = hist.where("level = 0").select("size")
+    assert release.private_ceiling(sizes, ledger, 0.05) > 90
+    release.private_group_counts(counts, tree, "s", 0.05, ledger)
+    assert ledger.spent == pytest.approx(1.0)
+    with pytest.raises(BudgetExceeded):
+        release.private_ceiling(sizes, ledger)
+
+
+@pytest.mark.parametrize("p", [1, 2])
+def test_fits_by_blocks_equal_plain_fits(spark, p):
+    import random
+
+    rnd = random.Random(p)
+    rows = [(n, k, float(rnd.randint(0, 12) + k // 9)) for n in ("a", "b", "c") for k in range(150)]
+    df = spark.createDataFrame(rows, "node_id string, idx long, v double")
+    plain = {(r.node_id, r.idx): r.fit for r in isotonic.fit_by_node(df, ["node_id"], ["idx"], "v", p).collect()}
+    for chunks in (1, 7):
+        got = {}
+        for b in isotonic.fit_chunked(df, ["node_id"], ["idx"], "v", chunks, p).collect():
+            got.update({(b.node_id, b.idx + k): b.fit for k in range(b.cnt)})
+        assert got.keys() == plain.keys() and all(abs(got[k] - plain[k]) < 1e-9 for k in plain)
+
+
+def test_places_of_a_large_count_are_dealt_in_blocks(spark):
+    hist = hist_of(spark, [("x", 3, 100), ("x", 5, 1), ("y", 0, 7)])
+    got = profile.exploded(hist.select("node_id", "size", F.lit(4).cast("long").alias("first"), "cnt"), "place", block_rows=8)
+    assert sorted((r.node_id, r.size, r.place) for r in got.collect()) == sorted((n, s, 4 + k) for n, s, c in [("x", 3, 100), ("x", 5, 1), ("y", 0, 7)] for k in range(c))
+    assert got.groupBy("node_id", "size", "block").count().agg(F.max("count")).first()[0] == 8
+    assert [r.idx for r in profile.to_sorted_sizes(hist).where("node_id = 'x'").orderBy("idx").collect()] == list(range(101))
+
+
+def test_aggregates_by_name(spark):
+    sqlfuncs.register(spark)
+    spark.createDataFrame([("a", 1, 2, 0), ("a", 4, None, 1), ("a", 2, 0, 1), ("b", 3, 1, 1)], "g string, size long, t long, e long").createOrReplaceTempView("both_sides")
+    got = {r.g: (r.d, r.m) for r in spark.sql("select g, sp_emd(size, t, e) as d, sp_lower_median(t) as m from both_sides group by g").collect()}
+    assert got == {"a": (4, 0.0), "b": (0, 1.0)}
+
+
+def test_cost_by_stage(spark):
+    from sizeprofile.plans.meter import StageMeter
+
+    with StageMeter(spark, "group") as m:
+        spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count().collect()
+    rows = m.by_stage().collect()
+    assert m.shuffle_bytes > 0 and sum(r.shuffle_written for r in rows) == m.shuffle_bytes and sum(r.rows_out for r in rows) >= 7
+
+
+def test_tail_groups_draw_their_own_leaf(spark):
+    """Groups of the cut size all lie in leaf c, with a tenth of the groups; new groups go where the groups are."""
+    from sizeprofile.sources.synthetic_tail import extend_tail
+
+    rows = [(f"{leaf}{k}", f"r/{leaf}", size(k)) for leaf, n, size in (("a", 1200, lambda k: 3), ("b", 600, lambda k: 3), ("c", 200, lambda k: 7 if k % 10 < 4 else 6)) for k in range(n)]
+    sizes = spark.createDataFrame(rows, "group_id string, leaf_id string, size long")
+    region = spark.createDataFrame([(f"r/{x}", "r") for x in "abc"], "leaf_id string, region string")
+    out = extend_tail(sizes, region, "s", outliers=2000).cache()
+    n = {(r.kind, r.leaf_id): r.n for r in out.groupBy(F.substring("group_id", 1, 1).alias("kind"), "leaf_id").agg(F.count(F.lit(1)).alias("n")).collect()}
+    assert abs(n["o", "r/a"] - 1200) < 120 and abs(n["o", "r/c"] - 200) < 70
+    tail = out.where("group_id like 't%'")
+    assert 100 < tail.count() < 240 and n["t", "r/a"] > 50 and n.get(("t", "r/c"), 0) < 40
+    survive = [tail.where(F.col("size") == k).count() for k in (8, 9, 10)]
+    assert 80 > survive[0] > survive[1] > survive[2]
+    whole = spark.createDataFrame([(str(k), "r/a", 7) for k in range(5)], "group_id string, leaf_id string, size long")
+    with pytest.raises(Exception, match="no finite tail"):
+        extend_tail(whole, region, "s").collect()
+
+
+def test_closed_periods_of_a_stream_are_the_sessions(spark, tmp_path):
+    events = tables.load(spark, SF, "events").cache()
+    last = events.agg(F.max("ts")).first()[0] + datetime.timedelta(days=50)
+    closing = events.limit(1).withColumn("ts", F.lit(last).cast("timestamp_ntz")).withColumn("user_id", F.lit(-1).cast("long")).select(events.columns)
+    for k, part in enumerate((events.where("event_id % 2 = 0"), events.where("event_id % 2 = 1"), closing, closing)):
+        part.coalesce(1).write.parquet(str(tmp_path / f"p{k}"))
+    (tmp_path / "in").mkdir()
+    schema = ", ".join(events.schema.simpleString()[7:-1].replace(":", " ").split(","))
+    source = stream.events_stream(spark, str(tmp_path / "in"), schema)
+    q = stream.closed_sizes(source, lateness="40 days").writeStream.outputMode("append").format("memory").queryName("closed").start()
+    for k in range(4):
+        for f in (tmp_path / f"p{k}").glob("*.parquet"):
+            f.rename(tmp_path / "in" / f"{k}-{f.name}")
+        q.processAllAvailable()
+        assert k > 1 or spark.table("closed").count() == 0
+    q.stop()
+    got = sorted((r.user_id, r.begin, r.size) for r in spark.table("closed").collect())
+    assert got == sorted((r.user_id, r.session.start, r.size) for r in stream.session_sizes(events).collect())
