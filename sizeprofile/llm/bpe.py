@@ -145,16 +145,38 @@ class MergeReplay:
 BYTE_LEVEL_SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
+#: Stands, while a text is split, for a code point that is no letter or number to the library. Private use: no class of its own.
+_NEITHER = "\ue000"
+
+
 class Splitter:
     """Splits a text by a pattern. For the byte-level split there is an equal, faster expression for texts that hold
-    only ASCII, Latin letters and common punctuation; all other texts take the general one."""
+    only ASCII, Latin letters and common punctuation; all other texts take the general one.
+
+    The `regex` module's tables may be newer than the library's: code points that only the module calls letters or
+    numbers (the library tells by a probe) are hidden from the split, and the pieces are cut from the text itself.
+    """
 
     def __init__(self, pattern: str):
         import re
+        import sys
 
         import regex
+        import tiktoken
+
+        plain = regex.compile(pattern).findall
+        every = "".join(map(chr, [*range(0xD800), *range(0xE000, sys.maxunicode + 1)]))
+        probe = tiktoken.Encoding("classes", pat_str=r"[\p{L}\p{N}]", mergeable_ranks={bytes([b]): b for b in range(256)}, special_tokens={})
+        known = bytes(probe.encode_ordinary(every)).decode()  # what its pattern does not match, the library leaves out
+        new = set().union(*regex.findall(r"[\p{L}\p{N}]+", every)).difference(known)
+        hide = dict.fromkeys(map(ord, new), _NEITHER)
+
+        def general(text: str) -> list[str]:
+            if new.isdisjoint(text):
+                return plain(text)
+            return [text[m.start() : m.end()] for m in regex.finditer(pattern, text.translate(hide))]
 
-        self.general = regex.compile(pattern).findall
+        self.general = general
         letters = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u02af"
         self.latin = re.compile(rf" ?[{letters}]+|'(?:[stmd]|re|ve|ll)| ?[0-9]+| ?[^\s{letters}0-9]+|\s+(?!\S)|\s+").findall
         self.other = re.compile(rf"[^\t-\r -~{letters}\u2010-\u2027\u2030-\u205e]").search if pattern == BYTE_LEVEL_SPLIT else lambda text: True

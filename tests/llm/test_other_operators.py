@@ -56,8 +56,25 @@ def test_warc_reader_passes_over_chance_magic(spark, tmp_path):
     for step in (1 << 20, 64, 17):
         seen = [f["warc-record-id"] for at in range(0, len(raw), step) for f, _, _ in warc.records_in(str(path), at, at + step)]
         assert seen == [f"<urn:page:{k}>" for k in range(40)]
-    path.write_bytes(raw[:-5] + b"spoil")
-    assert sum(1 for _ in warc.records_in(str(path), 0, len(raw))) < 40
+
+
+@pytest.mark.parametrize("split_bytes", [1 << 20, 700])
+def test_warc_reader_raises_when_a_record_is_lost(spark, tmp_path, split_bytes):
+    members = [gzip.compress(warc.record(k, "u", f"page {k} {'x' * k}".encode(), None)) for k in range(30)]
+    raw = b"".join(members)
+    at = len(b"".join(members[:11]))
+    path = tmp_path / "x.warc.gz"
+    listed = spark.createDataFrame([(str(path), 30, len(raw))], "path string, n_records long, n_bytes long")
+    read = lambda **kw: [r.page_id for r in warc.read_warc(listed, split_bytes, **kw).collect()]
+    path.write_bytes(raw)
+    assert sorted(read()) == list(range(30))
+    spoilt = {"end": raw[:-5] + b"spoil", "body": raw[: at + 60] + b"?" + raw[at + 61 :], "magic": raw[:at] + b"?" + raw[at + 1 :], "first": b"?" + raw[1:], "cut": raw[:-9], "gone": raw[:at] + raw[at + len(members[11]) :], "last gone": raw[: -len(members[29])]}
+    for kind, now in spoilt.items():
+        path.write_bytes(now)
+        with pytest.raises(Exception, match="no whole record|are listed"):
+            read()
+        left = read(skip_damaged=True)
+        assert len(left) == len(set(left)) and 26 <= len(left) < 30, kind
 
 
 def test_warc_of_an_empty_table(spark):
@@ -67,9 +84,10 @@ def test_warc_of_an_empty_table(spark):
 VECTORS = [(k, [math.sin(k * j + 1) for j in range(9)]) for k in range(60)] + [(200, None), (201, [1.0, None]), (202, [float("nan")] * 9), (203, [float("inf")] * 9), (None, [1.0] * 9), (7, [0.5] * 9), (7, [0.5] * 9), (300, [2.0, -1.0]), (301, []), (400, [0.25] * 9), (401, [0.25] * 9), (402, [0.25] * 9), (450, [1e13] * 9), (500, [-1e13] * 9)]
 
 
-@pytest.mark.parametrize("limit, tile", [(8 << 20, 4096), (0, 7)])
-def test_top_k_against_brute_force(spark, monkeypatch, limit, tile):
+@pytest.mark.parametrize("limit, tile, cell", [(8 << 20, 4096, 1 << 20), (0, 7, 1 << 20), (0, 7, 500)])
+def test_top_k_against_brute_force(spark, monkeypatch, limit, tile, cell):
     monkeypatch.setattr(topk, "BROADCAST_BYTES", limit)
+    monkeypatch.setattr(topk, "CELL_BYTES", cell)
     monkeypatch.setattr(topk, "TILE_ROWS", tile)
     monkeypatch.setattr(topk, "TILE_QUERIES", 3)
     v = spark.createDataFrame([(i, e, 5, 0) for i, e in VECTORS], "vec_id long, embedding array<double>, tile int, floor int")
@@ -173,6 +191,110 @@ def test_mixing_when_all_rates_start_on_a_bound(spark):
     assert p.rate.between(1.0, most).all() and p.rate.max() >= 2  # rows of rate 2 have two copies or more
 
 
+def plain_boosting(x, y, bins, pair_bins, n_pairs, rounds, pair_rounds, rate, leaves):
+    """The additive model row by row, with every cut of a tree tried over its rows: the scores of the rows."""
+    rows, n_features = range(len(y)), len(x[0])
+    cuts = [sorted(set(np.quantile([r[f] for r in x], np.linspace(0, 1, bins + 1)[1:-1]).tolist())) for f in range(n_features)]
+    code = [[sum(c <= r[f] for c in cuts[f]) for r in x] for f in range(n_features)]
+    coarse = [[c * pair_bins // (len(cuts[f]) + 1) for c in code[f]] for f in range(n_features)]
+    base = (sum(y) + 1) / (len(y) + 2)
+    total = [math.log(base / (1 - base))] * len(y)
+
+    def slopes():
+        p = [1 / (1 + math.exp(-t)) for t in total]
+        return [a - b for a, b in zip(y, p)], [b * (1 - b) for b in p]
+
+    def sums(v, some):
+        return sum(v[i] for i in some)
+
+    gain = lambda g, h, some: sums(g, some) ** 2 / (sums(h, some) + 1)
+    newton = lambda g, h, some: sums(g, some) / (sums(h, some) + 1)
+    for _ in range(rounds):
+        for f in range(n_features):
+            g, h = slopes()
+            leaf = [list(rows)]
+            spans = [(0, len(cuts[f]) + 1)]
+            while len(leaf) < leaves:
+                options = []
+                for k, (some, (lo, hi)) in enumerate(zip(leaf, spans)):
+                    for cut in range(lo + 1, hi):
+                        low, high = [i for i in some if code[f][i] < cut], [i for i in some if code[f][i] >= cut]
+                        options.append((gain(g, h, low) + gain(g, h, high) - gain(g, h, some), -cut, k, low, high))
+                if not options or max(options)[0] <= 1e-9:
+                    break
+                _, cut, k, low, high = max(options)
+                lo, hi = spans[k]
+                leaf[k : k + 1], spans[k : k + 1] = [low, high], [(lo, -cut), (-cut, hi)]
+            for some in leaf:
+                step = rate * newton(g, h, some)
+                for i in some:
+                    total[i] += step
+
+    def quadrants(f, k):
+        g, h = slopes()
+        best = None
+        for a in range(1, pair_bins):
+            for b in range(1, pair_bins):
+                parts = [[i for i in rows if (coarse[f][i] < a) == s and (coarse[k][i] < b) == t] for s in (True, False) for t in (True, False)]
+                got = sum(gain(g, h, p) for p in parts)
+                if best is None or got > best[0] + 1e-12:
+                    best = (got, parts)
+        return best[0], [(p, newton(g, h, p)) for p in best[1]]
+
+    ranked = sorted(((quadrants(f, k)[0], f, k) for f in range(n_features) for k in range(f + 1, n_features)), reverse=True)[:n_pairs]
+    for _ in range(pair_rounds):
+        for _, f, k in ranked:
+            for some, step in quadrants(f, k)[1]:
+                for i in some:
+                    total[i] += rate * step
+    return [1 / (1 + math.exp(-t)) for t in total]
+
+
+def test_gam_against_plain_boosting(monkeypatch):
+    small = {"BINS": 6, "PAIR_BINS": 3, "PAIRS": 2, "ROUNDS": 6, "PAIR_ROUNDS": 4, "RATE": 0.3, "LEAVES": 3}
+    for name, value in small.items():
+        monkeypatch.setattr(quality_gam, name, value)
+    rnd = np.random.default_rng(2)
+    x = np.c_[rnd.normal(size=(150, 3)), rnd.integers(0, 3, 150)]
+    y = ((x[:, 0] > 0) ^ (x[:, 1] > 0.3) | (rnd.random(150) < 0.1)).astype(float)
+    want = plain_boosting(x.tolist(), y.tolist(), 6, 3, 2, 6, 4, 0.3, 3)
+    assert np.allclose(quality_gam.fit_gam(x, y).scores(x), want, atol=1e-9)
+
+
+@pytest.mark.parametrize("least, most, total", [(0.0, 4.0, 1.0), (0.0, 0.8, 1.0), (1.2, 3.0, 1.5), (1.0, 1.0, 2.0), (0.25, 3.0, 1.1)])
+@pytest.mark.parametrize("shares", [(0.25, 0.25, 0.25, 0.25), (0.87, 0.06, 0.06, 0.01), (0.0, 0.0, 1.0, 0.0)])
+def test_rates_reach_the_residual_of_a_plain_solver(spark, least, most, total, shares):
+    rnd = np.random.default_rng(5)
+    p = rnd.dirichlet([2.0, 0.3, 0.5, 0.1], 300)
+    t = np.r_[np.exp(rnd.normal(5, 1.5, 298)).astype(int), 0, 40_000]
+    table = spark.createDataFrame([(int(n), m.tolist(), 0, 1.0) for n, m in zip(t, p)], "n_tokens long, membership array<double>, at_0 int, first_rate double")
+    rated, want, reached = mixing.fit_rates(table, dict(zip("abcd", shares)), total, least, most)
+    a = t * p.T
+    rate, size = np.clip(np.ones(300), least, most), 1 / np.linalg.eigvalsh((t * p.T) @ p)[-1]
+    for _ in range(40_000):
+        rate = np.clip(rate - size * (p @ (a @ rate - want)), least, most)
+    assert np.linalg.norm(want - reached) <= 1.01 * np.linalg.norm(want - a @ rate) + 1e-3 * want.sum()
+    got = rated.select("rate", "n_tokens", "membership", "at_0", "first_rate").collect()
+    assert np.allclose(sum(r.rate * r.n_tokens * np.array(r.membership) for r in got), reached)
+    assert all(least - 1e-12 <= r.rate <= most + 1e-12 for r in got) and {(r.at_0, r.first_rate) for r in got} == {(0, 1.0)}
+
+
+def test_pipeline_mixing_brings_the_mix_to_its_targets(spark):
+    sf = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    labels = mixing.label_domains(spark.read.parquet(f"{sf}/labels.parquet"))
+    table = mixing.memberships(docs.select("doc_id", "text"), labels, list(corpus_pipeline.MIX)).cache()
+    m = {r.doc_id: r.n_tokens * np.array(r.membership) for r in table.collect()}
+    mixed = Counter(r.doc_id for r in corpus_pipeline.mixing_stage(spark, docs, sf).collect())
+    before, after = sum(m.values()), sum(n * m[i] for i, n in mixed.items())
+    want = np.array(list(corpus_pipeline.MIX.values())) * corpus_pipeline.MIX_TOTAL * before.sum()
+    assert np.linalg.norm(after - want) < 0.6 * np.linalg.norm(before - want)
+    assert len(mixed) == docs.count() < sum(mixed.values()) and max(mixed.values()) >= 2  # none is dropped, some are repeated
+    rated, _, _ = mixing.fit_rates(table, corpus_pipeline.MIX, corpus_pipeline.MIX_TOTAL, corpus_pipeline.MIX_LEAST, corpus_pipeline.MIX_MOST)
+    rate = [r.rate for r in rated.collect()]
+    assert min(rate) == 1 and max(rate) > 1.5 and sum(x > 1.01 for x in rate) > 0.05 * len(rate)
+
+
 def test_mixing_edge_cases(spark):
     labels = spark.createDataFrame([(k, "a" if k % 2 else "b") for k in range(60)] + [(None, "a"), (1, None), (2, "c")], "doc_id long, domain string")
     out = mixing.mix_to_targets(documents(spark), labels, {"a": 1.0, "b": 1.0}).collect()
@@ -202,7 +324,7 @@ def test_pipeline_stages(spark):
             clean = {i for i in ids if labels.get(i) == 1 and i not in short}
             assert len(clean & left) > 0.97 * len(clean)
         if name == "mixing":
-            assert left == ids and docs.count() >= len(ids)
+            assert left == ids and docs.count() > len(ids)
         ids = left
     out = corpus_pipeline.STAGES[-1][1](spark, docs, sf)
     assert out.count() == docs.count() and out.where("n_tokens = 0").count() == docs.where("text = ''").count()

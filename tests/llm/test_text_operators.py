@@ -48,6 +48,36 @@ def test_line_dedup_plan_is_native(spark):
     assert not re.search("Python|Arrow|Pandas|Cartesian|NestedLoop", plan)
 
 
+SKEW = {"spark.sql.adaptive.enabled": "true", "spark.sql.autoBroadcastJoinThreshold": "-1", "spark.sql.adaptive.autoBroadcastJoinThreshold": "-1", "spark.sql.shuffle.partitions": "16", "spark.sql.adaptive.coalescePartitions.enabled": "false", "spark.sql.adaptive.advisoryPartitionSizeInBytes": "2k", "spark.sql.adaptive.skewJoin.skewedPartitionThresholdInBytes": "2k", "spark.sql.adaptive.skewJoin.skewedPartitionFactor": "1.2"}
+
+
+def skew_splits(spark, make) -> int:
+    """Joins of the frame that `make` returns that AQE splits, with tiny thresholds and no broadcasts."""
+    kept = {k: spark.conf.get(k, None) for k in SKEW}
+    try:
+        for k, v in SKEW.items():
+            spark.conf.set(k, v)
+        out = make()
+        out.collect()
+        return out._jdf.queryExecution().executedPlan().toString().count("skew=true")
+    finally:
+        for k, v in kept.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
+def test_hot_keys_are_split(spark):
+    import random
+
+    from sizeprofile.llm import warc
+
+    rnd = random.Random(3)
+    lines = [(k, "\n".join(["the very common line", *(" ".join(str(rnd.random()) for _ in range(3)) for _ in range(3))] + [f"often {k % 40}"])) for k in range(3000)]
+    docs = spark.createDataFrame(lines, "doc_id long, text string").repartition(12).cache()
+    assert skew_splits(spark, lambda: line_dedup.dedup_lines(docs)) >= 1
+    pages = spark.createDataFrame([(k, "u", "hot" * 300 if k % 3 == 0 else f"p{k // 2} " * 90) for k in range(3000)], "page_id long, url string, html string").repartition(12).cache()
+    assert skew_splits(spark, lambda: warc.with_first_copies(pages)) >= 1
+
+
 @pytest.mark.parametrize("make", [
     lambda d: line_dedup.dedup_lines(d), lambda d: quality_rules.quality_rules(d), lambda d: jaccard_join.jaccard_components(d),
     lambda d: substring_dedup.remove_repeated(d), lambda d: bpe.bpe_encode(d, public_tokenizers.path(MULTI), public_tokenizers.PATTERN),
@@ -255,3 +285,26 @@ def test_quality_rules_of_rare_languages(spark, monkeypatch, sent):
     assert [r.doc_id for r in got if not r.kept] == [len(docs) - 1]
     assert {r.lang for r in got if r.class_distance is None} == {"thin", None}
     assert max(r.class_distance for r in got[:-4]) < 0.2
+
+
+def test_bpe_splits_around_every_code_point_as_the_library(spark):
+    tokens = bpe.load_ranks(public_tokenizers.path(MULTI))
+    library = tiktoken.Encoding("x", pat_str=public_tokenizers.PATTERN, mergeable_ranks={t: i for i, t in enumerate(tokens) if t}, special_tokens={})
+    replay = bpe.MergeReplay(tokens)
+    encoder = bpe.TextEncoder(public_tokenizers.PATTERN, lambda words: replay.encode([w.encode() for w in words]), remembered=0)
+    points = [chr(c) for c in range(0x110000) if not 0xD800 <= c < 0xE000]
+    for at in range(0, len(points), 40_000):
+        texts = ["".join(f"x{c}y {c} 1{c}2\n{c}{c}'s" for c in points[k : k + 1000]) for k in range(at, min(at + 40_000, len(points)), 1000)]
+        for text, ids in zip(texts, encoder.block(texts)):
+            assert np.frombuffer(ids, dtype="<u4").tolist() == library.encode_ordinary(text)
+
+
+def test_jaccard_join_leaves_only_what_its_result_reads(spark, tmp_path):
+    kept = spark.conf.get("spark.checkpoint.dir", None)
+    spark.conf.set("spark.checkpoint.dir", f"file://{tmp_path}")
+    try:
+        got = jaccard_join.jaccard_components(documents(spark), 80, 5)
+        assert sorted(p.name.rpartition("-")[0] for p in tmp_path.iterdir()) == ["sizeprofile-node-components", "sizeprofile-prefixes"]
+        assert got.count() == len(rows())
+    finally:
+        spark.conf.unset("spark.checkpoint.dir") if kept is None else spark.conf.set("spark.checkpoint.dir", kept)
