@@ -215,7 +215,7 @@ def categories(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
 def other_shapes(spark, sf_dir: str, seeds: int = SEEDS) -> DataFrame:
     """Heavy tail (by sorted sizes), time, products, and inputs without a hierarchy; all levels of each."""
     frames = []
-    for w, m in (("w16", "hg"), ("w17", "hc"), ("w18", "hc"), ("w19", "hc"), ("w19b", "hc"), ("w21", "hc"), ("w21b", "hc")):
+    for w, m in (("w16", "hg"), ("w17", "hc"), ("w18", "hc"), ("w19", "hc"), ("w19b", "hc"), ("w21", "hc"), ("w21b", "hc"), ("w21c", "hc"), ("w21d", "hg")):
         h, c, t, k = inputs(spark, sf_dir, w)
         frames.append(_named(evaluate(spark, h, c, t, {m: _topdown(k, m)}, (0.5,), seeds), workload=w))
     return _union(frames)

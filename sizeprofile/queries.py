@@ -16,6 +16,7 @@ from .operators import matching, metrics, profile, release_queries
 from .operators.estimators import KEYS
 from .operators.tree import RegionTree
 from .plans import experiments, release
+from .plans.meter import StageMeter
 from .sources.workloads import WORKLOADS
 from .streaming import sizes as stream
 
@@ -583,6 +584,14 @@ def _(spark, d):
     return cells.agg(F.round(F.avg((F.col("noise") != 0).cast("int")), 6).alias("nonzero"), F.round(F.avg((F.col("noise") > 0).cast("int")), 6).alias("positive"))
 
 
+@query("cost_by_stage")
+def _(spark, d):
+    """Tasks, rows and bytes of each stage that the histogram of order sizes takes; seconds and bytes depend on the machine."""
+    with StageMeter(spark, "histogram") as meter:
+        _hist(spark, d)[0].write.format("noop").mode("overwrite").save()
+    return meter.by_stage()
+
+
 # questions to a release
 
 @query("release_quantiles", q.stmt(*_REL, body="select run_id, level, node_id, min(case when upto >= 0.5 * g then size end) as q50, min(case when upto >= 0.9 * g then size end) as q90 from (select *, sum(cnt) over (partition by run_id, level, node_id order by size rows unbounded preceding) as upto, sum(cnt) over (partition by run_id, level, node_id) as g from rel) t group by all"))

@@ -51,6 +51,8 @@ _PLACE = "customer c join nation n on c.c_nationkey = n.n_nationkey join region
 _CUSTOMERS = f"select c.c_custkey as group_id, r.r_name as region, n.n_name as nation from {_PLACE}"
 _BUYS = "orders o join lineitem l on l.l_orderkey = o.o_orderkey"
 _PART_TYPE = "select o.o_custkey as group_id from {buys} join part p on p.p_partkey = l.l_partkey where p.p_type = '{kind}'"
+_HOST = "split_part(regexp_replace(url, '^[a-z]+://', ''), '/', 1)"
+_SECTION = f"{_HOST} || '/' || split_part(regexp_replace(url, '^[a-z]+://', ''), '/', 2)"
 PART_TYPES = ("ECONOMY", "LARGE", "MEDIUM", "PROMO", "SMALL", "STANDARD")
 
 WORKLOADS: dict[str, Workload] = {
@@ -69,6 +71,8 @@ WORKLOADS: dict[str, Workload] = {
         Workload("w20", "select s.s_suppkey as group_id, r.r_name as region, n.n_name as nation from supplier s join nation n on s.s_nationkey = n.n_nationkey join region r on n.n_regionkey = r.r_regionkey", "select l_suppkey as group_id from lineitem", ("region", "nation"), 2048, ("supplier", "lineitem", "nation", "region"), "large sizes"),
         Workload("w21", "select distinct label as group_id from embeddings", "select label as group_id from embeddings", (), 4096, ("embeddings",), "label clusters"),
         Workload("w21b", "select distinct substring_index(regexp_replace(url, '^[a-z]+://', ''), '/', 1) as group_id from pages", "select substring_index(regexp_replace(url, '^[a-z]+://', ''), '/', 1) as group_id from pages", (), 4096, ("pages",), "hosts"),
+        Workload("w21c", f"select distinct {_SECTION} as group_id, {_HOST} as host from pages", f"select {_SECTION} as group_id from pages", ("host",), 4096, ("pages",), "sections of hosts"),
+        Workload("w21d", "select distinct quality || ':' || toxic as group_id from labels", "select quality || ':' || toxic as group_id from labels", (), 100_000, ("labels",), "clusters of labels"),
         *(Workload(f"w6_{t.lower()}", _CUSTOMERS, _PART_TYPE.format(buys=_BUYS, kind=t), ("region", "nation"), 128, ("orders", "lineitem", "customer", "nation", "region", "part"), f"category {t}") for t in PART_TYPES),
     )
 }
