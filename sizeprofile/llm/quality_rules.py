@@ -241,6 +241,6 @@ cdist as (select doc_id, sqrt(greatest(sum(DIVERGENCE), 0) / 2) as x from cp gro
 wp as (select x.doc_id, coalesce(wd.n, 0) / sum(wd.n) over (partition by x.doc_id) as p, r.n / sum(r.n) over (partition by x.doc_id) as q from d x join wref r using (lang) left join wd on wd.doc_id = x.doc_id and wd.b = r.b),
 wdist as (select doc_id, sqrt(greatest(sum(DIVERGENCE), 0) / 2) as x from wp group by doc_id)
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (n_words < 50 or 100 * n_repeat_words > 50 * n_words) as base_failed,
-  not (n_words < 50 or 100 * n_repeat_words > 50 * n_words) and cdist.x <= 0.3 and wdist.x <= 0.5 as kept
-from base left join cdist using (doc_id) left join wdist using (doc_id)
-""".replace("DIVERGENCE", "(case when p > 0 then p * log2(p / ((p + q) / 2)) else 0 end + case when q > 0 then q * log2(q / ((p + q) / 2)) else 0 end)")
+  not (n_words < 50 or 100 * n_repeat_words > 50 * n_words) and (judged.lang is null or n_words < MIN_WORDS or (cdist.x <= 0.3 and wdist.x <= 0.5)) as kept
+from base left join cdist using (doc_id) left join wdist using (doc_id) left join (select lang from lw where lang is not null group by lang having sum(n) >= MIN_REFERENCE_WORDS) judged using (lang)
+""".replace("DIVERGENCE", "(case when p > 0 then p * log2(p / ((p + q) / 2)) else 0 end + case when q > 0 then q * log2(q / ((p + q) / 2)) else 0 end)").replace("MIN_WORDS", str(MIN_WORDS)).replace("MIN_REFERENCE_WORDS", str(MIN_REFERENCE_WORDS))
