@@ -6,10 +6,12 @@ return (run_id, level, node_id, size, cnt) of every run and node in one job. Noi
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.isotonic import fit_by_node, pooled_stretches
+from ..functions.isotonic import isotonic, pooled_stretches
 from ..functions.noise import SENSITIVITY, geometric_noise
 from . import profile
 
@@ -61,16 +63,21 @@ def cumulative_cells(hist: DataFrame, counts: DataFrame, runs: DataFrame, ceilin
 
 
 def estimate_cumulative(hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int, p: int = 1) -> DataFrame:
-    """Isotonic fit of the noisy running counts, within 0 .. g and ending at g, rounded and differenced."""
-    fitted = fit_by_node(cumulative_cells(hist, counts, runs, ceiling), [*KEYS], ["size"], "noisy", p, ["g"])
-    return difference_fit(fitted, counts, runs, ceiling)
+    """Isotonic fit of the noisy running counts, within 0 .. g and ending at g, rounded and differenced.
 
+    A node's cells meet in one kernel, which is bounded by the ceiling; only the cells that are left come back.
+    """
+
+    def release(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("size", kind="stable")
+        g = int(pdf["g"].iloc[0])
+        upto = np.floor(np.clip(isotonic(pdf["noisy"].to_numpy(), p).astype(float), 0, g) + 0.5).astype(np.int64)
+        cnt = np.diff(np.r_[0, upto, g])
+        some = np.flatnonzero(cnt)
+        keys = {k: pdf[k].iloc[0] for k in KEYS}
+        return pd.DataFrame({**keys, "size": np.r_[pdf["size"].to_numpy(), ceiling][some], "cnt": cnt[some]})
 
-def difference_fit(fitted: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int) -> DataFrame:
-    """From fitted running counts (keys, size, g, fit) to the released histogram."""
-    whole = fitted.select(*KEYS, "size", F.floor(F.least(F.greatest(F.col("fit"), F.lit(0.0)), F.col("g").cast("double")) + 0.5).cast("long").alias("cum"))
-    last = counts.crossJoin(runs).select(*KEYS, F.lit(ceiling).cast("long").alias("size"), F.col("g").cast("long").alias("cum"))
-    return profile.from_cumulative(whole.unionByName(last), KEYS)
+    return cumulative_cells(hist, counts, runs, ceiling).groupBy(*KEYS).applyInPandas(release, "run_id int, level int, node_id string, size long, cnt long")
 
 
 def sorted_cells(hist: DataFrame, runs: DataFrame, block_rows: int = profile.BLOCK_ROWS) -> DataFrame:

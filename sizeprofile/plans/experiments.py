@@ -31,7 +31,7 @@ def inputs(spark, sf_dir: str, workload: str, ceiling: int | None = None, levels
     """(exact histogram, public counts, tree, ceiling); `levels` cuts the tree, `nodes` restricts its root."""
     if workload == "w2":
         sizes, tree = tail_workload(spark, sf_dir)
-        groups, ceiling = sizes.select("group_id", "leaf_id"), ceiling or 20_000
+        groups, ceiling = sizes.select("group_id", "leaf_id"), ceiling or 10_240
     else:
         entities, groups, tree = WORKLOADS[workload].load(spark, sf_dir)
         sizes, ceiling = None, ceiling or WORKLOADS[workload].ceiling
