@@ -20,13 +20,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import batches_of, mapped, mixed64, release_held, texts_of, written
+from .common import batches_of, bitmap_of, in_bitmap, mapped, mixed64, release_held, texts_of, written
 
 LENGTH, GRAM = 200, 64
 #: Bytes of text handled at once when anchors are picked, and bytes of contexts in one transform.
 CHUNK_BYTES, BLOCK_BYTES = 1 << 20, 256 << 10
 #: Grams more frequent than HOT_COUNT (or one in HOT_KEYS of all) are picked last; at most HOT_KEYS of them are known.
 HOT_COUNT, HOT_KEYS = 500, 100_000
+#: Contexts that stand in one in HOT_GROUPS of all places, so fewer than that many, are sent along instead of being shuffled to.
+HOT_GROUPS = 1_000
 _ODD = [int(x) | 1 for x in mixed64(np.arange(11, 19, dtype=np.uint64))]
 _LETTERS = mixed64(np.arange(1, 257, dtype=np.uint64))
 
@@ -201,7 +203,7 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
     64-bit hash and their size, so ids may repeat or be null. `length` is between GRAM + 1 and 256.
 
     Scale: contexts are fixed-width rows (about one for 85 bytes of text); they are aggregated by key before the join
-    that keeps keys seen twice. A frequent passage makes frequent grams; picked last, they stand only for windows
+    that keeps keys seen twice, and a bounded bitmap of those keys leaves most others out of that join. A frequent passage makes frequent grams; picked last, they stand only for windows
     inside the passage, whose contexts are equal and collapse, so no key gathers a context from each document.
     Texts are shuffled once by hash; both joins use that exchange.
     """
@@ -227,6 +229,18 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
     least = max(HOT_COUNT, total // HOT_KEYS + 1)
     frequent = np.array([r.key for r in counts.where(F.col("key").isNotNull() & (F.col("n") >= least)).select("key").collect()], dtype=np.int64).view(np.uint64)
 
+    def keys_of(batches):
+        release_held()
+        hot = HotGrams(frequent)
+        for b in batches:
+            for _, key, _, _ in contexts(texts_of(b, "text"), length, hot):
+                values, counts = np.unique(key, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(values), pa.array(counts)], names=["key", "n"])
+
+    # written, as a plain side of the next join: AQE splits the contexts of a hot key
+    keys = written(scanned.select("text").mapInArrow(keys_of, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).where("n > 1").select("key"), "met-keys")
+    maybe = bitmap_of(keys, "key")
+
     def scan(batches):
         release_held()
         hot = HotGrams(frequent)
@@ -234,15 +248,20 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
             texts = texts_of(b, "text")
             tid, size = (b.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
             for who, key, lo, hi in contexts(texts, length, hot):
+                known = in_bitmap(maybe, key)
+                who, key, lo, hi = who[known], key[known], lo[known], hi[known]
                 digest = [hashlib.blake2b(texts[k][x : y + length], digest_size=8).digest() for k, x, y in zip(who.tolist(), lo.tolist(), hi.tolist())]
                 yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(np.frombuffer(b"".join(digest), dtype="<i8")), pa.array(tid[who]), pa.array(size[who]), pa.array(lo << 32 | hi)], schema=_ROWS)
 
-    rows = scanned.mapInArrow(scan, "key long, digest long, tid long, size int, span long")
-    keys = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("digest").alias("d0"), F.max("digest").alias("d1")).where("n > 1").select("key", (F.col("d0") != F.col("d1")).alias("mixed"))
-    met = written(rows.join(keys, "key"), "met-contexts")
-    same = met.groupBy("key", "digest").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("tid", "size", "span")).alias("one"))
-    whole = met.join(same.where("n > 1").select("key", "digest"), ["key", "digest"]).select("tid", "size", "span")
-    mixed = met.where("mixed").groupBy("key", "digest").agg(F.min(F.struct("tid", "size", "span")).alias("one")).select("one.*", "key")
+    met = written(scanned.mapInArrow(scan, "key long, digest long, tid long, size int, span long").join(keys, "key"), "met-contexts")
+    groups = written(met.groupBy("key", "digest").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("tid", "size", "span")).alias("one")), "context-groups")
+    total = groups.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    hot = F.col("n") > max(1, total // HOT_GROUPS)
+    hottest = F.broadcast(groups.where(hot).select("key", "digest"))  # fewer than HOT_GROUPS rows
+    cooler = met.join(hottest, ["key", "digest"], "left_anti").join(groups.where((F.col("n") > 1) & ~hot).select("key", "digest"), ["key", "digest"])
+    whole = met.join(hottest, ["key", "digest"], "left_semi").unionByName(cooler).select("tid", "size", "span")
+    several = written(groups.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"), "mixed-keys")
+    mixed = groups.join(several, "key").select("one.*", "key")
     wanted = mixed.groupBy("tid", "size").agg(F.collect_list(F.struct("key", "span")).alias("wanted"))
 
     def pieces(batches):
