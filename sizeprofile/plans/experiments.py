@@ -66,9 +66,10 @@ def evaluate(spark, hist: DataFrame, counts: DataFrame, tree: RegionTree, releas
         rel = make(hist, counts, tree, runs, shared) if hasattr(make, "estimates") else make(hist, counts, tree, runs)
         report = metrics.level_report(metrics.emd(truth if measured is None else truth.where(F.col("level").isin(*measured)), rel), counts if measured is None else counts.where(F.col("level").isin(*measured)))
         done = metrics.run_report(report.join(budgets, "run_id"), "eps_level").select(F.lit(name).alias("method"), "eps_level", (F.col("eps_level") * tree.levels).alias("eps_total"), "level", "emd", "std_of_mean", "runs")
+        done = release.frozen(done)  # a few rows; a union of whole plans would be planned anew after each of its stages
         out = done if out is None else out.unionByName(done)
     expected = metrics.level_report(metrics.omniscient_expected(hist, runs), counts).join(budgets, "run_id")
-    return out.unionByName(metrics.run_report(expected, "eps_level").select(F.lit("omniscient").alias("method"), "eps_level", (F.col("eps_level") * tree.levels).alias("eps_total"), "level", "emd", "std_of_mean", "runs"))
+    return out.unionByName(release.frozen(metrics.run_report(expected, "eps_level")).select(F.lit("omniscient").alias("method"), "eps_level", (F.col("eps_level") * tree.levels).alias("eps_total"), "level", "emd", "std_of_mean", "runs"))
 
 
 def _topdown(ceiling: int, methods="hc", **kw) -> Release:
