@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 PARENT = ("run_id", "parent_id")
 _MATCH = "run_id int, parent_id string, p_size long, p_new long, p_var double, child_id string, c_size long, c_var double, n long"
+_COLUMNS = ["run_id", "parent_id", "p_size", "p_new", "p_var", "child_id", "c_size", "c_var", "n"]
 
 
 def _intervals(df: DataFrame, order: list[str]) -> DataFrame:
@@ -85,20 +86,36 @@ def apportion(segs: DataFrame, child_runs: DataFrame, method: str = "hamilton")
     """Share each segment among the children that hold its size: the matching, with multiplicities `n`.
 
     Runs of different child sizes are separate groups, so a large parent is spread over as many tasks as it has sizes.
+    A task reads its groups one after another from sorted rows, first the children and then the segments of each.
     """
     shares = {"hamilton": hamilton_shares, "spread": spread_shares}[method]
-
-    def share(keys, seg: pd.DataFrame, child: pd.DataFrame) -> pd.DataFrame:
-        seg, child = seg.sort_values("lo"), child.sort_values("child_id")
-        rows = []
-        got = shares(seg["n"].tolist(), child["cnt"].tolist())
-        for s, split in zip(seg.itertuples(), got):
-            rows += [(s.run_id, s.parent_id, s.p_size, s.p_new, s.p_var, c.child_id, s.c_size, c.c_var, n) for c, n in zip(child.itertuples(), split) if n]
-        return pd.DataFrame(rows, columns=["run_id", "parent_id", "p_size", "p_new", "p_var", "child_id", "c_size", "c_var", "n"])
-
     keys = [*PARENT, "c_size"]
-    own = child_runs.where("cnt > 0").select(*[F.col(c).alias(c) for c in child_runs.columns])
-    return segs.groupBy(*keys).cogroup(own.groupBy(*keys)).applyInPandas(share, _MATCH)
+    zero = F.lit(0).cast("long")
+    kids = child_runs.where("cnt > 0").select(*keys, F.lit(0).alias("kind"), F.col("child_id").alias("name"), zero.alias("lo"), F.col("cnt").alias("n"), F.col("c_var").alias("var"), zero.alias("p_size"), zero.alias("p_new"))
+    cuts = segs.select(*keys, F.lit(1).alias("kind"), F.lit("").alias("name"), "lo", "n", F.col("p_var").alias("var"), "p_size", "p_new")
+    rows = kids.unionByName(cuts).repartition(*keys).sortWithinPartitions(*keys, "kind", "name", "lo")
+
+    def share(batches):
+        key, children, parts, out = None, [], [], []
+
+        def deal():
+            for s, split in zip(parts, shares([s[6] for s in parts], [c[6] for c in children])):
+                out.extend((key[0], key[1], s[8], s[9], s[7], c[4], key[2], c[7], n) for c, n in zip(children, split) if n)
+
+        for pdf in batches:
+            for r in pdf.itertuples(index=False, name=None):
+                if r[:3] != key:
+                    deal()
+                    key, children, parts = r[:3], [], []
+                (parts if r[3] else children).append(r)
+            if out:
+                yield pd.DataFrame(out, columns=_COLUMNS)
+                out = []
+        deal()
+        if out:
+            yield pd.DataFrame(out, columns=_COLUMNS)
+
+    return rows.mapInPandas(share, _MATCH)
 
 
 def match_runs(parent_runs: DataFrame, child_runs: DataFrame, method: str = "hamilton") -> DataFrame:
