@@ -17,6 +17,7 @@ class RegionTree:
 
     wide: DataFrame
     levels: int
+    checked: bool | None = None
 
     @classmethod
     def from_levels(cls, df: DataFrame, columns: list[str]) -> "RegionTree":
@@ -43,7 +44,9 @@ class RegionTree:
 
     def small(self, table: DataFrame) -> DataFrame:
         """Mark a table of the tree for broadcast if its size has been checked."""
-        return F.broadcast(table) if self.wide.limit(BROADCAST_ROWS // self.levels + 1).count() * self.levels <= BROADCAST_ROWS else table
+        if self.checked is None:  # counted once a tree
+            self.checked = self.wide.limit(BROADCAST_ROWS // self.levels + 1).count() * self.levels <= BROADCAST_ROWS
+        return F.broadcast(table) if self.checked else table
 
     def restrict(self, nodes: list[str]) -> "RegionTree":
         """Only the leaves below the given level-1 nodes; the root is then their union."""
