@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import atexit
 import tempfile
+import threading
 import uuid
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -58,9 +60,28 @@ def work_path(spark: SparkSession, label: str) -> str:
     """A new path below the shared folder; it is removed when the driver's Python ends."""
     path = f"{shared_root(spark)}/sizeprofile-{label}-{uuid.uuid4().hex}"
     atexit.register(remove_path, spark, path)
+    for made in getattr(_SCOPES, "open", ()):
+        made.append((label, path))
     return path
 
 
+_SCOPES = threading.local()
+
+
+@contextmanager
+def scratch(spark: SparkSession, *kept: str):
+    """Paths made inside are removed when the block ends, but for those with a label in `kept`, which a lazy result still reads."""
+    made: list[tuple[str, str]] = []
+    _SCOPES.open = [*getattr(_SCOPES, "open", ()), made]
+    try:
+        yield
+    finally:
+        _SCOPES.open = _SCOPES.open[:-1]
+        for label, path in made:
+            if label not in kept:
+                remove_path(spark, path)
+
+
 def remove_path(spark: SparkSession, path: str) -> None:
     try:
         jvm = spark.sparkContext._jvm

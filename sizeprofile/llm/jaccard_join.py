@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import batches_of, bitmap_of, in_bitmap, mixed64, release_held, rows_of, texts_of, written
+from .common import batches_of, bitmap_of, in_bitmap, mixed64, release_held, rows_of, scratch, texts_of, written
 from .components import connected_components
 from .substring_dedup import _LETTERS
 
@@ -185,6 +185,11 @@ def jaccard_components(docs: DataFrame, percent: int = 90, width: int = 3, id_co
     components is joined from the smaller side. Every aggregate by a key that may be hot is written before it is joined
     back, so that the join has plain sides, which AQE splits.
     """
+    with scratch(docs.sparkSession, "prefixes", "node-components"):
+        return _components(docs, percent, width, id_col, text_col)
+
+
+def _components(docs: DataFrame, percent: int, width: int, id_col: str, text_col: str) -> DataFrame:
     rows = rows_of(docs, doc_id=F.col(f"`{id_col}`").cast("long"), text=F.coalesce(F.col(f"`{text_col}`"), F.lit("")))
 
     def count(batches):
@@ -350,7 +355,7 @@ def _linked(listed: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     marks = ("node", "n", "comp", *SKETCH)
     links: DataFrame | None = None
     tried: DataFrame | None = None
-    roots = connected_components(listed.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0))
+    roots = listed.sparkSession.createDataFrame([], "node long, root long")
     rest, last, k = listed, None, 0
 
     def add(pairs: DataFrame) -> None:

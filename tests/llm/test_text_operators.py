@@ -299,12 +299,10 @@ def test_bpe_splits_around_every_code_point_as_the_library(spark):
             assert np.frombuffer(ids, dtype="<u4").tolist() == library.encode_ordinary(text)
 
 
-def test_jaccard_join_leaves_only_what_its_result_reads(spark, tmp_path):
-    kept = spark.conf.get("spark.checkpoint.dir", None)
-    spark.conf.set("spark.checkpoint.dir", f"file://{tmp_path}")
-    try:
-        got = jaccard_join.jaccard_components(documents(spark), 80, 5)
-        assert sorted(p.name.rpartition("-")[0] for p in tmp_path.iterdir()) == ["sizeprofile-node-components", "sizeprofile-prefixes"]
-        assert got.count() == len(rows())
-    finally:
-        spark.conf.unset("spark.checkpoint.dir") if kept is None else spark.conf.set("spark.checkpoint.dir", kept)
+def test_jaccard_join_leaves_only_what_its_result_reads(spark, tmp_path, monkeypatch):
+    from sizeprofile.llm import common
+
+    monkeypatch.setattr(common, "shared_root", lambda spark: f"file://{tmp_path}")
+    got = jaccard_join.jaccard_components(documents(spark), 80, 5)
+    assert sorted(p.name.rpartition("-")[0] for p in tmp_path.iterdir()) == ["sizeprofile-node-components", "sizeprofile-prefixes"]
+    assert got.count() == len(rows())
