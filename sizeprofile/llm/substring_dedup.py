@@ -17,7 +17,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import batches_of, bitmap_of, in_bitmap, mapped, mixed64, release_held, texts_of, written
@@ -27,7 +27,7 @@ LENGTH, GRAM = 200, 64
 CHUNK_BYTES, BLOCK_BYTES = 1 << 20, 256 << 10
 #: Grams more frequent than HOT_COUNT (or one in HOT_KEYS of all) are picked last; at most HOT_KEYS of them are known.
 HOT_COUNT, HOT_KEYS = 500, 100_000
-#: Contexts that stand in one in HOT_GROUPS of all places, so fewer than that many, are sent along instead of being shuffled to.
+#: Contexts that stand in one in HOT_GROUPS of all places, so fewer than that many, are constants of a filter instead of being joined.
 HOT_GROUPS = 1_000
 _ODD = [int(x) | 1 for x in mixed64(np.arange(11, 19, dtype=np.uint64))]
 _LETTERS = mixed64(np.arange(1, 257, dtype=np.uint64))
@@ -194,6 +194,13 @@ def _cut(raw: bytes, spans: list[int], length: int) -> tuple[bytes, int, int]:
     return b"".join(kept), int((hi - lo).sum()), len(lo)
 
 
+def _among(pairs: list[tuple[int, int]]) -> Column:
+    """Whether (key, digest) is one of the pairs; most rows are told by the digest alone."""
+    if not pairs:
+        return F.lit(False)
+    return F.col("digest").isin([d for _, d in pairs]) & F.concat_ws(":", "key", "digest").isin([f"{k}:{d}" for k, d in pairs])
+
+
 def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text") -> DataFrame:
     """Cut out of each text every byte that lies in a `length`-byte string which also starts anywhere else.
 
@@ -257,9 +264,10 @@ def remove_repeated(docs: DataFrame, length: int = LENGTH, text_col: str = "text
     groups = written(met.groupBy("key", "digest").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("tid", "size", "span")).alias("one")), "context-groups")
     total = groups.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     hot = F.col("n") > max(1, total // HOT_GROUPS)
-    hottest = F.broadcast(groups.where(hot).select("key", "digest"))  # fewer than HOT_GROUPS rows
-    cooler = met.join(hottest, ["key", "digest"], "left_anti").join(groups.where((F.col("n") > 1) & ~hot).select("key", "digest"), ["key", "digest"])
-    whole = met.join(hottest, ["key", "digest"], "left_semi").unionByName(cooler).select("tid", "size", "span")
+    # fewer than HOT_GROUPS rows: constants of a filter, so a context that very many texts hold takes part in no join
+    hottest = _among([(r.key, r.digest) for r in groups.where(hot).select("key", "digest").collect()])
+    cooler = met.where(~hottest).join(groups.where((F.col("n") > 1) & ~hot).select("key", "digest"), ["key", "digest"])
+    whole = met.where(hottest).unionByName(cooler).select("tid", "size", "span")
     several = written(groups.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key"), "mixed-keys")
     mixed = groups.join(several, "key").select("one.*", "key")
     wanted = mixed.groupBy("tid", "size").agg(F.collect_list(F.struct("key", "span")).alias("wanted"))

@@ -145,6 +145,17 @@ def test_substring_dedup_against_brute_force(spark):
         assert "rest" in got.columns and "h1" in got.columns
 
 
+def test_substring_dedup_joins_no_context_that_very_many_texts_hold(spark):
+    passage = " ".join(f"passage{k}" for k in range(60))
+    docs = [(k, f"{passage}{chr(48 + k)}own") for k in range(60)] + [(100, "a text of its own"), (101, passage[:-1]), (102, None)]
+    got = substring_dedup.remove_repeated(spark.createDataFrame(docs, "doc_id long, text string"))
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "LeftSemi" not in plan and "LeftAnti" not in plan
+    left = {r.doc_id: bytes(r.kept) for r in got.collect()}
+    assert all(left[k] == f"{chr(48 + k)}own".encode() for k in range(60))
+    assert left[100] == b"a text of its own" and left[101] == b"" and left[102] == b""
+
+
 def test_interval_expansion_against_brute_force():
     import random
 
