@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import tempfile
 import threading
 import uuid
@@ -206,3 +207,37 @@ def release_held() -> None:
     import sys
 
     sys.__dict__.get("_sizeprofile_held", {}).clear()
+    give_back()
+
+
+def give_back() -> None:
+    """Return freed memory to the system: allocators keep it, and a worker that waits for its next task would still count."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # not the GNU C library
+        pass
+
+
+def slices(batch: pa.RecordBatch, most_bytes: int = 4 << 20):
+    """The rows of a batch, in order, in parts of about `most_bytes` (a larger row is a part of its own)."""
+    at = 0
+    while at < batch.num_rows:
+        n = max(1, (batch.num_rows - at) * most_bytes // max(1, batch.slice(at).nbytes))
+        while n > 1 and batch.slice(at, n).nbytes > 2 * most_bytes:
+            n //= 2
+        yield batch.slice(at, n)
+        at += n
+
+
+def lean(run):
+    """A mapInArrow function that takes its batches in slices, keeps nothing of earlier tasks and gives back what it freed."""
+
+    def sliced(batches):
+        release_held()
+        try:
+            yield from run(part for b in batches for part in slices(b))
+        finally:
+            give_back()
+
+    return sliced

@@ -317,3 +317,35 @@ def test_jaccard_join_leaves_only_what_its_result_reads(spark, tmp_path, monkeyp
     got = jaccard_join.jaccard_components(documents(spark), 80, 5)
     assert sorted(p.name.rpartition("-")[0] for p in tmp_path.iterdir()) == ["sizeprofile-node-components", "sizeprofile-prefixes"]
     assert got.count() == len(rows())
+
+
+def test_jaccard_kernels_hold_bounded_memory():
+    import tracemalloc
+
+    import pyarrow as pa
+
+    from sizeprofile.llm import common
+
+    rng = np.random.default_rng(3)
+    sets = [np.unique(rng.integers(0, 3000, 500, dtype=np.uint64)) for _ in range(60)]
+    for room in (7, 1000, 1 << 20):
+        repeats, parts = jaccard_join.Repeats(room), []
+        for s in sets:
+            parts += repeats.add(s)
+        every = np.concatenate(sets)
+        for k, (values, counts) in enumerate([*parts, repeats.flush()]):
+            v, c = np.unique(every[k * room : (k + 1) * room], return_counts=True)
+            assert values.tolist() == v[c > 1].tolist() and counts.tolist() == c[c > 1].tolist()
+    tracemalloc.start()
+    repeats = jaccard_join.Repeats(1 << 20)
+    for _ in range(9000):  # the sets of a task's texts, 8,192 of which had been held and sorted as a copy
+        for _ in repeats.add(rng.integers(0, 1 << 60, 300, dtype=np.uint64)):
+            pass
+    assert tracemalloc.get_traced_memory()[1] < 2 * repeats.buffer.nbytes
+    tracemalloc.stop()
+    batch = pa.RecordBatch.from_arrays([pa.array(range(50)), pa.array(["x" * (k * k * 10) for k in range(50)])], names=["k", "text"])
+    parts = list(common.slices(batch, 20_000))
+    assert sum((p.column(0).to_pylist() for p in parts), []) == list(range(50))
+    assert all(p.nbytes <= 50_000 or p.num_rows == 1 for p in parts)
+    seen = []
+    assert list(common.lean(lambda bs: (seen.append(b.num_rows) or b for b in bs))([pa.RecordBatch.from_arrays([pa.array(["y" * (3 << 20)] * 5)], names=["t"])])) and max(seen) <= 2
