@@ -11,8 +11,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.isotonic import isotonic, pooled_stretches
-from ..functions.noise import SENSITIVITY, geometric_noise
+from ..functions.isotonic import isotonic, pooled_means, pooled_stretches
+from ..functions.noise import SENSITIVITY, geometric_faces, geometric_noise, keyed_generator
 from . import profile
 
 KEYS = ("run_id", "level", "node_id")
@@ -101,6 +101,27 @@ def estimate_sorted(hist: DataFrame, runs: DataFrame, p: int = 2, by_fit: bool =
     return blocks.groupBy(*KEYS, size).agg(F.sum("cnt").alias("cnt"))
 
 
+def estimate_sorted_faces(hist: DataFrame, runs: DataFrame) -> DataFrame:
+    """`estimate_sorted` in squares, equal in law, for experiments: draws and rows follow distinct sizes, not groups.
+
+    The groups of one size are drawn as the blocks of their own fit (`geometric_faces`), and the blocks of a node's sizes are
+    pooled as they are there. The noise is another draw than the one keyed by places.
+    """
+
+    def release(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("size", kind="stable")
+        keys = {k: pdf[k].iloc[0] for k in KEYS}
+        rng = keyed_generator(pdf["seed"].iloc[0], keys["level"], keys["node_id"], "faces")
+        scale = SENSITIVITY["hg"] / pdf["eps"].iloc[0]
+        faces = [geometric_faces(n, size, scale, rng) for size, n in zip(pdf["size"].tolist(), pdf["cnt"].tolist())]
+        s, w = pooled_means(np.concatenate([t for t, _ in faces]).astype(float), np.concatenate([c for _, c in faces]).astype(float))
+        size, place = np.unique(np.floor(np.maximum(s / w, 0.0) + 0.5).astype(np.int64), return_inverse=True)
+        return pd.DataFrame({**keys, "size": size, "cnt": np.bincount(place, weights=w).astype(np.int64)})
+
+    cells = hist.where("cnt > 0").select("level", "node_id", "size", "cnt").crossJoin(runs)
+    return cells.groupBy(*KEYS).applyInPandas(release, "run_id int, level int, node_id string, size long, cnt long")
+
+
 def estimate(method: str, hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int, p_c: int = 1, p_g: int = 2, by_fit: bool = False) -> DataFrame:
     if method == "hc":
         return estimate_cumulative(hist, counts, runs, ceiling, p_c)

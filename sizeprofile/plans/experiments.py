@@ -1,12 +1,15 @@
 """The experiments: every workload, method, baseline and parameter sweep as one report frame.
 
-All seeds and budgets of a sweep are rows of one small table, so a sweep scans the data once.
+All seeds and budgets of a sweep are rows of one small table, so a sweep scans the data once. Sorted sizes are drawn by their
+law, in which a size costs about the logarithm of its groups: ten seeds a budget would else draw hundreds of noises a group.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -60,7 +63,7 @@ def evaluate(spark, hist: DataFrame, counts: DataFrame, tree: RegionTree, releas
     runs, budgets = run_grid(spark, eps, seeds)
     truth = metrics.for_runs(hist, runs)
     wanted = dict.fromkeys(x for make in releases.values() for x in getattr(make, "estimates", ()))
-    shared = {m: release.frozen(estimators.estimate(m, hist, counts, runs, k)) for m, k in wanted}  # releases that start from equal estimates share them
+    shared = {m: release.frozen(estimators.estimate_sorted_faces(hist, runs) if m == "hg" else estimators.estimate(m, hist, counts, runs, k)) for m, k in wanted}  # releases that start from equal estimates share them
     out = None
     for name, make in releases.items():
         rel = make(hist, counts, tree, runs, shared) if hasattr(make, "estimates") else make(hist, counts, tree, runs)
@@ -98,6 +101,12 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
+def _beside(spark, jobs: list[Callable[[], DataFrame]], at_once: int = 2) -> DataFrame:
+    """The union of the jobs' frames; two run beside each other, as each is many small stages one after another (with four, one of w2 ran out of memory at sf0.1)."""
+    with ThreadPoolExecutor(at_once) as pool:
+        return _union(list(pool.map(lambda job: job(), [inheritable_thread_target(spark)(job) for job in jobs])))
+
+
 def merging(spark, sf_dir: str, workloads=("w1", "w2", "w4", "w5"), seeds: int = SEEDS, eps=(0.1, 0.5)) -> DataFrame:
     """Weighted against plain averages, two levels."""
     frames = []
@@ -117,23 +126,23 @@ def two_levels(spark, sf_dir: str, workloads=("w1", "w2", "w3", "w4", "w5"), see
 
 
 def three_levels(spark, sf_dir: str, workloads=("w1", "w2", "w3", "w4", "w5"), seeds: int = SEEDS, eps=(0.1, 0.5)) -> DataFrame:
-    """One method at all levels, in full and with the root restricted to three regions. (w2, whose ceiling is high: restricted
-    at the larger budget; `tail` has it in full.)"""
-    frames = []
-    for w in workloads:
-        for nodes in (None, ["AMERICA", "ASIA", "EUROPE"])[w == "w2" :]:
-            h, c, t, k = inputs(spark, sf_dir, w, nodes=nodes)
-            frames.append(_named(evaluate(spark, h, c, t, {"hcxhcxhc": _topdown(k), "hgxhgxhg": _topdown(k, "hg")}, eps[-1:] if w == "w2" else eps, seeds), workload=w, root="all" if nodes is None else "restricted"))
-    return _union(frames)
+    """One method at all levels, in full and with the root restricted to three regions."""
+
+    def one(w: str, nodes: list[str] | None) -> DataFrame:
+        h, c, t, k = inputs(spark, sf_dir, w, nodes=nodes)
+        return _named(evaluate(spark, h, c, t, {"hcxhcxhc": _topdown(k), "hgxhgxhg": _topdown(k, "hg")}, eps, seeds), workload=w, root="all" if nodes is None else "restricted")
+
+    return _beside(spark, [lambda w=w, nodes=nodes: one(w, nodes) for w in workloads for nodes in (None, ["AMERICA", "ASIA", "EUROPE"])])
 
 
 def budget_sweep(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds: int = SEEDS, eps=GRID) -> DataFrame:
     """Error by budget of a level."""
-    frames = []
-    for w in workloads:
+
+    def one(w: str) -> DataFrame:
         h, c, t, k = inputs(spark, sf_dir, w)
-        frames.append(_named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg"), "bottom_up": _bottom_up(k)}, tuple(eps), seeds), workload=w))
-    return _union(frames)
+        return _named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg"), "bottom_up": _bottom_up(k)}, tuple(eps), seeds), workload=w)
+
+    return _beside(spark, [lambda w=w: one(w) for w in workloads])
 
 
 def naive_table(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, ceilings=(64, 1_000, 10_000, 100_000)) -> DataFrame:

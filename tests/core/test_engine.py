@@ -470,3 +470,58 @@ def test_closed_periods_of_a_stream_are_the_sessions(spark, tmp_path):
     q.stop()
     got = sorted((r.user_id, r.begin, r.size) for r in spark.table("closed").collect())
     assert got == sorted((r.user_id, r.session.start, r.size) for r in stream.session_sizes(events).collect())
+
+
+def test_sorted_sizes_by_law_have_the_law_of_the_fit():
+    from collections import Counter
+    from itertools import permutations
+
+    import numpy as np
+
+    from sizeprofile.functions.isotonic import isotonic_l2, pooled_means
+    from sizeprofile.functions.noise import geometric_faces
+
+    def cycles(p):
+        left = set(range(len(p)))
+        while left:
+            at, cycle = min(left), []
+            while at in left:
+                left.remove(at)
+                cycle.append(at)
+                at = p[at]
+            yield cycle
+
+    for x in ([3, -1, 2, 7], [0, 0, 1, 5, -2], [1, 1, 0, 0, 2, 2]):
+        orders = list(permutations(range(len(x))))
+        fits = Counter(tuple(np.round(isotonic_l2([x[k] for k in p]), 9)) for p in orders)
+        cut = Counter(tuple(np.round(np.concatenate([[m] * n for m, n in sorted((np.mean([x[k] for k in c]), len(c)) for c in cycles(p))]), 9)) for p in orders)
+        assert fits == cut
+    rng, truth, errors = np.random.default_rng(5), [(0, 20), (1, 60), (2, 40), (5, 5)], ([], [])
+    values = np.repeat([a for a, _ in truth], [n for _, n in truth])
+    p = 1 - np.exp(-0.5)
+    for _ in range(800):
+        drawn = isotonic_l2(values + rng.geometric(p, len(values)) - rng.geometric(p, len(values)))
+        faces = [geometric_faces(n, a, 2.0, rng) for a, n in truth]
+        assert [c.sum() for _, c in faces] == [n for _, n in truth]
+        t, c = pooled_means(*(np.concatenate(x).astype(float) for x in zip(*faces)))
+        for fit, error in zip((drawn, np.repeat(t / c, c.astype(int))), errors):
+            error.append(np.abs(np.floor(np.maximum(fit, 0) + 0.5) - values).sum())
+    gap = abs(np.mean(errors[0]) - np.mean(errors[1]))
+    assert gap < 5 * np.sqrt(sum(np.var(e) / len(e) for e in errors))
+
+
+def test_experiments_draw_sorted_sizes_of_very_many_groups(spark):
+    runs = estimators.runs_table(spark, [(0, "a", 0.1), (1, "b", 0.5)])
+    hist = spark.createDataFrame([(0, "all", 0, 7), (0, "all", 1, 3_000_000_000), (0, "all", 4, 2_000_000_000)], "level int, node_id string, size long, cnt long")
+    got = estimators.estimate_sorted_faces(hist, runs)
+    assert {r.run_id: r.n for r in got.groupBy("run_id").sum("cnt").withColumnRenamed("sum(cnt)", "n").collect()} == {0: 5_000_000_007, 1: 5_000_000_007}
+    near = {(r.run_id, r.size): r.cnt for r in got.collect()}
+    assert near[1, 1] > 2_999_000_000 and near[1, 4] > 1_999_000_000
+
+
+def test_three_levels_has_every_workload_at_every_budget_and_root(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(experiments, "inputs", lambda spark, d, w, nodes=None: (w, nodes, None, 64))
+    monkeypatch.setattr(experiments, "evaluate", lambda spark, w, nodes, t, rel, eps, seeds: seen.append((w, nodes is None, eps)) or spark.range(1))
+    assert experiments.three_levels(spark, "").count() == 10
+    assert sorted(seen) == sorted((w, full, (0.1, 0.5)) for w in ("w1", "w2", "w3", "w4", "w5") for full in (True, False))
