@@ -6,6 +6,8 @@ return (run_id, level, node_id, size, cnt) of every run and node in one job. Noi
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
@@ -18,6 +20,42 @@ from . import profile
 KEYS = ("run_id", "level", "node_id")
 
 
+def each_node(cells: DataFrame, kernel: Callable[[tuple, dict[str, np.ndarray]], tuple[np.ndarray, np.ndarray]]) -> DataFrame:
+    """(keys, size, cnt): the `kernel` of each node of a run gets its keys and its columns in the order of sizes, and returns sizes and counts.
+
+    Nodes are dealt over all cores and cut from sorted batches: a sweep has thousands of small ones, and as groups of Spark each
+    would cost a frame and a message, which is more than its fit. A node that goes on in the next batch waits for its end.
+    """
+
+    def run(batches):
+        key, parts = None, []
+
+        def closed():
+            return key, *kernel(key, {c: np.concatenate([p[c] for p in parts]) for c in parts[0]})
+
+        def frame(done):
+            lengths = [len(cnt) for _, _, cnt in done]
+            keys = {k: np.repeat(np.array([d[0][i] for d in done]), lengths) for i, k in enumerate(KEYS)}
+            return pd.DataFrame({**keys, "size": np.concatenate([d[1] for d in done]), "cnt": np.concatenate([d[2] for d in done])})
+
+        for pdf in batches:
+            columns, done = {c: pdf[c].to_numpy() for c in pdf.columns}, []
+            cuts = [0, *(np.flatnonzero(np.logical_or.reduce([columns[k][1:] != columns[k][:-1] for k in KEYS])) + 1).tolist(), len(pdf)] if len(pdf) else []
+            for a, b in zip(cuts, cuts[1:]):
+                now = tuple(columns[k][a] for k in KEYS)
+                if parts and now != key:
+                    done.append(closed())
+                    parts = []
+                key = now
+                parts.append({c: v[a:b] for c, v in columns.items()})
+            if done:
+                yield frame(done)
+        if parts:
+            yield frame([closed()])
+
+    return cells.sortWithinPartitions(*KEYS, "size").mapInPandas(run, "run_id int, level int, node_id string, size long, cnt long")
+
+
 def runs_table(spark, runs: list[tuple[int, str, float]]) -> DataFrame:
     return F.broadcast(spark.createDataFrame(runs, "run_id int, seed string, eps double"))  # one row a release
 
@@ -57,9 +95,9 @@ def estimate_naive(hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling:
 
 
 def cumulative_cells(hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int) -> DataFrame:
-    """Noisy running counts of sizes 0 .. ceiling - 1 (the last is the public count and gets no noise)."""
-    cum = profile.to_cumulative(hist, counts, ceiling).join(counts, ["level", "node_id"]).crossJoin(runs)
-    return _noisy(cum.where(F.col("size") < ceiling), "hc", "size").select(*KEYS, "size", "g", (F.col("cum") + F.col("noise")).cast("long").alias("noisy"))
+    """Noisy running counts of sizes 0 .. ceiling - 1 (the last is the public count and gets no noise), a node of a run in one task."""
+    cum = profile.to_cumulative(hist, counts, ceiling).where(F.col("size") < ceiling).join(counts, ["level", "node_id"]).crossJoin(runs)
+    return _noisy(profile.dealt(cum, *KEYS), "hc", "size").select(*KEYS, "size", "g", (F.col("cum") + F.col("noise")).cast("long").alias("noisy"))
 
 
 def estimate_cumulative(hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int, p: int = 1) -> DataFrame:
@@ -68,16 +106,14 @@ def estimate_cumulative(hist: DataFrame, counts: DataFrame, runs: DataFrame, cei
     A node's cells meet in one kernel, which is bounded by the ceiling; only the cells that are left come back.
     """
 
-    def release(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("size", kind="stable")
-        g = int(pdf["g"].iloc[0])
-        upto = np.floor(np.clip(isotonic(pdf["noisy"].to_numpy(), p).astype(float), 0, g) + 0.5).astype(np.int64)
+    def release(_, node: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        g = int(node["g"][0])
+        upto = np.floor(np.clip(isotonic(node["noisy"], p).astype(float), 0, g) + 0.5).astype(np.int64)
         cnt = np.diff(np.r_[0, upto, g])
         some = np.flatnonzero(cnt)
-        keys = {k: pdf[k].iloc[0] for k in KEYS}
-        return pd.DataFrame({**keys, "size": np.r_[pdf["size"].to_numpy(), ceiling][some], "cnt": cnt[some]})
+        return np.r_[node["size"], ceiling][some], cnt[some]
 
-    return cumulative_cells(hist, counts, runs, ceiling).groupBy(*KEYS).applyInPandas(release, "run_id int, level int, node_id string, size long, cnt long")
+    return each_node(cumulative_cells(hist, counts, runs, ceiling), release)
 
 
 def sorted_cells(hist: DataFrame, runs: DataFrame, block_rows: int = profile.BLOCK_ROWS) -> DataFrame:
@@ -108,18 +144,16 @@ def estimate_sorted_faces(hist: DataFrame, runs: DataFrame) -> DataFrame:
     pooled as they are there. The noise is another draw than the one keyed by places.
     """
 
-    def release(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("size", kind="stable")
-        keys = {k: pdf[k].iloc[0] for k in KEYS}
-        rng = keyed_generator(pdf["seed"].iloc[0], keys["level"], keys["node_id"], "faces")
-        scale = SENSITIVITY["hg"] / pdf["eps"].iloc[0]
-        faces = [geometric_faces(n, size, scale, rng) for size, n in zip(pdf["size"].tolist(), pdf["cnt"].tolist())]
+    def release(key: tuple, node: dict[str, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        rng = keyed_generator(node["seed"][0], *key[1:], "faces")
+        scale = SENSITIVITY["hg"] / node["eps"][0]
+        faces = [geometric_faces(n, size, scale, rng) for size, n in zip(node["size"].tolist(), node["cnt"].tolist())]
         s, w = pooled_means(np.concatenate([t for t, _ in faces]).astype(float), np.concatenate([c for _, c in faces]).astype(float))
         size, place = np.unique(np.floor(np.maximum(s / w, 0.0) + 0.5).astype(np.int64), return_inverse=True)
-        return pd.DataFrame({**keys, "size": size, "cnt": np.bincount(place, weights=w).astype(np.int64)})
+        return size, np.bincount(place, weights=w).astype(np.int64)
 
     cells = hist.where("cnt > 0").select("level", "node_id", "size", "cnt").crossJoin(runs)
-    return cells.groupBy(*KEYS).applyInPandas(release, "run_id int, level int, node_id string, size long, cnt long")
+    return each_node(profile.dealt(cells, *KEYS), release)
 
 
 def estimate(method: str, hist: DataFrame, counts: DataFrame, runs: DataFrame, ceiling: int, p_c: int = 1, p_g: int = 2, by_fit: bool = False) -> DataFrame:

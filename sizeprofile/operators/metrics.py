@@ -49,9 +49,12 @@ def cell_distances(truth: DataFrame, est: DataFrame, keys: tuple[str, ...] = KEY
     return _gaps(truth, est, keys).groupBy(*keys).agg(F.sum(F.abs("d")).alias("l1"), F.sum(F.col("d") * F.col("d")).alias("l2_squared"))
 
 
-def level_report(errors: DataFrame, counts: DataFrame) -> DataFrame:
-    """Mean error a node within each level and run; nodes without groups count with 0."""
-    per_run = counts.select("level", "node_id").crossJoin(F.broadcast(errors.select("run_id").distinct()))
+def level_report(errors: DataFrame, counts: DataFrame, runs: DataFrame | None = None) -> DataFrame:
+    """Mean error a node within each level and run; nodes without groups count with 0.
+
+    Without the table of `runs` they are those of the errors, for which the errors' whole plan is run a second time.
+    """
+    per_run = counts.select("level", "node_id").crossJoin(F.broadcast(errors.select("run_id").distinct() if runs is None else runs.select("run_id")))
     return per_run.join(errors, list(KEYS), "left").groupBy("run_id", "level").agg(F.avg(F.coalesce("emd", F.lit(0))).alias("mean_emd"), F.count(F.lit(1)).alias("nodes"))
 
 

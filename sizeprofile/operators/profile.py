@@ -14,10 +14,11 @@ BLOCK_ROWS = 1 << 16
 def group_sizes(entities: DataFrame, groups: DataFrame) -> DataFrame:
     """(group_id, leaf_id, size) of every public group; a group without entities has size 0.
 
-    Entities are counted by group before the join, so only one partial row a group and task is shuffled.
+    Entities are counted by group before the join, so only one partial row a group and task is shuffled. Further columns of
+    the groups stay.
     """
     counts = entities.groupBy("group_id").agg(F.count(F.lit(1)).alias("n"))
-    return groups.join(counts, "group_id", "left").select("group_id", "leaf_id", F.coalesce("n", F.lit(0)).cast("long").alias("size"))
+    return groups.join(counts, "group_id", "left").select(*groups.columns, F.coalesce("n", F.lit(0)).cast("long").alias("size"))
 
 
 def clamp_sizes(sizes: DataFrame, ceiling: int) -> DataFrame:
@@ -49,7 +50,11 @@ def group_counts(hist: DataFrame, keys: tuple[str, ...] = ("level", "node_id"))
 
 def public_counts(groups: DataFrame, tree: RegionTree) -> DataFrame:
     """(level, node_id, g) of every node of the tree from the public groups; nodes without groups have 0."""
-    leaves = groups.groupBy("leaf_id").agg(F.count(F.lit(1)).alias("n"))
+    return summed_counts(groups.groupBy("leaf_id").agg(F.count(F.lit(1)).alias("n")), tree)
+
+
+def summed_counts(leaves: DataFrame, tree: RegionTree) -> DataFrame:
+    """The same from the leaves' numbers of groups (leaf_id, n)."""
     return tree.small(tree.long()).join(leaves, "leaf_id", "left").groupBy("level", "node_id").agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("g"))
 
 
@@ -72,6 +77,22 @@ def to_runs(hist: DataFrame, keys: tuple[str, ...] = ("level", "node_id")) -> Da
     return hist.where("cnt > 0").select(*keys, "size", "cnt", (F.sum("cnt").over(w) - F.col("cnt")).alias("rank_lo"), F.sum("cnt").over(w).alias("rank_hi"))
 
 
+def dealt(df: DataFrame, *keys: str) -> DataFrame:
+    """Rows dealt by the keys over all cores, for kernels that take long over few bytes.
+
+    A number is given, as adaptive execution else goes by bytes and puts the rows of a whole sweep into one task.
+    """
+    return df.repartition(df.sparkSession.sparkContext.defaultParallelism, *keys)
+
+
+def gathered(df: DataFrame) -> DataFrame:
+    """What such kernels return as few rows, in one part or two; adaptive execution cuts them where they are large.
+
+    Each part that is written is a task of every later read, which opens a file for each partition it shuffles to.
+    """
+    return df.hint("rebalance", 2)
+
+
 def exploded(counted: DataFrame, name: str, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """A row for each of `cnt` consecutive numbers from `first` on, as column `name`, with the number of its `block`.
 

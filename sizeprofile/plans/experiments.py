@@ -31,24 +31,29 @@ def tail_workload(spark, sf_dir: str, seed: str = "tail") -> tuple[DataFrame, Re
 
 
 def inputs(spark, sf_dir: str, workload: str, ceiling: int | None = None, levels: int | None = None, nodes: list[str] | None = None) -> tuple[DataFrame, DataFrame, RegionTree, int]:
-    """(exact histogram, public counts, tree, ceiling); `levels` cuts the tree, `nodes` restricts its root."""
+    """(exact histogram, public counts, tree, ceiling); `levels` cuts the tree, `nodes` restricts its root.
+
+    The tables are read once: tree and counts come from the leaves' histogram, in which every public group counts once.
+    """
     if workload == "w2":
         sizes, tree = tail_workload(spark, sf_dir)
-        groups, ceiling = sizes.select("group_id", "leaf_id"), ceiling or 10_240
+        columns, ceiling = [], ceiling or 10_240
     else:
-        entities, groups, tree = WORKLOADS[workload].load(spark, sf_dir)
-        sizes, ceiling = None, ceiling or WORKLOADS[workload].ceiling
-    if nodes:
-        tree = tree.restrict(nodes)
-        groups = groups.join(tree.small(tree.wide.select("leaf_id")), "leaf_id", "left_semi")
-    sizes = profile.group_sizes(entities, groups) if sizes is None else sizes.join(groups.select("group_id"), "group_id", "left_semi")
-    hist = release.frozen(profile.rollup_histogram(profile.leaf_histogram(profile.clamp_sizes(sizes, ceiling)), tree))
-    counts = release.frozen(profile.public_counts(groups, tree))
+        w = WORKLOADS[workload]
+        sizes, tree = profile.group_sizes(w.query(spark, sf_dir, w.entities), w.placed(spark, sf_dir)), None
+        columns, ceiling = list(w.levels), ceiling or w.ceiling
+    cells = release.frozen(profile.clamp_sizes(sizes, ceiling).groupBy("leaf_id", *columns, "size").agg(F.count(F.lit(1)).alias("cnt")))
+    tree = tree or RegionTree.from_levels(cells, columns)
+    tree = tree.restrict(nodes) if nodes else tree
+    tree = RegionTree(release.frozen(tree.wide), tree.levels)
+    leaves = cells.groupBy("leaf_id", "size").agg(F.sum("cnt").alias("cnt"))
+    hist = release.frozen(profile.rollup_histogram(leaves, tree))
+    counts = release.frozen(profile.summed_counts(leaves.groupBy("leaf_id").agg(F.sum("cnt").alias("n")), tree))
     if levels and levels < tree.levels:
         last = levels - 1
         tree = RegionTree(tree.wide.select(*[f"level_{k}" for k in range(levels)]).distinct().withColumn("leaf_id", F.col(f"level_{last}")), levels)
         hist, counts = hist.where(F.col("level") <= last), counts.where(F.col("level") <= last)
-    tree = RegionTree(release.frozen(tree.wide), tree.levels)
+        tree = RegionTree(release.frozen(tree.wide), tree.levels)
     return hist, counts, tree, ceiling
 
 
@@ -63,15 +68,15 @@ def evaluate(spark, hist: DataFrame, counts: DataFrame, tree: RegionTree, releas
     runs, budgets = run_grid(spark, eps, seeds)
     truth = metrics.for_runs(hist, runs)
     wanted = dict.fromkeys(x for make in releases.values() for x in getattr(make, "estimates", ()))
-    shared = {m: release.frozen(estimators.estimate_sorted_faces(hist, runs) if m == "hg" else estimators.estimate(m, hist, counts, runs, k)) for m, k in wanted}  # releases that start from equal estimates share them
+    shared = {m: release.frozen(profile.gathered(estimators.estimate_sorted_faces(hist, runs) if m == "hg" else estimators.estimate(m, hist, counts, runs, k))) for m, k in wanted}  # releases that start from equal estimates share them
     out = None
     for name, make in releases.items():
         rel = make(hist, counts, tree, runs, shared) if hasattr(make, "estimates") else make(hist, counts, tree, runs)
-        report = metrics.level_report(metrics.emd(truth if measured is None else truth.where(F.col("level").isin(*measured)), rel), counts if measured is None else counts.where(F.col("level").isin(*measured)))
+        report = metrics.level_report(metrics.emd(truth if measured is None else truth.where(F.col("level").isin(*measured)), rel), counts if measured is None else counts.where(F.col("level").isin(*measured)), runs)
         done = metrics.run_report(report.join(budgets, "run_id"), "eps_level").select(F.lit(name).alias("method"), "eps_level", (F.col("eps_level") * tree.levels).alias("eps_total"), "level", "emd", "std_of_mean", "runs")
         done = release.frozen(done)  # a few rows; a union of whole plans would be planned anew after each of its stages
         out = done if out is None else out.unionByName(done)
-    expected = metrics.level_report(metrics.omniscient_expected(hist, runs), counts).join(budgets, "run_id")
+    expected = metrics.level_report(metrics.omniscient_expected(hist, runs), counts, runs).join(budgets, "run_id")
     return out.unionByName(release.frozen(metrics.run_report(expected, "eps_level")).select(F.lit("omniscient").alias("method"), "eps_level", (F.col("eps_level") * tree.levels).alias("eps_total"), "level", "emd", "std_of_mean", "runs"))
 
 
@@ -102,7 +107,7 @@ def _union(frames: list[DataFrame]) -> DataFrame:
 
 
 def _beside(spark, jobs: list[Callable[[], DataFrame]], at_once: int = 2) -> DataFrame:
-    """The union of the jobs' frames; two run beside each other, as each is many small stages one after another (with four, one of w2 ran out of memory at sf0.1)."""
+    """The union of the jobs' frames; some run beside each other, as each is many small stages one after another (with four, one of w2 ran out of memory at sf0.1)."""
     with ThreadPoolExecutor(at_once) as pool:
         return _union(list(pool.map(lambda job: job(), [inheritable_thread_target(spark)(job) for job in jobs])))
 
@@ -142,7 +147,7 @@ def budget_sweep(spark, sf_dir: str, workloads=("w1", "w3", "w4", "w5"), seeds:
         h, c, t, k = inputs(spark, sf_dir, w)
         return _named(evaluate(spark, h, c, t, {"hc": _topdown(k), "hg": _topdown(k, "hg"), "bottom_up": _bottom_up(k)}, tuple(eps), seeds), workload=w)
 
-    return _beside(spark, [lambda w=w: one(w) for w in workloads])
+    return _beside(spark, [lambda w=w: one(w) for w in workloads], 4)
 
 
 def naive_table(spark, sf_dir: str, workload: str = "w1", seeds: int = SEEDS, ceilings=(64, 1_000, 10_000, 100_000)) -> DataFrame:

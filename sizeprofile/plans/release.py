@@ -105,7 +105,7 @@ def private_ceiling(sizes: DataFrame, ledger: BudgetLedger, eps: float = 1e-4, s
 def release_bottom_up(hist: DataFrame, counts: DataFrame, tree: RegionTree, runs: DataFrame, method: str = "hc", ceiling: int = 100_000, p_c: int = 1) -> DataFrame:
     """Baseline: the whole budget (`runs`.eps is here the total) at the leaves, sums above."""
     last = tree.levels - 1
-    est = frozen(estimators.estimate(method, hist.where(F.col("level") == last), counts.where(F.col("level") == last), runs, ceiling, p_c))
+    est = frozen(profile.gathered(estimators.estimate(method, hist.where(F.col("level") == last), counts.where(F.col("level") == last), runs, ceiling, p_c)))
     return sum_up(est.select("run_id", F.col("node_id").alias("leaf_id"), "size", "cnt"), tree)
 
 

@@ -32,11 +32,14 @@ class Workload:
         text = re.sub(rf"\b(from|join) ({'|'.join(self.tables)})\b", r"\1 [[\2]]", sql).replace("{", "{{").replace("}", "}}").replace("[[", "{").replace("]]", "}")
         return spark.sql(text, **{t: df for t, df in used.items() if f"{{{t}}}" in text})
 
+    def placed(self, spark: SparkSession, sf_dir: str) -> DataFrame:
+        """(group_id, leaf_id, columns of the levels) of the public groups."""
+        leaf = F.concat_ws("/", *[F.col(c).cast("string") for c in self.levels]) if self.levels else F.lit("all")
+        return self.query(spark, sf_dir, self.groups).select("group_id", leaf.alias("leaf_id"), *self.levels)
+
     def load(self, spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, RegionTree]:
         """(entities, groups with leaf_id, tree)."""
-        raw = self.query(spark, sf_dir, self.groups)
-        leaf = F.concat_ws("/", *[F.col(c).cast("string") for c in self.levels]) if self.levels else F.lit("all")
-        groups = raw.select("group_id", leaf.alias("leaf_id"), *self.levels)
+        groups = self.placed(spark, sf_dir)
         tree = RegionTree.from_levels(groups, list(self.levels))
         return self.query(spark, sf_dir, self.entities), groups.select("group_id", "leaf_id"), tree
 

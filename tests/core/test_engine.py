@@ -525,3 +525,54 @@ def test_three_levels_has_every_workload_at_every_budget_and_root(spark, monkeyp
     monkeypatch.setattr(experiments, "evaluate", lambda spark, w, nodes, t, rel, eps, seeds: seen.append((w, nodes is None, eps)) or spark.range(1))
     assert experiments.three_levels(spark, "").count() == 10
     assert sorted(seen) == sorted((w, full, (0.1, 0.5)) for w in ("w1", "w2", "w3", "w4", "w5") for full in (True, False))
+
+
+def test_experiments_read_the_tables_once(spark, monkeypatch):
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    read, frozen = [], release.frozen
+    monkeypatch.setattr(release, "frozen", lambda df: read.append(any("orders.parquet" in f for f in df.inputFiles())) or frozen(df))
+    for w, nodes in (("w1", None), ("w3", ["ASIA", "EUROPE"]), ("w5", ["AMERICA"])):
+        read.clear()
+        hist, counts, tree, ceiling = experiments.inputs(spark, SF, w, nodes=nodes)
+        assert sum(read) == 1
+        entities, groups, whole = WORKLOADS[w].load(spark, SF)
+        if nodes:
+            whole = whole.restrict(nodes)
+            groups = groups.join(whole.wide.select("leaf_id"), "leaf_id", "left_semi")
+        sizes = profile.clamp_sizes(profile.group_sizes(entities, groups), ceiling)
+        assert rows(tree.wide.select(*whole.wide.columns)) == rows(whole.wide)
+        assert rows(hist) == rows(profile.rollup_histogram(profile.leaf_histogram(sizes), whole).select(*hist.columns))
+        assert rows(counts) == rows(profile.public_counts(groups, whole).select(*counts.columns))
+
+
+def test_fits_of_a_sweep_are_dealt_over_tasks_and_nodes_may_span_batches(spark):
+    hist, counts, _, _ = experiments.inputs(spark, SF, "w1")
+    runs, _ = experiments.run_grid(spark, (0.1, 0.5), 10)
+    for fit in (lambda: estimators.estimate_cumulative(hist, counts, runs, 64), lambda: estimators.estimate_sorted_faces(hist, runs)):
+        got = fit().withColumn("task", F.spark_partition_id())
+        assert got.select("task").distinct().count() > 1
+        assert got.groupBy(*estimators.KEYS).agg(F.countDistinct("task").alias("n")).where("n > 1").count() == 0
+        assert fit().groupBy(*estimators.KEYS).agg(F.sum("cnt").alias("s")).join(counts, ["level", "node_id"]).where("s = g").count() == 20 * counts.where("g > 0").count()
+        once = sorted(map(tuple, fit().collect()))
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 7)
+        try:
+            assert sorted(map(tuple, fit().collect())) == once
+        finally:
+            spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_errors_of_known_runs_are_evaluated_once(spark):
+    hist, counts, _, _ = experiments.inputs(spark, SF, "w1")
+    runs, _ = experiments.run_grid(spark, (0.5,), 3)
+    errors = metrics.emd(metrics.for_runs(hist, runs), estimators.estimate_cumulative(hist, counts, runs, 64))
+    report = metrics.level_report(errors, counts, runs)
+    assert report._jdf.queryExecution().optimizedPlan().toString().count("MapInPandas") == 1
+    assert sorted(map(tuple, report.collect())) == sorted(map(tuple, metrics.level_report(errors, counts).collect()))
+
+
+def test_budget_sweep_has_every_workload_at_every_budget(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(experiments, "inputs", lambda spark, d, w: (w, None, None, 64))
+    monkeypatch.setattr(experiments, "evaluate", lambda spark, w, c, t, rel, eps, seeds: seen.append((w, tuple(rel), eps, seeds)) or spark.range(1))
+    assert experiments.budget_sweep(spark, "").count() == 4
+    assert sorted(seen) == [(w, ("hc", "hg", "bottom_up"), (0.05, 0.1, 0.2, 0.5, 1.0), 10) for w in ("w1", "w3", "w4", "w5")]
